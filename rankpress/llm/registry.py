@@ -2,8 +2,8 @@
 
 from __future__ import annotations
 
-from . import quality, simhash, toxicity
+from . import mixing, quality, simhash, toxicity
 
-_MODULES = (quality, simhash, toxicity)
+_MODULES = (mixing, quality, simhash, toxicity)
 QUERIES = {k: f for m in _MODULES for k, f in m.QUERIES.items()}
 SQL = {k: s for m in _MODULES for k, s in m.SQL.items()}
