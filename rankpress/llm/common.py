@@ -30,14 +30,13 @@ def cut(df: DataFrame) -> DataFrame:
     spark = df.sparkSession
     sc = spark.sparkContext
     if not sc.getCheckpointDir():
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="ckpt"))
+        sc.setCheckpointDir(shared_folder(spark))
     return df.checkpoint(eager=True)
 
 
-def spread(df: DataFrame, per_core: int = 3) -> DataFrame:
-    """Deal rows evenly over the cluster where an input has fewer partitions than cores."""
-    n = df.sparkSession.sparkContext.defaultParallelism * per_core
-    return df.repartition(n)
+def shared_folder(spark: SparkSession) -> str:
+    """The folder that all machines share; a new local one only where the session names none, as in tests."""
+    return spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="shared")
 
 
 def lowest_by_hash(df: DataFrame, key: str, n: int) -> DataFrame:

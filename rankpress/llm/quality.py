@@ -18,6 +18,7 @@ from collections import Counter
 from operator import eq
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
@@ -124,6 +125,13 @@ def score(docs: DataFrame, model: Discriminant) -> DataFrame:
     return _vectors(d, "doc_id long, score double", lambda x: pa.array(held.value.scores(x)))
 
 
+def kept(docs: DataFrame, model: Discriminant, limit: float = 0.3) -> DataFrame:
+    """The rows of docs, all columns, that score at least the limit."""
+    held = docs.sparkSession.sparkContext.broadcast(model)
+    vectors = lambda t: np.array([statistics(x) for x in t], float).reshape(-1, len(NAMES))
+    return docs.where(F.pandas_udf(lambda t: pd.Series(held.value.scores(vectors(t))), "double")("text") >= limit)
+
+
 def op5(spark, sf_dir):
     docs = table(spark, sf_dir, "documents")
     s = score(docs, learn(docs, table(spark, sf_dir, "labels")))

@@ -15,6 +15,7 @@ toxic example, or without any text, everything scores 0; repeated rows are score
 from __future__ import annotations
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
@@ -140,6 +141,12 @@ def score(docs: DataFrame, model: PuModel) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, score double")
 
 
+def kept(docs: DataFrame, model: PuModel, limit: float = 0.5) -> DataFrame:
+    """The rows of docs, all columns, that score below the limit."""
+    held = docs.sparkSession.sparkContext.broadcast(model)
+    return docs.where(F.pandas_udf(lambda t: pd.Series(held.value.scores(t.tolist())), "double")("text") < limit)
+
+
 def op8(spark, sf_dir):
     docs = table(spark, sf_dir, "documents")
     s = score(docs, learn(docs, table(spark, sf_dir, "labels")))
