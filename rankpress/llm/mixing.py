@@ -43,7 +43,9 @@ def targets(sized: DataFrame) -> DataFrame:
     before, after, every = W.orderBy(*order).rowsBetween(W.unboundedPreceding, -1), W.orderBy(*order).rowsBetween(0, W.unboundedFollowing), W.partitionBy()
     total = F.lit(SHARE) * F.sum("source_size").over(every)
     level = (total - F.coalesce(F.sum("cap").over(before), F.lit(0))) / F.sum("weight").over(after)
-    per = per.withColumn("level", level).withColumn("level", F.min(F.when(F.col("cap") / F.col("weight") > F.col("level"), F.col("level"))).over(every))
+    per = per.withColumns({"level": level, "place": F.row_number().over(W.orderBy(*order))})
+    free = F.when(F.col("cap") / F.col("weight") > F.col("level"), F.struct("place", "level"))
+    per = per.withColumn("level", F.min(free).over(every)["level"])
     return per.select("source", "source_size", F.least(F.col("cap").cast("double"), F.col("weight") * F.col("level")).alias("target"))
 
 
@@ -129,10 +131,10 @@ per as (select source, sum(size)::bigint source_size, [3, 1, 2][1 + (row_number(
 lev as (
   select *, 2 * source_size cap,
     (1.5 * (sum(source_size) over ())::double - coalesce(sum(2 * source_size) over (o rows between unbounded preceding and 1 preceding), 0)::double)
-      / (sum(weight) over (o rows between current row and unbounded following))::double lev
+      / (sum(weight) over (o rows between current row and unbounded following))::double lev, row_number() over o place
   from per window o as (order by 2.0::double * source_size / weight, source nulls last)),
 tgt as (
-  select source, source_size, least(cap::double, weight * coalesce(min(case when cap::double / weight > lev then lev end) over (), 1e300)) target from lev),
+  select source, source_size, least(cap::double, weight * coalesce(arg_min(lev, case when cap::double / weight > lev then place end) over (), 1e300)) target from lev),
 w as (select *, floor(target + 1e-6)::bigint words from tgt),
 blk as (select *, greatest(1, ceil((sum(words) over ())::double / 262144))::bigint block from w),
 nb as (select *, ceil(source_size::double / block)::bigint n_blocks,

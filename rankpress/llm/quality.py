@@ -129,7 +129,7 @@ def kept(docs: DataFrame, model: Discriminant, limit: float = 0.3) -> DataFrame:
     """The rows of docs, all columns, that score at least the limit."""
     held = docs.sparkSession.sparkContext.broadcast(model)
     vectors = lambda t: np.array([statistics(x) for x in t], float).reshape(-1, len(NAMES))
-    return docs.where(F.pandas_udf(lambda t: pd.Series(held.value.scores(vectors(t))), "double")("text") >= limit)
+    return docs.where(F.pandas_udf(lambda t: pd.Series(held.value.scores(vectors(t))), "double")(F.coalesce("text", F.lit(""))) >= limit)
 
 
 def op5(spark, sf_dir):

@@ -144,7 +144,7 @@ def score(docs: DataFrame, model: PuModel) -> DataFrame:
 def kept(docs: DataFrame, model: PuModel, limit: float = 0.5) -> DataFrame:
     """The rows of docs, all columns, that score below the limit."""
     held = docs.sparkSession.sparkContext.broadcast(model)
-    return docs.where(F.pandas_udf(lambda t: pd.Series(held.value.scores(t.tolist())), "double")("text") < limit)
+    return docs.where(F.pandas_udf(lambda t: pd.Series(held.value.scores(t.tolist())), "double")(F.coalesce("text", F.lit(""))) < limit)
 
 
 def op8(spark, sf_dir):
