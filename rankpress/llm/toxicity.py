@@ -66,10 +66,13 @@ def select(cols: np.ndarray, in_p: np.ndarray, n_p: int, n_u: int, most: int) ->
     return np.sort(keep[np.argsort(-np.abs(z[keep]), kind="stable")][:most])
 
 
-def train(x_p: np.ndarray, x_u: np.ndarray, prior: float, steps: int = 300, rate: float = 0.05, decay: float = 1e-4) -> tuple[np.ndarray, float, list[float]]:
-    """Weights, bias and the risk at each step, by full-batch Adam on the non-negative risk with logistic loss."""
-    x = [np.hstack([m, np.ones((len(m), 1), np.float32)]) for m in (x_p, x_u)]
-    w = np.zeros(x[0].shape[1])
+def train(x_p: np.ndarray, x_u: np.ndarray, prior: float, steps: int = 200, rate: float = 0.08, decay: float = 1e-4) -> tuple[np.ndarray, float, list[float]]:
+    """Weights, bias and the risk at each step, by full-batch Adam on the non-negative risk with logistic loss.
+
+    The last column of both matrices is the constant one of the bias.
+    """
+    x = (x_p, x_u)
+    w = np.zeros(x_p.shape[1], np.float32)
     w[-1] = np.log(prior / (1 - prior))
     m, v, course = np.zeros_like(w), np.zeros_like(w), []
     sigma = lambda z: 0.5 * (1 + np.tanh(0.5 * z))
@@ -101,33 +104,48 @@ class PuModel:
         return 0.5 * (1 + np.tanh(0.5 * z))
 
 
-def fit(positive: list, unlabelled: list, prior: float, most: int = 2048) -> PuModel:
+def fit(rows: np.ndarray, cols: np.ndarray, n_p: int, n_u: int, prior: float, most: int = 1024) -> PuModel:
+    """From features() of n_p positive texts followed by n_u unlabelled ones."""
     weights = np.zeros(DIM, np.float32)
-    if not positive or not unlabelled:
+    if not n_p or not n_u:
         return PuModel(weights, None)
-    rows, cols = features(positive + unlabelled)
-    in_p = rows < len(positive)
-    keep = select(cols, in_p, len(positive), len(unlabelled), most)
-    at = np.full(DIM, -1)
+    keep = select(cols, rows < n_p, n_p, n_u, most)
+    at = np.full(DIM, -1, np.int32)
     at[keep] = np.arange(len(keep))
-    x = np.zeros((len(positive) + len(unlabelled), len(keep)), np.float32)
+    x = np.zeros((n_p + n_u, len(keep) + 1), np.float32)
+    x[:, -1] = 1
     m = at[cols] >= 0
     x[rows[m], at[cols[m]]] = 1
-    prior = min(max(prior, 1e-4), 0.9)
-    weights[keep], bias, _ = train(x[: len(positive)], x[len(positive) :], prior)
+    weights[keep], bias, _ = train(x[:n_p], x[n_p:], min(max(prior, 1e-4), 0.9))
     return PuModel(weights, bias)
 
 
-def learn(docs: DataFrame, labels: DataFrame, n_p: int = 4000, n_u: int = 8000, chars: int = 30_000_000) -> PuModel:
-    """Fit on rows outside fold 0 of 5: at most n_p toxic texts and n_u of any kind, `chars` characters each."""
+def learn(docs: DataFrame, labels: DataFrame, n_p: int = 2000, n_u: int = 4000, chars: int = 15_000_000) -> PuModel:
+    """Fit on rows outside fold 0 of 5: at most n_p toxic texts and n_u of any kind, `chars` characters each.
+
+    The executors extract the features; the driver gets them as numbers.
+    """
     known = labels.where("toxic is not null and doc_id is not null").where(fold("doc_id", 5) != 0).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     total, toxic = known.agg(F.count("*"), F.sum(F.when(F.col("toxic") == 1, 1).otherwise(0))).first()
     if not toxic:
         return PuModel(np.zeros(DIM, np.float32), None)
     pos = lowest_by_hash(known.where("toxic = 1").select("doc_id"), "doc_id", n_p)
     any_ = lowest_by_hash(docs.where("doc_id is not null").where(fold("doc_id", 5) != 0).select("doc_id").distinct(), "doc_id", n_u)
-    take = lambda ids: [r.text for r in sampled_texts(docs, ids, [], chars).select("text").toLocalIterator()]
-    return fit(take(pos), take(any_), toxic / total)
+
+    def extract(batches):
+        for b in batches:
+            rows, cols = features(b.column(0).to_pylist())
+            offsets = np.searchsorted(np.sort(rows), np.arange(b.num_rows + 1)).astype(np.int32)
+            cols = cols[np.argsort(rows, kind="stable")].astype(np.int32)
+            yield pa.RecordBatch.from_arrays([pa.ListArray.from_arrays(pa.array(offsets), pa.array(cols))], names=["f"])
+
+    parts, sizes = [], []
+    for ids in (pos, any_):
+        f = sampled_texts(docs, ids, [], chars).select("text").repartition(8).mapInArrow(extract, "f array<int>").toArrow().column("f").combine_chunks()
+        n = np.diff(f.offsets.to_numpy()) if len(f) else np.zeros(0, int)
+        parts.append((np.repeat(np.arange(len(n), dtype=np.int32) + sum(sizes), n), f.flatten().to_numpy() if len(f) else np.zeros(0, np.int32)))
+        sizes.append(len(n))
+    return fit(np.concatenate([p[0] for p in parts]), np.concatenate([p[1] for p in parts]), *sizes, toxic / total)
 
 
 def score(docs: DataFrame, model: PuModel) -> DataFrame:
