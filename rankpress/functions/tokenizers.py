@@ -11,7 +11,7 @@ import re
 
 import numpy as np
 
-MERGES_PATH = "/opt/tokenizers/byte_bpe_50k.tiktoken"
+MERGES_PATH = "/opt/tokenizers/byte_bpe_multi_50k.tiktoken"
 #: How a text is cut before merging: letters, digits, other signs, white space, each with a space in front; or words; or not at all.
 PRE = {"category": r" ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+", "whitespace": r"\s*\S+|\s+$", "none": r"[\s\S]+"}
 

@@ -2,11 +2,11 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from .plans import relational
 
-QUERIES: dict = {}
-SQL: dict[str, str] = {}
+QUERIES: dict = dict(relational.QUERIES)
+SQL: dict[str, str] = dict(relational.SQL)
 
 
-def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    raise NotImplementedError
+def flagship(spark, sf_dir):
+    return QUERIES["rank_decay_fit"](spark, sf_dir)
