@@ -67,7 +67,7 @@ class CountModel:
         self._g = None
 
     def __getstate__(self):
-        return {k: v for k, v in self.__dict__.items() if k not in ("_lists", "_g", "_inv")}
+        return {k: v for k, v in self.__dict__.items() if k not in ("_lists", "_g", "_inv", "_pair")}
 
     def __setstate__(self, state):
         self.__dict__ |= state
@@ -161,9 +161,38 @@ class CountModel:
         return self._at_place(place)
 
     def ranks(self, ids: np.ndarray) -> np.ndarray:
-        """Ranks of a block, all contexts known: one step at a time in meaning, one pass in execution."""
-        keys = np.stack(context_keys(ids, self.order), axis=1).tolist()
-        return np.array([self.rank(k, t) for k, t in zip(keys, ids.tolist())], np.int64)
+        """Ranks of a block, all contexts known."""
+        return self.ranks_vectorised(ids)
+
+    def ranks_stepwise(self, ids: np.ndarray) -> np.ndarray:
+        """The same ranks by one predictor call a token that knows only what came before, as a decoder works."""
+        done: list[int] = []
+        out = []
+        for t in ids.tolist():
+            out.append(self.rank(self.keys_after(done), t))
+            done.append(t)
+        return np.array(out, np.int64)
+
+    def ranks_vectorised(self, ids: np.ndarray) -> np.ndarray:
+        """The same ranks, with all tokens that their longest context lists looked up in one sorted array; the rest go one
+        by one."""
+        keys = context_keys(ids, self.order)
+        ctx, first, tokens, _ = self.levels[self.order]
+        out = np.full(len(ids), -1, np.int64)
+        if len(ctx) and len(ids):
+            if getattr(self, "_pair", None) is None:
+                at = np.repeat(np.arange(len(ctx)), np.diff(first)) * self.vocab_size + tokens
+                self._pair = (np.sort(at), np.argsort(at, kind="stable"))
+            i = np.minimum(np.searchsorted(ctx, keys[-1]), len(ctx) - 1)
+            want = np.where(ctx[i] == keys[-1], i * self.vocab_size + ids, -1)
+            j = np.minimum(np.searchsorted(self._pair[0], want), len(self._pair[0]) - 1)
+            hit = self._pair[0][j] == want
+            out[hit] = self._pair[1][j[hit]] - first[i[hit]]
+        rest = np.flatnonzero(out < 0)
+        if len(rest):
+            k = np.stack([x[rest] for x in keys], axis=1).tolist()
+            out[rest] = [self.rank(a, t) for a, t in zip(k, ids[rest].tolist())]
+        return out
 
     def tokens(self, ranks) -> np.ndarray:
         out: list[int] = []

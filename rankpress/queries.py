@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from .plans import relational
+from .plans import relational, workloads
 
-QUERIES: dict = dict(relational.QUERIES)
-SQL: dict[str, str] = dict(relational.SQL)
+QUERIES: dict = relational.QUERIES | workloads.QUERIES
+SQL: dict[str, str] = relational.SQL | workloads.SQL
 
 
 def flagship(spark, sf_dir):
-    return QUERIES["rank_decay_fit"](spark, sf_dir)
+    """Codec on text, on ids and on predicted ranks, by language."""
+    return QUERIES["w03_groups"](spark, sf_dir)
