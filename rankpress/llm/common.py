@@ -2,20 +2,16 @@
 
 from __future__ import annotations
 
-import tempfile
-
 import numpy as np
-from pyspark.sql import Column, DataFrame, SparkSession, Window as W, functions as F
+from pyspark.sql import Column, DataFrame, Window as W, functions as F
+
+from ..sources.tables import cut, shared_folder, table  # noqa: F401
 
 #: Fixed value: the white space that separates words, as in [^\x20\x09-\x0D]+.
 #: bytes.split() without arguments uses the same six bytes, and bytes.lower() maps A-Z only.
 WORD_RE = "[^\\x20\\x09-\\x0D]+"
 
 
-def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
-
-
 def fold(key: str, mod: int) -> Column:
     """crc32 of the key written as text, modulo `mod`; a null key falls in fold 1 (never held out)."""
     return F.coalesce(F.pmod(F.crc32(F.col(key).cast("string").cast("binary")), F.lit(mod)), F.lit(1))
@@ -25,20 +21,6 @@ def held_out(key: str, mod: int) -> Column:
     return fold(key, mod) == 0
 
 
-def cut(df: DataFrame) -> DataFrame:
-    """Cut the lineage with a reliable checkpoint in the shared folder that the session names."""
-    spark = df.sparkSession
-    sc = spark.sparkContext
-    if not sc.getCheckpointDir():
-        sc.setCheckpointDir(shared_folder(spark))
-    return df.checkpoint(eager=True)
-
-
-def shared_folder(spark: SparkSession) -> str:
-    """The folder that all machines share; a new local one only where the session names none, as in tests."""
-    return spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="shared")
-
-
 def lowest_by_hash(df: DataFrame, key: str, n: int) -> DataFrame:
     """The n rows with the smallest hash of the key: a bounded sample that no partitioning changes."""
     return df.orderBy(F.xxhash64(F.col(key)), F.col(key)).limit(n)

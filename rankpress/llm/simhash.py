@@ -21,8 +21,8 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, functions as F
 
+from ..operators.components import components
 from .common import cut, table
-from .components import components
 
 SEED = 42
 

@@ -18,8 +18,8 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
+from ..operators.components import components
 from .common import cut, lowest_by_hash, table
-from .components import components
 
 
 def valid(name: str):
