@@ -2,10 +2,10 @@
 
 from __future__ import annotations
 
-from .plans import relational, workloads
+from .plans import neural, relational, workloads
 
-QUERIES: dict = relational.QUERIES | workloads.QUERIES
-SQL: dict[str, str] = relational.SQL | workloads.SQL
+QUERIES: dict = relational.QUERIES | workloads.QUERIES | neural.QUERIES
+SQL: dict[str, str] = relational.SQL | workloads.SQL | neural.SQL
 
 
 def flagship(spark, sf_dir):
