@@ -27,7 +27,7 @@ from collections import Counter, defaultdict
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from .common import table
+from .common import cut, table
 
 #: Fixed values of HTML: elements without content, elements that end an open p, elements whose text isn't markup.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
@@ -199,7 +199,7 @@ def templates(pages: DataFrame, support: int = 3) -> DataFrame:
     is as long as the page's skeleton, not as the host: tags on few pages and blocks off most pages are dropped in SQL before
     a host's rows meet.
     """
-    occ = occurrences(pages)
+    occ = cut(occurrences(pages))  # read five times below
     n = F.max(F.when(F.col("kind") == "t", F.col("pages"))).alias("n")
     size = occ.groupBy("host").agg(n).where((F.col("n") >= support) | (F.col("host") == "*"))
     o = occ.join(size, "host").where(F.when(F.col("kind") == "b", F.col("pages") * 2 > F.col("n")).otherwise(F.col("pages") * 5 >= F.col("n")))
@@ -247,7 +247,7 @@ def main_text(pages: DataFrame, most_bytes: int = 32 << 20) -> DataFrame:
 
     The templates are joined to the pages by host: by broadcast as long as they take less than most_bytes, else by a shuffle.
     """
-    t = templates(pages).persist()
+    t = cut(templates(pages))
     size = t.agg(F.sum(F.length(F.to_json("template")))).first()[0] or 0
     star = t.where("host = '*'").select("template").first()
     common = article(star.template.asDict(True)) if star else ("", frozenset())
