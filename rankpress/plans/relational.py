@@ -40,18 +40,18 @@ def symbols(df: DataFrame, *keep: str) -> DataFrame:
 
 def pairs(df: DataFrame, *keep: str) -> DataFrame:
     """keep, pos, before, symbol: each code point with the one before it, the empty string at the start; no window needed."""
-    a = F.filter(F.split("text", ""), lambda x: x != "")
-    z = F.zip_with(F.concat(F.array(F.lit("")), F.slice(a, 1, F.greatest(F.size(a) - 1, F.lit(0)))), a, lambda x, y: F.struct(x.alias("before"), y.alias("symbol")))
-    return df.where("text is not null and text <> ''").select(*keep, F.posexplode(z).alias("pos", "p")).select(*keep, "pos", "p.*")
+    x = df.where("text is not null and text <> ''").select(*keep, F.split("text", "").alias("a"))
+    z = F.arrays_zip(F.col("a").alias("symbol"), F.concat(F.array(F.lit("")), "a").alias("before"))
+    return x.select(*keep, F.posexplode(z).alias("pos", "z")).select(*keep, "pos", "z.before", "z.symbol").where("symbol is not null")
 
 
 def triples(df: DataFrame, *keep: str) -> DataFrame:
     """keep, pos, b2, before, symbol: each code point with the two before it, empty strings before the start. The three
     shifted arrays are zipped before rows are made, so that no row carries an array."""
-    a = F.filter(F.split("text", ""), lambda x: x != "")
-    lag = lambda k: F.concat(F.array(*[F.lit("")] * k), a)
-    z = F.arrays_zip(a.alias("symbol"), lag(1).alias("before"), lag(2).alias("b2"))
-    x = df.where("text is not null and text <> ''").select(*keep, F.posexplode(z).alias("pos", "z"))
+    x = df.where("text is not null and text <> ''").select(*keep, F.split("text", "").alias("a"))
+    lag = lambda k: F.concat(F.array(*[F.lit("")] * k), "a")
+    z = F.arrays_zip(F.col("a").alias("symbol"), lag(1).alias("before"), lag(2).alias("b2"))
+    x = x.select(*keep, F.posexplode(z).alias("pos", "z"))
     return x.select(*keep, "pos", F.col("z.b2").alias("b2"), F.col("z.before").alias("before"), F.col("z.symbol").alias("symbol")).where("symbol is not null")
 
 
