@@ -10,7 +10,7 @@ Counts are taken over every training text. The commonest words up to a bound are
 meet their counts in a join, so nothing that grows with the corpus is broadcast. The network is fitted in numpy on a bounded
 sample of training texts (a documented parameter) by telling true classes and words from noise drawn from the unigrams.
 
-Words are known by a 64-bit hash of their bytes. Null and empty texts have one token, the end. Without training texts all
+Words are known by a 64-bit hash of their bytes. Null and empty texts have one token, the end, in training too. Without training texts all
 counts are zero, and scores too are finite. Repeated rows are scored one by one; other columns are ignored.
 """
 
@@ -252,7 +252,6 @@ def learn(docs: DataFrame, counted: DataFrame, words: int = 1 << 20, head: int =
 
 def scores(docs: DataFrame, train: DataFrame, **bounds) -> DataFrame:
     """doc_id, n_tokens, n_known, train_tokens, base_score, score for each row of docs, learning from the texts of train."""
-    train = train.where("text is not null")
     counted = cut(counts(train))
     model, least = learn(train, counted, **bounds)
     held = docs.sparkSession.sparkContext.broadcast(model)
