@@ -88,15 +88,21 @@ def links(fps: DataFrame, hot: int = 512) -> DataFrame:
     return near.union(far)
 
 
-def near_duplicates(docs: DataFrame, width: int = 3, hot: int = 512) -> DataFrame:
-    """One row per document: doc_id, fingerprint (16 hex digits), component_id, the smallest doc_id it reaches."""
-    f = cut(fingerprints(docs, width))
-    classes = cut(f.groupBy("fp").agg(F.min("doc_id").alias("first_id")))
+def near_duplicates(docs: DataFrame, width: int = 3, hot: int = 512, spread: int = 256) -> DataFrame:
+    """One row per document: doc_id, fingerprint (16 hex digits), component_id, the smallest doc_id it reaches.
+
+    The documents of one fingerprint are dealt to `spread` parts by their ids, and each part learns its component for itself: no
+    join brings more than a spread-th of a group of copies, or more than `spread` parts of it, to one key.
+    """
+    f = cut(fingerprints(docs, width)).withColumn("part", F.pmod(F.xxhash64("doc_id"), F.lit(spread)).cast("int"))
+    parts = cut(f.groupBy("fp", "part").agg(F.min("doc_id").alias("first_id")))
+    classes = cut(parts.groupBy("fp").agg(F.min("first_id").alias("first_id")))
     comp = components(links(classes.select("fp"), hot))
     root = comp.join(classes, comp.node == classes.fp).groupBy("root").agg(F.min("first_id").alias("low"))
     of = comp.join(root, "root").select(F.col("node").alias("fp"), "low")
     named = classes.join(of, "fp", "left").select("fp", F.coalesce("low", "first_id").alias("component_id"))
-    return f.join(named, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+    named = parts.select("fp", "part").join(named, "fp")
+    return f.join(named, ["fp", "part"]).select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
 def keep_one(docs: DataFrame, width: int = 3) -> DataFrame:
