@@ -16,6 +16,8 @@ fingerprint; an empty table gives an empty result; extra columns of the input ar
 
 from __future__ import annotations
 
+from decimal import Decimal
+
 import numpy as np
 import pyarrow as pa
 import xxhash
@@ -67,40 +69,44 @@ def _clears(value, bits: int):
     return F.transform(F.filter(F.sequence(F.lit(0), F.lit(bits - 1)), lambda i: F.getbit(value, i) == 1), lambda i: value.bitwiseXOR(F.call_function("shiftleft", F.lit(1).cast("long"), i)))
 
 
-def links(fps: DataFrame, hot: int = 512) -> DataFrame:
-    """(a, b): all pairs of different fingerprints (column fp, distinct) within two bits; some may come twice."""
+def links(fps: DataFrame, hot: int = 512, node: str = "fp") -> DataFrame:
+    """(a, b): all pairs of different fingerprints (column fp, distinct) within two bits, named by the column `node`; some may come twice."""
     # one long names the table and the half, and for probes says whether it is the exact one
-    seg = lambda which: _half("fp", which) + F.lit(which << 32)
-    index = fps.select(F.explode(F.array(seg(0), seg(1))).alias("k"), "fp")
-    probe = fps.select(F.explode(F.concat(F.array(seg(0), seg(1)), _clears(_half("fp", 0), 32))).alias("k"), "fp")
-    crowded = cut(index.groupBy("k").count().where(F.col("count") > hot).select("k"))
-    plenty = F.bit_count(F.col("fp").bitwiseXOR(F.col("fp2")))
-    table_ = index.withColumnRenamed("fp", "fp2").join(crowded, "k", "left_anti")
-    near = probe.join(table_, "k").where((F.col("fp") != F.col("fp2")) & (plenty <= 2)).select(F.col("fp").alias("a"), F.col("fp2").alias("b"))
+    fps = fps.select("fp", F.col(node).alias("id"))
+    there = fps.select(F.col("fp").alias("fp2"), F.col("id").alias("id2"))
+    seg = lambda which, fp: _half(fp, which) + F.lit(which << 32)
+    table_ = there.select(F.explode(F.array(seg(0, "fp2"), seg(1, "fp2"))).alias("k"), "fp2", "id2")
+    probe = fps.select(F.explode(F.concat(F.array(seg(0, "fp"), seg(1, "fp")), _clears(_half("fp", 0), 32))).alias("k"), "fp", "id")
+    crowded = cut(table_.groupBy("k").count().where(F.col("count") > hot).select("k"))
+    differ = F.bit_count(F.col("fp").bitwiseXOR(F.col("fp2")))
+    pair = (F.col("id").alias("a"), F.col("id2").alias("b"))
+    near = probe.join(table_.join(crowded, "k", "left_anti"), "k").where((F.col("fp") != F.col("fp2")) & (differ <= 2)).select(*pair)
     # members of crowded entries look for every key of their full ball among all fingerprints; links are symmetric
-    packed = index.join(crowded, "k", "left_semi").select("fp").distinct()
+    packed = table_.join(crowded, "k", "left_semi").select(F.col("fp2").alias("fp"), F.col("id2").alias("id")).distinct()
     bit = lambda i: F.call_function("shiftleft", F.lit(1).cast("long"), i)
     bits = F.sequence(F.lit(0), F.lit(63))
     one = F.transform(bits, bit)
     two = F.flatten(F.transform(F.sequence(F.lit(0), F.lit(62)), lambda i: F.transform(F.sequence(i + 1, F.lit(63)), lambda j: bit(i).bitwiseOR(bit(j)))))
-    ball = packed.select("fp", F.explode(F.concat(one, two)).alias("flip")).select("fp", F.col("fp").bitwiseXOR(F.col("flip")).alias("fp2"))
-    far = ball.join(fps.select(F.col("fp").alias("fp2")), "fp2").select(F.col("fp").alias("a"), F.col("fp2").alias("b"))
-    return near.union(far)
+    ball = packed.select("id", "fp", F.explode(F.concat(one, two)).alias("flip")).select("id", F.col("fp").bitwiseXOR(F.col("flip")).alias("fp2"))
+    return near.union(ball.join(there, "fp2").select(*pair))
 
 
 def near_duplicates(docs: DataFrame, width: int = 3, hot: int = 512, spread: int = 256) -> DataFrame:
     """One row per document: doc_id, fingerprint (16 hex digits), component_id, the smallest doc_id it reaches.
 
     The documents of one fingerprint are dealt to `spread` parts by their ids, and each part learns its component for itself: no
-    join brings more than a spread-th of a group of copies, or more than `spread` parts of it, to one key.
+    join brings more than a spread-th of a group of copies, or more than `spread` parts of it, to one key. A fingerprint is
+    linked under its smallest doc_id, so the root of a component is the id asked for; one that has null ids only gets a number
+    above all longs, and a component of such alone has a null component_id.
     """
     f = cut(fingerprints(docs, width)).withColumn("part", F.pmod(F.xxhash64("doc_id"), F.lit(spread)).cast("int"))
     parts = cut(f.groupBy("fp", "part").agg(F.min("doc_id").alias("first_id")))
-    classes = cut(parts.groupBy("fp").agg(F.min("first_id").alias("first_id")))
-    comp = components(links(classes.select("fp"), hot))
-    root = comp.join(classes, comp.node == classes.fp).groupBy("root").agg(F.min("first_id").alias("low"))
-    of = comp.join(root, "root").select(F.col("node").alias("fp"), "low")
-    named = classes.join(of, "fp", "left").select("fp", F.coalesce("low", "first_id").alias("component_id"))
+    classes = parts.groupBy("fp").agg(F.min("first_id").alias("first_id"))
+    beyond = (F.col("fp").cast("decimal(20,0)") + F.lit(Decimal(1 << 64))).cast("decimal(20,0)")
+    classes = cut(classes.select("fp", F.coalesce(F.col("first_id").cast("decimal(20,0)"), beyond).alias("node")))
+    comp = components(links(classes, hot, "node"))
+    low = F.coalesce("root", "node")
+    named = classes.join(comp, "node", "left").select("fp", F.when(low < F.lit(Decimal(1 << 63)), low).cast("long").alias("component_id"))
     named = parts.select("fp", "part").join(named, "fp")
     return f.join(named, ["fp", "part"]).select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 

@@ -95,6 +95,32 @@ def test_near_copies(odd, none):
     assert simhash.near_duplicates(none).count() == 0
 
 
+@pytest.mark.parametrize("spread", [256, 2])
+def test_components_of_near_copies_against_all_pairs(spark, sf, spread):
+    """Real texts, copies of them with a word changed, and rows without an id that link others."""
+    texts = [(r.doc_id, r.text) for r in spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text").orderBy("doc_id").limit(60).collect()]
+    rng, rows = np.random.default_rng(3), list(texts)
+    for i, t in texts[:20]:
+        words = t.split(" ")
+        for k in range(6):
+            words[rng.integers(len(words))] = "other"
+            rows.append((None if k % 2 else 1000 + 10 * i + k, " ".join(words)))
+    fps = [slow_fingerprint(t) for _, t in rows]
+    group = list(range(len(rows)))
+    for i in range(len(rows)):
+        for j in range(i):
+            if (fps[i] ^ fps[j]).bit_count() <= 2 and group[i] != group[j]:
+                old, new = group[i], group[j]
+                group = [new if g == old else g for g in group]
+    low = {}
+    for (i, _), g in zip(rows, group):
+        low[g] = min((x for x in (low.get(g), i) if x is not None), default=None)
+    want = sorted((str(i), f"{fp:016x}", str(low[g])) for (i, _), fp, g in zip(rows, fps, group))
+    got = simhash.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"), spread=spread).collect()
+    assert sorted((str(r.doc_id), r.fingerprint, str(r.component_id)) for r in got) == want
+    assert len(low) < len(rows) - 20
+
+
 # ------------------------------------------------------------------ classifiers and scores
 
 
