@@ -84,7 +84,7 @@ def language_places(spark, d):
     whole = w.rowsBetween(W.unboundedPreceding, W.unboundedFollowing)
     n = _docs(spark, d).groupBy("source", "lang").agg(F.sum(F.length("text")).alias("chars"))
     return n.select(
-        "source", "lang", "chars", F.dense_rank().over(w).alias("place"), r6(F.percent_rank().over(w)).alias("share"), F.ntile(2).over(w).alias("half"), F.first("chars").over(w).alias("most"),
+        "source", "lang", "chars", F.dense_rank().over(w).cast("long").alias("place"), r6(F.percent_rank().over(w)).alias("share"), F.ntile(2).over(w).cast("long").alias("half"), F.first("chars").over(w).alias("most"),
         F.nth_value("chars", 2).over(whole).alias("runner_up"), (F.lag("chars").over(w) - F.col("chars")).alias("step"),
     )
 
