@@ -6,7 +6,7 @@ calibrated. Decoding adds up the losses of all bits against each codeword, weigh
 language in training, and takes the codeword with the least loss; a small lead over the next one flags the text as ambiguous.
 
 Up to seven languages get the exhaustive code, more get random codewords spread by choice of the best of several draws.
-Training texts are a bounded sample of each language (parameters). Scoring reads whole texts.
+Training texts are a bounded sample of each language (a parameter). Learning and scoring read whole texts, however long.
 
 Null texts and texts without a letter: `und`, score 0. Ties go to the first language by code point. Without any training text
 every language is `und`; with one language, that one. Repeated rows are scored one by one; other columns are ignored.
@@ -18,7 +18,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window as W, functions as F
 
-from .common import as_bytes, chunks, fold, held_out, sampled_texts, table
+from .common import as_bytes, chunks, cut, fold, held_out, table
 
 DIM, ORDERS = 1 << 16, 4
 _PAD = b" " * ORDERS
@@ -80,19 +80,18 @@ class CodeModel:
             out[i:j] = total / np.maximum(n, 1)[:, None]
         return out
 
-    def fit(self, texts: list[str], lang: np.ndarray) -> CodeModel:
+    def weigh(self, freq: np.ndarray) -> CodeModel:
+        """The weights of each bit from the n-gram counts of each language."""
         k = len(self.langs)
-        freq = np.zeros((k, DIM))
-        for i, j in chunks(texts):
-            found, starts = grams(texts[i:j])
-            for bucket, counts in found:
-                who = np.repeat(lang[i:j], np.diff(starts))
-                freq += np.bincount(who[counts] * DIM + bucket[counts], minlength=k * DIM).reshape(k, DIM)
         share = (freq + 0.5) / (freq.sum(1, keepdims=True) + 0.5 * DIM)  # each language counts alike
         self.code = codewords(k)
         yes, no = (self.code > 0).astype(float), (self.code < 0).astype(float)
         self.weights = np.log((yes.T @ share) / np.maximum(yes.sum(0), 1)[:, None] / ((no.T @ share) / np.maximum(no.sum(0), 1)[:, None])).T.astype(np.float32) if k > 1 else np.zeros((DIM, 1), np.float32)
-        f, sign = self.margins(texts), self.code[lang]
+        return self
+
+    def calibrate(self, f: np.ndarray, lang: np.ndarray) -> CodeModel:
+        """Slopes, shifts and trust from the margins of texts of known languages."""
+        k, sign = len(self.langs), self.code[lang]
         self.slope = np.ones(f.shape[1])
         self.shift = np.zeros(f.shape[1])
         for b in range(f.shape[1]):  # a bit's margin becomes a log-odds: Newton steps of a logistic fit in two numbers
@@ -120,18 +119,53 @@ class CodeModel:
         return best, p[np.arange(len(p)), best], gap < lead
 
 
-def learn(docs: DataFrame, each: int = 1000, chars: int = 24_000_000) -> CodeModel:
-    """Fit on rows outside fold 0 of 5 with a language: at most `each` texts of a language and `chars` characters in all."""
+def counts(texts: list) -> np.ndarray:
+    """The n-grams of all texts by bucket."""
+    freq = np.zeros(DIM, np.int64)
+    for i, j in chunks(texts):
+        for bucket, where in grams(texts[i:j])[0]:
+            freq += np.bincount(bucket[where], minlength=DIM)
+    return freq
+
+
+def learn(docs: DataFrame, each: int = 1000) -> CodeModel:
+    """Fit on rows outside fold 0 of 5 with a language: at most `each` texts of a language, each whole however long.
+
+    The executors count n-grams, then take margins; the driver gets the counts of each language and the margins of each text.
+    """
     ids = docs.where("doc_id is not null and lang is not null and text is not null").where(fold("doc_id", 5) != 0).select("doc_id", "lang")
     order = W.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id")
-    picked = ids.withColumn("n", F.row_number().over(order)).where(F.col("n") <= each).select("doc_id", "lang").distinct()
-    got = sampled_texts(docs, picked, ["lang"], chars).collect()
-    got.sort(key=lambda r: (r.lang, r.doc_id))
-    langs = sorted({r.lang for r in got})
+    picked = cut(ids.withColumn("n", F.row_number().over(order)).where(F.col("n") <= each).select("doc_id", "lang").distinct())
+    langs = sorted(r.lang for r in picked.select("lang").distinct().collect())
     model = CodeModel(langs)
-    if langs:
-        model.fit([r.text for r in got], np.array([langs.index(r.lang) for r in got]))
-    return model
+    if not langs:
+        return model
+    texts = docs.select("doc_id", "text").join(F.broadcast(picked), "doc_id").where("text is not null")
+
+    def count(batches):
+        freq = {}
+        for b in batches:
+            names = b.column(0).to_pylist()
+            for g in set(names):
+                freq[g] = freq.get(g, 0) + counts([t for t, x in zip(b.column(1).to_pylist(), names) if x == g])
+        for g, n in freq.items():
+            at = np.flatnonzero(n)
+            yield pa.RecordBatch.from_arrays([pa.array([g] * len(at), pa.string()), pa.array(at), pa.array(n[at])], names=["lang", "bucket", "n"])
+
+    got = texts.select("lang", "text").mapInArrow(count, "lang string, bucket long, n long").groupBy("lang", "bucket").agg(F.sum("n").alias("n")).toArrow()
+    freq = np.zeros((len(langs), DIM))
+    freq[[langs.index(g) for g in got.column("lang").to_pylist()], got.column("bucket").to_numpy()] = got.column("n").to_numpy()
+    held = docs.sparkSession.sparkContext.broadcast(model.weigh(freq))
+
+    def margins(batches):
+        for b in batches:
+            f = held.value.margins(b.column(2).to_pylist())
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(f.tolist(), pa.list_(pa.float64()))], names=["doc_id", "lang", "f"])
+
+    kind = dict(docs.dtypes)["doc_id"]
+    rows = texts.select("doc_id", "lang", "text").mapInArrow(margins, f"doc_id {kind}, lang string, f array<double>").collect()
+    rows.sort(key=lambda r: (r.lang, r.doc_id, r.f))
+    return model.calibrate(np.array([r.f for r in rows]), np.array([langs.index(r.lang) for r in rows]))
 
 
 def predict(docs: DataFrame, model: CodeModel) -> DataFrame:

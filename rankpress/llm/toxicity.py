@@ -6,7 +6,7 @@ word beginnings minimises the corrected risk  prior*R_P(+) + max(0, R_U(-) - pri
 which is the sign of overfitting on U, the step ascends it instead. Features that P does not hold clearly more often, or
 less often, than U are left out first, so that long clean texts gather no noise.
 
-Both samples are bounded parameters (rows with the lowest hashes, and a budget of characters). Scoring reads every whole text.
+Both samples are bounded parameters (rows with the lowest hashes). Learning and scoring read whole texts, however long.
 
 Null and empty texts have no features and get the score of the bias; a doc_id with labels 0 and 1 counts as toxic; without a
 toxic example, or without any text, everything scores 0; repeated rows are scored one by one; other columns are ignored.
@@ -19,7 +19,7 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from .common import SpanHasher, as_bytes, chunks, fold, held_out, lowest_by_hash, mix, sampled_texts, table, word_spans
+from .common import SpanHasher, as_bytes, chunks, cut, fold, held_out, lowest_by_hash, mix, table, word_spans
 
 DIM = 1 << 18
 PREFIXES = (4, 5, 6)
@@ -59,8 +59,13 @@ def features(texts: list) -> tuple[np.ndarray, np.ndarray]:
 
 def select(cols: np.ndarray, in_p: np.ndarray, n_p: int, n_u: int, most: int) -> np.ndarray:
     """Features whose share in P and in U differs by far more than chance, the strongest `most` of them."""
-    p = (np.bincount(cols[in_p], minlength=DIM) + 0.5) / (n_p + 1)
-    u = (np.bincount(cols[~in_p], minlength=DIM) + 0.5) / (n_u + 1)
+    return strongest(np.bincount(cols[in_p], minlength=DIM), np.bincount(cols[~in_p], minlength=DIM), n_p, n_u, most)
+
+
+def strongest(with_p: np.ndarray, with_u: np.ndarray, n_p: int, n_u: int, most: int) -> np.ndarray:
+    """The same from the numbers of texts in P and in U that have each feature."""
+    p = (with_p + 0.5) / (n_p + 1)
+    u = (with_u + 0.5) / (n_u + 1)
     z = np.log(p / u) * np.sqrt(np.maximum(p * n_p, u * n_u * np.minimum(1, n_p / max(n_u, 1))))
     keep = np.flatnonzero((np.abs(np.log(p / u)) > 0.7) & (np.abs(z) > 5))
     return np.sort(keep[np.argsort(-np.abs(z[keep]), kind="stable")][:most])
@@ -104,12 +109,12 @@ class PuModel:
         return 0.5 * (1 + np.tanh(0.5 * z))
 
 
-def fit(rows: np.ndarray, cols: np.ndarray, n_p: int, n_u: int, prior: float, most: int = 1024) -> PuModel:
-    """From features() of n_p positive texts followed by n_u unlabelled ones."""
+def fit(rows: np.ndarray, cols: np.ndarray, n_p: int, n_u: int, prior: float, most: int = 1024, keep: np.ndarray | None = None) -> PuModel:
+    """From features() of n_p positive texts followed by n_u unlabelled ones; keep: the selected ones, where that is done."""
     weights = np.zeros(DIM, np.float32)
     if not n_p or not n_u:
         return PuModel(weights, None)
-    keep = select(cols, rows < n_p, n_p, n_u, most)
+    keep = select(cols, rows < n_p, n_p, n_u, most) if keep is None else keep
     at = np.full(DIM, -1, np.int32)
     at[keep] = np.arange(len(keep))
     x = np.zeros((n_p + n_u, len(keep) + 1), np.float32)
@@ -120,10 +125,10 @@ def fit(rows: np.ndarray, cols: np.ndarray, n_p: int, n_u: int, prior: float, mo
     return PuModel(weights, bias)
 
 
-def learn(docs: DataFrame, labels: DataFrame, n_p: int = 2000, n_u: int = 4000, chars: int = 15_000_000) -> PuModel:
-    """Fit on rows outside fold 0 of 5: at most n_p toxic texts and n_u of any kind, `chars` characters each.
+def learn(docs: DataFrame, labels: DataFrame, n_p: int = 2000, n_u: int = 4000, most: int = 1024) -> PuModel:
+    """Fit on rows outside fold 0 of 5: at most n_p toxic texts and n_u of any kind, each whole however long.
 
-    The executors extract the features; the driver gets them as numbers.
+    The executors extract the features and count the texts that have them; the driver gets the selected ones of each text.
     """
     known = labels.where("toxic is not null and doc_id is not null").where(fold("doc_id", 5) != 0).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     total, toxic = known.agg(F.count("*"), F.sum(F.when(F.col("toxic") == 1, 1).otherwise(0))).first()
@@ -139,13 +144,32 @@ def learn(docs: DataFrame, labels: DataFrame, n_p: int = 2000, n_u: int = 4000,
             cols = cols[np.argsort(rows, kind="stable")].astype(np.int32)
             yield pa.RecordBatch.from_arrays([pa.ListArray.from_arrays(pa.array(offsets), pa.array(cols))], names=["f"])
 
-    parts, sizes = [], []
+    tables, sizes, having = [], [], []
     for ids in (pos, any_):
-        f = sampled_texts(docs, ids, [], chars).select("text").repartition(8).mapInArrow(extract, "f array<int>").toArrow().column("f").combine_chunks()
-        n = np.diff(f.offsets.to_numpy()) if len(f) else np.zeros(0, int)
-        parts.append((np.repeat(np.arange(len(n), dtype=np.int32) + sum(sizes), n), f.flatten().to_numpy() if len(f) else np.zeros(0, np.int32)))
-        sizes.append(len(n))
-    return fit(np.concatenate([p[0] for p in parts]), np.concatenate([p[1] for p in parts]), *sizes, toxic / total)
+        f = cut(docs.select("doc_id", "text").join(F.broadcast(ids), "doc_id").select("text").mapInArrow(extract, "f array<int>"))
+        got = f.select(F.explode("f").alias("c")).groupBy("c").count().toArrow()
+        tables.append(f)
+        sizes.append(f.count())
+        having.append(np.bincount(got.column("c").to_numpy(), got.column("count").to_numpy(), DIM))
+    keep = strongest(*having, *sizes, most)
+    chosen = docs.sparkSession.sparkContext.broadcast(keep)
+
+    def reduce(batches):
+        for b in batches:
+            f = b.column(0)
+            cols = f.flatten().to_numpy()
+            m = np.isin(cols, chosen.value)
+            offsets = np.concatenate([[0], np.cumsum(m)])[f.offsets.to_numpy() - f.offsets[0].as_py()].astype(np.int32)
+            yield pa.RecordBatch.from_arrays([pa.ListArray.from_arrays(pa.array(offsets), pa.array(cols[m]))], names=["f"])
+
+    rows, cols, base = [], [], 0
+    for f, size in zip(tables, sizes):
+        got = f.mapInArrow(reduce, "f array<int>").toArrow().column("f").combine_chunks() if size else []
+        n = np.diff(got.offsets.to_numpy()) if size else np.zeros(0, int)
+        rows.append(np.repeat(np.arange(size) + base, n))
+        cols.append(got.flatten().to_numpy() if size else np.zeros(0, np.int32))
+        base += size
+    return fit(np.concatenate(rows), np.concatenate(cols), *sizes, toxic / total, most, keep)
 
 
 def score(docs: DataFrame, model: PuModel) -> DataFrame:

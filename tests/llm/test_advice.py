@@ -3,7 +3,7 @@
 import numpy as np
 import pytest
 
-from rankpress.llm import nearcopies
+from rankpress.llm import langid, nearcopies, toxicity
 
 
 def grams(t, width=5):
@@ -48,3 +48,31 @@ def test_near_copy_stage_against_all_pairs(spark, one_in, least):
     assert got == dict(enumerate(group))
     kept = sorted(r.doc_id for r in c.drop_near_copies(spark, docs, None).collect())
     assert kept == sorted(set(group)) and 25 < len(kept) < len(rows) // 2
+
+
+@pytest.fixture(scope="module")
+def long_first(spark):
+    """Texts of two languages, some toxic, and one of 25 million characters whose id hashes before all others."""
+    from pyspark.sql import functions as F
+
+    ids = [r.id for r in spark.range(4000).where(F.pmod(F.crc32(F.col("id").cast("string").cast("binary")), F.lit(5)) != 0).orderBy(F.xxhash64("id")).limit(301).collect()]
+    words = {"xx": "river stone green morning", "yy": "zug qwark vlim brox"}
+    rows = [(ids[0], "river stone " * 2_100_000, "xx")]
+    rows += [(i, f"{words['xx' if k % 2 else 'yy']} {'vile scum ' * 3 if k % 5 == 0 else 'plain fair '}" * 10, "xx" if k % 2 else "yy") for k, i in enumerate(ids[1:])]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string").repartition(4)
+    labels = spark.createDataFrame([(i, int("vile" in t or i == ids[0])) for i, t, _ in rows], "doc_id long, toxic int")
+    return docs, labels
+
+
+def test_toxicity_learns_behind_a_long_text(spark, long_first):
+    docs, labels = long_first
+    s = {r.doc_id: r.score for r in toxicity.score(docs, toxicity.learn(docs, labels)).collect()}
+    vile = [s[r.doc_id] for r in docs.where("text like '%vile%'").collect()]
+    fair = [s[r.doc_id] for r in docs.where("text like '%plain%'").collect()]
+    assert min(vile) > 0.5 > max(fair)
+
+
+def test_language_learns_behind_a_long_text(spark, long_first):
+    docs, _ = long_first
+    got = {r.doc_id: r.lang_pred for r in langid.predict(docs, langid.learn(docs)).collect()}
+    assert got == {r.doc_id: r.lang for r in docs.select("doc_id", "lang").collect()}
