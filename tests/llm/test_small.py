@@ -416,3 +416,51 @@ def test_pipeline(spark, odd, sf, marks, tmp_path):
         docs = spark.read.parquet(str(tmp_path / name))
     assert c.run(spark, str(tmp_path)).where("not round_trip").count() == 0
     assert [n for n, _ in c.STAGES] == ["toxicity", "quality", "near_copies", "mixing", "sentencepiece"]
+
+
+def _unnamed(i: int) -> str:
+    words = [f"w{(i * 7 + k * 13) % 101}" for k in range(40)]
+    paras = "".join(f"<p>{' '.join(words[k : k + 9])}.</p>" for k in range(0, 9 * (1 + i % 4), 9))
+    return f"<html><body><div class=q1><b>Start</b> Wares Contact us</div><div class=q2><h2>About {words[0]}</h2>{paras}</div><div class=q3>Teaser {words[5]} of {words[6]}</div><div class=q4>Kept by the owners since 1999</div></body></html>"
+
+
+def test_html_template_decides_without_names(spark):
+    d = spark.createDataFrame([(i, f"https://{'abc'[i % 3]}.org/{i}", _unnamed(i)) for i in range(120)], "page_id long, url string, html string")
+    for x in html.main_text(d, group=16).collect():
+        want = [b[2] for b in html.tokens(_unnamed(x.page_id)) if not isinstance(b, str) and "[q2]" in b[0]]
+        assert x.text == "\n".join(want) and x.n_chars == len(x.text)
+    pages = [html.tokens(_unnamed(i)) for i in range(12)]
+    on, off = html.Reader(pages), html.Reader(pages, support=99)  # a support that no token has: no template
+    assert len(on.template.classes) > 1 and not off.template.classes
+    assert all(on.text(k, p) != off.text(k, p) for k, p in enumerate(pages))
+
+
+def test_html_classes_against_brute_force():
+    from collections import Counter, defaultdict
+
+    pages = [html.tokens(_unnamed(i)) for i in range(10)]
+    flat = [[t for x in p for t in ([x] if isinstance(x, str) else [(x[0], w) for w in x[2].split(" ")])] for p in pages]
+    counts = [Counter(p) for p in flat]
+    groups = defaultdict(set)
+    for t in {t for p in flat for t in p}:
+        vector = tuple(c[t] for c in counts)
+        if sum(v > 0 for v in vector) >= 3:
+            groups[vector].add(t)
+    t = html.Template(pages)
+    assert len(t.classes) > 1
+    for c in t.classes:
+        vector = tuple(n[c[0]] for n in counts)
+        assert set(c) <= groups[vector]
+        for p, n in zip(flat, vector):  # one order, round by round
+            assert [x for x in p if x in set(c)] == c * n
+    root = next(c for c in t.classes if "/html" in c)  # what it leaves out breaks the order of what it holds
+    for x in groups[(1,) * 10] - set(root):
+        assert any(len({p.index(x) < p.index(y) for p in flat}) == 2 for y in root)
+    spans = [[(q.index(c[0]), len(q) - 1 - q[::-1].index(c[-1])) for q in flat if c[0] in q] for c in t.classes]
+    assert all(a <= b for s in spans for a, b in s)
+
+
+def test_html_names_that_vary_and_odd_pages():
+    story = lambda i: f"<html><body><div class=tagline><p>Daily {i}</p></div><article id=post-{i}><p>Story {i} goes on for quite a while and then it ends.</p></article></body></html>"
+    texts = html.articles(["h"] * 9, [story(i) for i in range(7)] + ["<html><body>gone", None])
+    assert texts[:7] == [f"Story {i} goes on for quite a while and then it ends." for i in range(7)] and texts[7:] == ["gone", ""]
