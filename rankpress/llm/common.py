@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 import numpy as np
-from pyspark.sql import Column, DataFrame, Window as W, functions as F
+from pyspark.sql import Column, DataFrame, functions as F
 
 from ..sources.tables import cut, shared_folder, table  # noqa: F401
 
@@ -26,14 +26,13 @@ def lowest_by_hash(df: DataFrame, key: str, n: int) -> DataFrame:
     return df.orderBy(F.xxhash64(F.col(key)), F.col(key)).limit(n)
 
 
-def sampled_texts(docs: DataFrame, picked: DataFrame, cols: list[str], chars: int) -> DataFrame:
-    """Texts of the picked ids (a bounded table, broadcast), at most `chars` code points in all.
-
-    docs: doc_id, text. picked: doc_id and `cols`. Rows past the budget in hash order are left out whole.
-    """
-    d = docs.select("doc_id", "text").join(F.broadcast(picked), "doc_id")
-    by = W.orderBy(F.xxhash64("doc_id"), "doc_id").rowsBetween(W.unboundedPreceding, 0)
-    return d.withColumn("_upto", F.sum(F.length("text")).over(by)).where(F.col("_upto") <= chars).select("doc_id", "text", *cols)
+def near_bound(df: DataFrame, key: str, by: str, n: int) -> DataFrame:
+    """About n rows of each value of `by`, all where there are fewer: those whose hash of the key lies below a threshold that
+    the value's number of rows sets. No sort, no window, and no row's place depends on another row."""
+    place = F.pmod(F.xxhash64(F.col(key)), F.lit(1 << 52)) / float(1 << 52)
+    sizes = df.groupBy(by).agg(F.count("*").alias("_of"), F.min(place).alias("_least")).where(F.col(by).isNotNull())
+    sizes = sizes.withColumn("_upto", F.when(F.col("_of") > n, (F.lit(float(n)) / F.col("_of"))).otherwise(1.0)).withColumnRenamed(by, "_by")
+    return df.join(F.broadcast(cut(sizes)), F.col(by) == F.col("_by")).where((place < F.col("_upto")) | (place == F.col("_least"))).drop("_by", "_of", "_least", "_upto")
 
 
 # ---------------------------------------------------------------- bytes of a batch of texts

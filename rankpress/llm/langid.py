@@ -16,9 +16,9 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window as W, functions as F
+from pyspark.sql import DataFrame, functions as F
 
-from .common import as_bytes, chunks, cut, fold, held_out, table
+from .common import as_bytes, chunks, fold, held_out, near_bound, table
 
 DIM, ORDERS = 1 << 16, 4
 _PAD = b" " * ORDERS
@@ -129,18 +129,14 @@ def counts(texts: list) -> np.ndarray:
 
 
 def learn(docs: DataFrame, each: int = 1000) -> CodeModel:
-    """Fit on rows outside fold 0 of 5 with a language: at most `each` texts of a language, each whole however long.
+    """Fit on rows outside fold 0 of 5 with a language: about `each` texts of a language (all, where there are fewer), picked by
+    a hash of the id below a threshold, each whole however long.
 
-    The executors count n-grams, then take margins; the driver gets the counts of each language and the margins of each text.
+    The executors count n-grams, then take margins; the driver gets the counts of each language and the margins of each text,
+    once for rows that are the same.
     """
-    ids = docs.where("doc_id is not null and lang is not null and text is not null").where(fold("doc_id", 5) != 0).select("doc_id", "lang")
-    order = W.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id")
-    picked = cut(ids.withColumn("n", F.row_number().over(order)).where(F.col("n") <= each).select("doc_id", "lang").distinct())
-    langs = sorted(r.lang for r in picked.select("lang").distinct().collect())
-    model = CodeModel(langs)
-    if not langs:
-        return model
-    texts = docs.select("doc_id", "text").join(F.broadcast(picked), "doc_id").where("text is not null")
+    d = docs.where("doc_id is not null and lang is not null and text is not null").where(fold("doc_id", 5) != 0).select("doc_id", "lang", "text")
+    texts = near_bound(d, "doc_id", "lang", each)
 
     def count(batches):
         freq = {}
@@ -149,10 +145,14 @@ def learn(docs: DataFrame, each: int = 1000) -> CodeModel:
             for g in set(names):
                 freq[g] = freq.get(g, 0) + counts([t for t, x in zip(b.column(1).to_pylist(), names) if x == g])
         for g, n in freq.items():
-            at = np.flatnonzero(n)
+            at = np.union1d(np.flatnonzero(n), [0])  # a row even for a language without a letter
             yield pa.RecordBatch.from_arrays([pa.array([g] * len(at), pa.string()), pa.array(at), pa.array(n[at])], names=["lang", "bucket", "n"])
 
     got = texts.select("lang", "text").mapInArrow(count, "lang string, bucket long, n long").groupBy("lang", "bucket").agg(F.sum("n").alias("n")).toArrow()
+    langs = sorted(set(got.column("lang").to_pylist()))
+    model = CodeModel(langs)
+    if not langs:
+        return model
     freq = np.zeros((len(langs), DIM))
     freq[[langs.index(g) for g in got.column("lang").to_pylist()], got.column("bucket").to_numpy()] = got.column("n").to_numpy()
     held = docs.sparkSession.sparkContext.broadcast(model.weigh(freq))
@@ -163,7 +163,7 @@ def learn(docs: DataFrame, each: int = 1000) -> CodeModel:
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(f.tolist(), pa.list_(pa.float64()))], names=["doc_id", "lang", "f"])
 
     kind = dict(docs.dtypes)["doc_id"]
-    rows = texts.select("doc_id", "lang", "text").mapInArrow(margins, f"doc_id {kind}, lang string, f array<double>").collect()
+    rows = texts.select("doc_id", "lang", "text").mapInArrow(margins, f"doc_id {kind}, lang string, f array<double>").distinct().collect()
     rows.sort(key=lambda r: (r.lang, r.doc_id, r.f))
     return model.calibrate(np.array([r.f for r in rows]), np.array([langs.index(r.lang) for r in rows]))
 

@@ -7,8 +7,10 @@ probability times its smoothed share of the group. So the probabilities of all w
 up to one, and normalising a token takes a sum over classes and one over a class: two batched matrix products.
 
 Counts are taken over every training text. The commonest words up to a bound are sent to all tasks with their counts; the rest
-meet their counts in a join, so nothing that grows with the corpus is broadcast. The network is fitted in numpy on a bounded
-sample of training texts (a documented parameter) by telling true classes and words from noise drawn from the unigrams.
+meet their counts in a join, so nothing that grows with the corpus is broadcast. The network is fitted in numpy by telling true
+classes and words from noise drawn from the unigrams, and it too sees every training text: these are dealt to chunks of about two
+million tokens, each chunk trains the network from the same start, and the weights are averaged over the chunks by their tokens, some
+chunks at a time. Work and number of chunks grow with the corpus; what a task holds does not.
 
 Words are known by a 64-bit hash of their bytes. Null and empty texts have one token, the end, in training too. Without training texts all
 counts are zero, and scores too are finite. Repeated rows are scored one by one; other columns are ignored.
@@ -16,11 +18,13 @@ counts are zero, and scores too are finite. Repeated rows are scored one by one;
 
 from __future__ import annotations
 
+import copy
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from .common import SpanHasher, as_bytes, chunks, cut, fold, held_out, lower_ascii, lowest_by_hash, mix, sampled_texts, table, word_spans
+from .common import SpanHasher, as_bytes, chunks, cut, fold, held_out, lower_ascii, mix, table, word_spans
 
 END = np.uint64(0x5EED0FE2D)  # stands for the hash of the end token
 GROUPS = 256
@@ -121,62 +125,92 @@ class LogBilinear:
             c[k:, k - 1][same] = out[:-k][same]
         return c
 
-    def train(self, texts: list, epochs: int = 3, batch: int = 2048, noise: int = 48, inside: int = 6, rate: float = 0.08, seed: int = 11) -> None:
-        """Noise-contrastive estimation with Adagrad; the noise for a class is shared by a batch."""
+    PARTS = ("r", "scale", "class_r", "class_b", "word_r", "word_b")
+
+    def weights(self) -> np.ndarray:
+        """All trained weights in one array."""
+        return np.concatenate([getattr(self, k).ravel() for k in self.PARTS]).astype(np.float32)
+
+    def with_weights(self, w: np.ndarray) -> LogBilinear:
+        """This model with other weights; the dictionary is shared."""
+        other, at = copy.copy(self), 0
+        for k in self.PARTS:
+            p = getattr(self, k)
+            setattr(other, k, w[at : at + p.size].reshape(p.shape).astype(np.float32))
+            at += p.size
+        return other
+
+    def train(self, texts: list, **how) -> LogBilinear:
+        """fit() on texts in memory."""
         parts, base = [], 0
         for i, j in chunks(texts):
             h, g, row = tokens(texts[i:j])
             parts.append((self.look_up(h, g)[1], row + base))
             base += j - i
-        if not parts:
-            return
-        out, row = (np.concatenate(x) for x in zip(*parts))
+        return self.fit(*(np.concatenate(x) for x in zip(*parts)), **how) if parts else self
+
+    def fit(self, out: np.ndarray, row: np.ndarray, epochs: int = 2, batch: int = 4096, noise: int = 64, inside: int = 8, rate: float = 0.08, seed: int = 11) -> LogBilinear:
+        """Noise-contrastive estimation with Adagrad on the outputs of whole texts; the noise for a class is shared by a batch, and
+        the noise within a class by the batch's tokens of the class."""
+        if not len(out):
+            return self
         ctx, rng = self.contexts(out, row), np.random.default_rng(seed)
         cum, cum_in = np.cumsum(self.class_p), np.cumsum(self.slot_w, axis=1)
-        acc = {k: np.full_like(getattr(self, k), 1e-2) for k in ("r", "scale", "class_r", "class_b", "word_r", "word_b")}
+        acc = {k: np.full_like(getattr(self, k), 1e-2) for k in self.PARTS}
         sig = lambda z: 0.5 * (1 + np.tanh(0.5 * z))
+        log_p, log_w = np.log(np.maximum(self.class_p, 1e-30)).astype(np.float32), np.log(np.maximum(self.slot_w, 1e-30)).astype(np.float32)
+        classes, size = self.word_b.shape
+        key_of = (self.class_of * size + self.slot_of)[np.arange(len(self.class_of))]
+
+        def step(p, s, at, total):
+            s[at] += total * total
+            p[at] -= rate * total / np.sqrt(s[at])
 
-        def step(name, index, grad):
-            """Adagrad on rows; repeated rows are summed first."""
-            p, s = getattr(self, name), acc[name]
-            flat_p, flat_s = p.reshape(-1, p.shape[-1]) if grad.ndim > 1 else p.reshape(-1), s.reshape(-1, s.shape[-1]) if grad.ndim > 1 else s.reshape(-1)
-            u, back = np.unique(index, return_inverse=True)
-            if grad.ndim > 1:
-                order = np.argsort(back, kind="stable")
-                total = np.add.reduceat(grad[order], np.searchsorted(back[order], np.arange(len(u))), axis=0)
-            else:
-                total = np.bincount(back, grad, len(u)).astype(np.float32)
-            flat_s[u] += total * total
-            flat_p[u] -= rate * total / np.sqrt(flat_s[u])
-
-        log_p, log_w = np.log(np.maximum(self.class_p, 1e-30)), np.log(np.maximum(self.slot_w, 1e-30))
-        size = self.word_b.shape[1]
+        word_r, word_b = self.word_r.reshape(classes * size, -1), self.word_b.reshape(-1)
+        acc_wr, acc_wb = acc["word_r"].reshape(classes * size, -1), acc["word_b"].reshape(-1)
         for _ in range(epochs):
             for b in np.array_split(rng.permutation(len(out)), max(1, len(out) // batch)):
-                c, o = ctx[b], out[b]
+                key = key_of[out[b]]
+                order = np.argsort(key, kind="stable")
+                b, key = b[order], key[order]  # by class and slot, so that sums over either are over runs
+                c, cls = ctx[b], key // size
                 e = self.r[c]
-                q = (e * self.scale).sum(1)
-                cls, slot = self.class_of[o], self.slot_of[o]
-                fake = np.minimum(np.searchsorted(cum, rng.random(noise)), len(cum) - 1)
-                d_true = sig((q * self.class_r[cls]).sum(1) + self.class_b[cls] - log_p[cls] - np.log(noise)) - 1
-                d_fake = sig(q @ self.class_r[fake].T + self.class_b[fake] - log_p[fake] - np.log(noise))
-                pick = np.minimum((cum_in[cls][:, None, :] < rng.random((len(b), inside))[:, :, None]).sum(2), size - 1)
-                slots = np.concatenate([slot[:, None], pick], axis=1)
-                wr = self.word_r[cls[:, None], slots]
-                d_word = sig((wr * q[:, None]).sum(2) + self.word_b[cls[:, None], slots] - log_w[cls[:, None], slots] - np.log(inside))
-                d_word[:, 0] -= 1
-                gq = d_true[:, None] * self.class_r[cls] + d_fake @ self.class_r[fake] + (d_word[:, :, None] * wr).sum(1)
+                q = np.einsum("bkd,kd->bd", e, self.scale)
+                words, at_word = np.unique(key, return_index=True)
+                have, at_cls = np.unique(cls, return_index=True)
+                fake = np.unique(np.minimum(np.searchsorted(cum, rng.random(noise)), classes - 1), return_counts=True)
+                d_true = sig(np.einsum("bd,bd->b", q, self.class_r[cls]) + self.class_b[cls] - log_p[cls] - np.float32(np.log(noise))) - 1
+                d_fake = sig(q @ self.class_r[fake[0]].T + self.class_b[fake[0]] - log_p[fake[0]] - np.float32(np.log(noise))) * fake[1]
+                gq = d_true[:, None] * self.class_r[cls] + d_fake.astype(np.float32) @ self.class_r[fake[0]]
+                wr = word_r[key]
+                d_word = sig(np.einsum("bd,bd->b", q, wr) + word_b[key] - log_w.reshape(-1)[key] - np.float32(np.log(inside))) - 1
+                gq += d_word[:, None] * wr
                 n = np.float32(1 / np.sqrt(len(b)))
-                idx = np.concatenate([cls, fake])
-                step("class_r", idx, np.concatenate([d_true[:, None] * q, d_fake.T @ q]).astype(np.float32) * n)
-                step("class_b", idx, np.concatenate([d_true, d_fake.sum(0)]) * n)
-                at = (cls[:, None] * size + slots).ravel()
-                step("word_r", at, (d_word[:, :, None] * q[:, None]).reshape(-1, q.shape[1]).astype(np.float32) * n)
-                step("word_b", at, d_word.ravel() * n)
-                step("r", c.ravel(), (gq[:, None] * self.scale).reshape(-1, q.shape[1]).astype(np.float32) * n)
-                gs = (gq[:, None] * e).sum(0).astype(np.float32) * n
+                g_noise, k_noise, b_noise = [], [], []
+                for k, i, j in zip(have.tolist(), at_cls.tolist(), [*at_cls[1:].tolist(), len(b)]):
+                    pick = np.unique(np.minimum(np.searchsorted(cum_in[k], rng.random(inside)), size - 1), return_counts=True)
+                    at = k * size + pick[0]
+                    d = (sig(q[i:j] @ word_r[at].T + word_b[at] - log_w[k, pick[0]] - np.float32(np.log(inside))) * pick[1]).astype(np.float32)
+                    gq[i:j] += d @ word_r[at]
+                    g_noise.append(d.T @ q[i:j]), k_noise.append(at), b_noise.append(d.sum(0))
+                g_r = np.add.reduceat(d_true[:, None] * q, at_cls) * n
+                step(self.class_r, acc["class_r"], have, g_r)
+                step(self.class_b, acc["class_b"], have, np.add.reduceat(d_true, at_cls) * n)
+                step(self.class_r, acc["class_r"], fake[0], (d_fake.T @ q).astype(np.float32) * n)
+                step(self.class_b, acc["class_b"], fake[0], d_fake.sum(0).astype(np.float32) * n)
+                step(word_r, acc_wr, words, np.add.reduceat(d_word[:, None] * q, at_word) * n)
+                step(word_b, acc_wb, words, np.add.reduceat(d_word, at_word) * n)
+                k_noise = np.concatenate(k_noise)
+                step(word_r, acc_wr, k_noise, np.concatenate(g_noise) * n)
+                step(word_b, acc_wb, k_noise, np.concatenate(b_noise) * n)
+                for k in range(CONTEXT):
+                    order = np.argsort(c[:, k], kind="stable")
+                    who, at = np.unique(c[order, k], return_index=True)
+                    step(self.r, acc["r"], who, np.add.reduceat(gq[order], at) * self.scale[k] * n)
+                gs = np.einsum("bd,bkd->kd", gq, e) * n
                 acc["scale"] += gs * gs
                 self.scale -= 0.2 * rate * gs / np.sqrt(acc["scale"])
+        return self
 
     def log_probs(self, out: np.ndarray, ctx: np.ndarray) -> np.ndarray:
         """Natural log-probability of each output, normalised over all outputs."""
@@ -221,11 +255,10 @@ class LogBilinear:
         return n_tokens, np.bincount(row, inside, m).astype(np.int64), base, model, (row[~inside], h[~inside])
 
 
-def learn(docs: DataFrame, counted: DataFrame, words: int = 1 << 20, head: int = 3840, sample: int = 1200, chars: int = 4_000_000) -> tuple[LogBilinear, int]:
+def learn(docs: DataFrame, counted: DataFrame, words: int = 1 << 20, head: int = 3840, chunk: int = 2_000_000) -> tuple[LogBilinear, int]:
     """The model, and the least count of a dictionary word.
 
-    docs: training texts; counted: counts(docs). words: bound of the dictionary. sample, chars: bounds of the texts that
-    the network is fitted on.
+    docs: training texts; counted: counts(docs). words: bound of the dictionary. chunk: tokens that one task trains on.
     """
     step = F.floor(F.log2("c") * 8).cast("int")
     hist = counted.groupBy(step.alias("s")).agg(F.count("*").alias("n"), F.sum("c").alias("c")).orderBy(F.desc("s")).collect()
@@ -245,9 +278,48 @@ def learn(docs: DataFrame, counted: DataFrame, words: int = 1 << 20, head: int =
     top = np.lexsort((h, -c))[:head]
     mass = np.maximum(mass - np.bincount(g[top], c[top] + 0.1, GROUPS), 0.1)
     model = LogBilinear(h, c, mass, n, v, head)
-    picked = lowest_by_hash(docs.select("doc_id").where("doc_id is not null").distinct(), "doc_id", sample)
-    model.train([r.text for r in sampled_texts(docs, picked, [], chars).select("text").collect()])
-    return model, least
+    return fitted(docs, model, chunk), least
+
+
+def fitted(docs: DataFrame, model: LogBilinear, chunk: int) -> LogBilinear:
+    """The model trained on all texts, chunk by chunk from the same start, its weights averaged."""
+    held = docs.sparkSession.sparkContext.broadcast(model)
+
+    def outputs(batches):
+        for b in batches:
+            texts = b.column(1).to_pylist()
+            for i, j in chunks(texts):
+                h, g, row = tokens(texts[i:j])
+                out = held.value.look_up(h, g)[1].astype(np.int16 if held.value.n_head + GROUPS < 1 << 15 else np.int32)
+                offsets = np.searchsorted(row, np.arange(j - i + 1)).astype(np.int32)
+                yield pa.RecordBatch.from_arrays([b.column(0).slice(i, j - i), pa.ListArray.from_arrays(pa.array(offsets), pa.array(out))], names=["row", "out"])
+
+    def one(t: pa.Table) -> pa.Table:
+        t = t.sort_by("row")
+        out = t.column("out").combine_chunks()
+        row = np.repeat(np.arange(len(out)), np.diff(out.offsets.to_numpy()))
+        m = held.value
+        w = m.with_weights(m.weights()).fit(out.flatten().to_numpy().astype(np.int64), row).weights()
+        return pa.table({"k": t.column("k").slice(0, 1), "n": pa.array([len(row)], pa.int64()), "w": pa.array([w.tobytes()], pa.binary())})
+
+    def merge(t: pa.Table) -> pa.Table:
+        t = t.sort_by("k")
+        n = t.column("n").to_numpy()
+        w = np.zeros(len(m0), np.float64)
+        for x, y in zip(t.column("w"), n):
+            w += np.frombuffer(x.as_py(), np.float32) * (y / n.sum())
+        return pa.table({"k": t.column("k").slice(0, 1), "n": pa.array([n.sum()], pa.int64()), "w": pa.array([w.astype(np.float32).tobytes()], pa.binary())})
+
+    m0 = model.weights()
+    n = max(1, round(model.n / chunk))
+    kind = "smallint" if model.n_head + GROUPS < 1 << 15 else "int"
+    d = docs.select(F.monotonically_increasing_id().alias("row"), "text").mapInArrow(outputs, f"row long, out array<{kind}>")
+    d = d.withColumn("k", F.pmod(F.xxhash64("row"), F.lit(n)))
+    got, schema = d.groupBy("k").applyInArrow(one, "k long, n long, w binary"), "k long, n long, w binary"
+    while n > 16:  # sixteen models at a time, so that no task holds more
+        got, n = got.withColumn("k", F.expr("k div 16")).groupBy("k").applyInArrow(merge, schema), -(-n // 16)
+    got = got.toArrow()
+    return model.with_weights(np.frombuffer(merge(got).column("w")[0].as_py(), np.float32)) if got.num_rows else model
 
 
 def scores(docs: DataFrame, train: DataFrame, **bounds) -> DataFrame:

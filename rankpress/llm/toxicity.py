@@ -1,12 +1,14 @@
 """Toxicity by non-negative positive-unlabelled learning (operator 8).
 
-Training sees confirmed toxic texts (P) and a sample of all texts of the training folds whatever their label (U); the class
+Training sees confirmed toxic texts (P) and all texts of the training folds whatever their label (U); the class
 prior is the toxic share of the labelled rows of the training folds. A linear model over the presence of hashed words and
 word beginnings minimises the corrected risk  prior*R_P(+) + max(0, R_U(-) - prior*R_P(-)):  where the bracket turns negative,
 which is the sign of overfitting on U, the step ascends it instead. Features that P does not hold clearly more often, or
 less often, than U are left out first, so that long clean texts gather no noise.
 
-Both samples are bounded parameters (rows with the lowest hashes). Learning and scoring read whole texts, however long.
+P is a bounded sample of labelled rows (a parameter: the rows with the lowest hashes). U is everything: the texts are dealt to chunks
+of equal size, each chunk minimises the risk with P against its own share of U, and the weights are averaged over the chunks by
+their numbers of texts, so the work grows with the corpus and stays in the tasks. Learning and scoring read whole texts.
 
 Null and empty texts have no features and get the score of the bias; a doc_id with labels 0 and 1 counts as toxic; without a
 toxic example, or without any text, everything scores 0; repeated rows are scored one by one; other columns are ignored.
@@ -22,6 +24,7 @@ from pyspark.sql import DataFrame, functions as F
 from .common import SpanHasher, as_bytes, chunks, cut, fold, held_out, lowest_by_hash, mix, table, word_spans
 
 DIM = 1 << 18
+SCALE = 1 << 20  # weights are summed as whole parts of this, so that sums do not depend on their order
 PREFIXES = (4, 5, 6)
 _LETTER = np.zeros(256, bool)
 _LETTER[97:123] = True
@@ -57,13 +60,9 @@ def features(texts: list) -> tuple[np.ndarray, np.ndarray]:
     return np.concatenate(rows), np.concatenate(cols)
 
 
-def select(cols: np.ndarray, in_p: np.ndarray, n_p: int, n_u: int, most: int) -> np.ndarray:
-    """Features whose share in P and in U differs by far more than chance, the strongest `most` of them."""
-    return strongest(np.bincount(cols[in_p], minlength=DIM), np.bincount(cols[~in_p], minlength=DIM), n_p, n_u, most)
-
-
 def strongest(with_p: np.ndarray, with_u: np.ndarray, n_p: int, n_u: int, most: int) -> np.ndarray:
-    """The same from the numbers of texts in P and in U that have each feature."""
+    """Features whose share in P and in U differs by far more than chance, the strongest `most` of them, from the numbers of texts
+    that have each feature."""
     p = (with_p + 0.5) / (n_p + 1)
     u = (with_u + 0.5) / (n_u + 1)
     z = np.log(p / u) * np.sqrt(np.maximum(p * n_p, u * n_u * np.minimum(1, n_p / max(n_u, 1))))
@@ -109,67 +108,97 @@ class PuModel:
         return 0.5 * (1 + np.tanh(0.5 * z))
 
 
-def fit(rows: np.ndarray, cols: np.ndarray, n_p: int, n_u: int, prior: float, most: int = 1024, keep: np.ndarray | None = None) -> PuModel:
-    """From features() of n_p positive texts followed by n_u unlabelled ones; keep: the selected ones, where that is done."""
-    weights = np.zeros(DIM, np.float32)
-    if not n_p or not n_u:
-        return PuModel(weights, None)
-    keep = select(cols, rows < n_p, n_p, n_u, most) if keep is None else keep
+def fit(rows: np.ndarray, cols: np.ndarray, n_p: int, n_u: int, prior: float, most: int = 1024) -> PuModel:
+    """From features() of n_p positive texts followed by n_u unlabelled ones, in memory."""
+    keep = strongest(np.bincount(cols[rows < n_p], minlength=DIM), np.bincount(cols[rows >= n_p], minlength=DIM), n_p, n_u, most)
+    order = np.argsort(rows, kind="stable")
+    lists = pa.ListArray.from_arrays(pa.array(np.searchsorted(rows[order], np.arange(n_p + n_u + 1)).astype(np.int32)), pa.array(cols[order].astype(np.int32)))
+    x, weights = dense(lists, keep), np.zeros(DIM, np.float32)
+    weights[keep], bias, _ = train(x[:n_p], x[n_p:], min(max(prior, 1e-4), 0.9))
+    return PuModel(weights, bias)
+
+
+def dense(lists: pa.ListArray, keep: np.ndarray) -> np.ndarray:
+    """A 0/1 row for each list over the features `keep`, and the constant one."""
     at = np.full(DIM, -1, np.int32)
     at[keep] = np.arange(len(keep))
-    x = np.zeros((n_p + n_u, len(keep) + 1), np.float32)
+    x = np.zeros((len(lists), len(keep) + 1), np.float32)
     x[:, -1] = 1
-    m = at[cols] >= 0
-    x[rows[m], at[cols[m]]] = 1
-    weights[keep], bias, _ = train(x[:n_p], x[n_p:], min(max(prior, 1e-4), 0.9))
-    return PuModel(weights, bias)
+    rows = np.repeat(np.arange(len(lists)), np.diff(lists.offsets.to_numpy()))
+    cols = at[lists.flatten().to_numpy()]
+    x[rows[cols >= 0], cols[cols >= 0]] = 1
+    return x
 
 
-def learn(docs: DataFrame, labels: DataFrame, n_p: int = 2000, n_u: int = 4000, most: int = 1024) -> PuModel:
-    """Fit on rows outside fold 0 of 5: at most n_p toxic texts and n_u of any kind, each whole however long.
+def _lists(texts: list) -> pa.ListArray:
+    """features() as a list for each text."""
+    rows, cols = features(texts)
+    offsets = np.searchsorted(np.sort(rows), np.arange(len(texts) + 1)).astype(np.int32)
+    return pa.ListArray.from_arrays(pa.array(offsets), pa.array(cols[np.argsort(rows, kind="stable")].astype(np.int32)))
 
-    The executors extract the features and count the texts that have them; the driver gets the selected ones of each text.
-    """
+
+def _having(df: DataFrame) -> tuple[np.ndarray, int]:
+    """(number of texts that have each feature, number of texts) of a column of texts, counted within tasks first."""
+
+    def run(batches):
+        n, size = np.zeros(DIM, np.int64), 0
+        for b in batches:
+            for i in range(0, b.num_rows, 4096):
+                n += np.bincount(features(b.column(0).slice(i, 4096).to_pylist())[1], minlength=DIM)
+            size += b.num_rows
+        at = np.flatnonzero(n)
+        yield pa.RecordBatch.from_arrays([pa.array(np.append(at, -1)), pa.array(np.append(n[at], size))], names=["c", "n"])
+
+    got = df.mapInArrow(run, "c long, n long").groupBy("c").agg(F.sum("n").alias("n")).toArrow()
+    c, n = got.column("c").to_numpy(), got.column("n").to_numpy()
+    out = np.zeros(DIM, np.int64)
+    out[c[c >= 0]] = n[c >= 0]
+    return out, int(n[c < 0].sum())
+
+
+def learn(docs: DataFrame, labels: DataFrame, n_p: int = 2000, chunk: int = 4096, most: int = 1024) -> PuModel:
+    """Fit on rows outside fold 0 of 5: at most n_p toxic texts, and all texts in chunks of about `chunk`, each whole however long."""
+    nothing = PuModel(np.zeros(DIM, np.float32), None)
     known = labels.where("toxic is not null and doc_id is not null").where(fold("doc_id", 5) != 0).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     total, toxic = known.agg(F.count("*"), F.sum(F.when(F.col("toxic") == 1, 1).otherwise(0))).first()
     if not toxic:
-        return PuModel(np.zeros(DIM, np.float32), None)
-    pos = lowest_by_hash(known.where("toxic = 1").select("doc_id"), "doc_id", n_p)
-    any_ = lowest_by_hash(docs.where("doc_id is not null").where(fold("doc_id", 5) != 0).select("doc_id").distinct(), "doc_id", n_u)
-
-    def extract(batches):
-        for b in batches:
-            rows, cols = features(b.column(0).to_pylist())
-            offsets = np.searchsorted(np.sort(rows), np.arange(b.num_rows + 1)).astype(np.int32)
-            cols = cols[np.argsort(rows, kind="stable")].astype(np.int32)
-            yield pa.RecordBatch.from_arrays([pa.ListArray.from_arrays(pa.array(offsets), pa.array(cols))], names=["f"])
-
-    tables, sizes, having = [], [], []
-    for ids in (pos, any_):
-        f = cut(docs.select("doc_id", "text").join(F.broadcast(ids), "doc_id").select("text").mapInArrow(extract, "f array<int>"))
-        got = f.select(F.explode("f").alias("c")).groupBy("c").count().toArrow()
-        tables.append(f)
-        sizes.append(f.count())
-        having.append(np.bincount(got.column("c").to_numpy(), got.column("count").to_numpy(), DIM))
-    keep = strongest(*having, *sizes, most)
-    chosen = docs.sparkSession.sparkContext.broadcast(keep)
+        return nothing
+    sc = docs.sparkSession.sparkContext
+    ids = lowest_by_hash(known.where("toxic = 1").select("doc_id"), "doc_id", n_p)
+    p = cut(docs.select("doc_id", "text").join(F.broadcast(ids), "doc_id").dropDuplicates(["doc_id"]).select("text"))
+    u = docs.where("doc_id is not null").where(fold("doc_id", 5) != 0).select("text")
+    (with_p, size_p), (with_u, size_u) = _having(p), _having(u)
+    if not size_p or not size_u:
+        return nothing
+    keep = strongest(with_p, with_u, size_p, size_u, most)
+    chosen = sc.broadcast(np.isin(np.arange(DIM), keep))
 
     def reduce(batches):
         for b in batches:
-            f = b.column(0)
-            cols = f.flatten().to_numpy()
-            m = np.isin(cols, chosen.value)
-            offsets = np.concatenate([[0], np.cumsum(m)])[f.offsets.to_numpy() - f.offsets[0].as_py()].astype(np.int32)
-            yield pa.RecordBatch.from_arrays([pa.ListArray.from_arrays(pa.array(offsets), pa.array(cols[m]))], names=["f"])
-
-    rows, cols, base = [], [], 0
-    for f, size in zip(tables, sizes):
-        got = f.mapInArrow(reduce, "f array<int>").toArrow().column("f").combine_chunks() if size else []
-        n = np.diff(got.offsets.to_numpy()) if size else np.zeros(0, int)
-        rows.append(np.repeat(np.arange(size) + base, n))
-        cols.append(got.flatten().to_numpy() if size else np.zeros(0, np.int32))
-        base += size
-    return fit(np.concatenate(rows), np.concatenate(cols), *sizes, toxic / total, most, keep)
+            for i in range(0, b.num_rows, 4096):
+                f = _lists(b.column(0).slice(i, 4096).to_pylist())
+                cols = f.flatten().to_numpy()
+                m = chosen.value[cols]
+                offsets = np.concatenate([[0], np.cumsum(m)])[f.offsets.to_numpy()].astype(np.int32)
+                yield pa.RecordBatch.from_arrays([pa.ListArray.from_arrays(pa.array(offsets), pa.array(cols[m]))], names=["f"])
+
+    rows = sorted(r.f for r in p.mapInArrow(reduce, "f array<int>").collect())
+    x_p = sc.broadcast(dense(pa.array(rows, pa.list_(pa.int32())), keep))
+    prior = min(max(toxic / total, 1e-4), 0.9)
+    chunks_ = max(1, round(size_u / chunk))
+
+    def share(t: pa.Table) -> pa.Table:
+        x = dense(t.column("f").combine_chunks(), keep)
+        x = x[np.lexsort(x.T[::-1][:32])]  # the same sums whatever order the rows come in
+        w, bias, _ = train(x_p.value, x, prior)
+        return pa.table({"i": np.arange(len(w) + 1), "w": np.rint(np.append(w, bias).astype(float) * SCALE).astype(np.int64) * len(x), "n": np.full(len(w) + 1, len(x))})
+
+    dealt = u.mapInArrow(reduce, "f array<int>").select(F.pmod(F.xxhash64(F.monotonically_increasing_id()), F.lit(chunks_)).alias("k"), "f")
+    got = dealt.groupBy("k").applyInArrow(share, "i long, w long, n long").groupBy("i").agg(F.sum(F.col("w").cast("decimal(38,0)")).cast("double").alias("w"), F.sum("n").alias("n")).orderBy("i").toArrow()
+    mean = got.column("w").to_numpy() / got.column("n").to_numpy() / SCALE
+    weights = np.zeros(DIM, np.float32)
+    weights[keep] = mean[:-1]
+    return PuModel(weights, float(mean[-1]))
 
 
 def score(docs: DataFrame, model: PuModel) -> DataFrame:
