@@ -1,21 +1,23 @@
 """Mixing sources to target weights by a low-discrepancy schedule (operator 9), in DataFrame functions only.
 
 The documents of a source, shuffled by a digest of their id, are laid end to end and cut into blocks of equally many words.
-A schedule of slots takes blocks: slot i stands at the van der Corput point of i, the points' axis is shared out among the
-sources in proportion to the blocks that each has to give, and the r-th slot of a source takes its r-th block, the blocks
-going round once more where the target exceeds the source. So every stretch of the schedule holds the sources in nearly
-their shares, and a source's slots are exactly as many as its target needs; its last slot is trimmed to the target.
+A schedule of slots takes blocks, one to a slot: slot i stands at the van der Corput point of i, and belongs to the source in whose
+stretch of the axis the point falls; the stretches are the cumulative targets, counted in blocks. The r-th slot of a source takes
+its r-th block, and the blocks go round once more where the target exceeds the source. So every stretch of the schedule, from its first
+slot on, holds the sources in nearly their shares; a source's last slot is trimmed to the target.
 
 Nothing is ranked over a whole source: running sums and ranks are taken within small buckets and moved by bucket totals, so a
-source with a third of all rows is spread like the others.
+source with a third of all rows is spread like the others. The points are made by all tasks.
 
-A null text has size 0; a null source is a source of its own, the last; documents of size 0 take part with nothing taken;
-repeated rows are documents of their own; without any word all targets are 0; an empty table gives an empty result; other
-columns are ignored by the query and kept by mixed().
+A null text has size 0; a null source is a source of its own, the last; documents of size 0 take part with nothing taken and no slot;
+null ids share a digest and stand side by side in their source; repeated rows are documents of their own; without any word all
+targets are 0; an empty table gives an empty result; other columns are ignored by the query and kept by mixed().
 """
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import Column, DataFrame, Window as W, functions as F
 
 from .common import WORD_RE, cut, table
@@ -80,11 +82,11 @@ def _running(df: DataFrame, keys: list[str], bucket: str, order: list, value: Co
 
 def schedule(p: DataFrame) -> DataFrame:
     """(slot, source, block_no, turn, take): the mix in its order; turn 0 is the first passage of a source's blocks."""
-    i = p.agg(F.max("bits").alias("bits")).select("bits", F.explode(F.sequence(F.lit(0).cast("long"), F.expr("shiftleft(1L, bits) div 256"))).alias("hi"))
-    i = i.select("bits", F.explode(F.transform(F.sequence(F.lit(0), F.lit(255)), lambda k: F.col("hi") * 256 + k)).alias("slot")).where("slot < shiftleft(1L, bits)")
-    point = F.aggregate(F.sequence(F.lit(0), F.col("bits") - 1), F.lit(0).cast("long"), lambda acc, k: acc * 2 + F.getbit("slot", k).cast("long"))
-    i = i.withColumn("point", point).drop("bits")
-    s = i.join(p, (F.col("point") >= F.col("first")) & (F.col("point") < F.col("first") + F.col("n_slots"))).withColumn("chunk", F.expr("slot div 4096"))
+    bits = p.agg(F.max("bits")).first()[0] or 0
+    bit = lambda k: F.expr(f"shiftleft(cast(getbit(slot, {k}) as bigint), {bits - 1 - k})")
+    point = reduce(lambda a, b: a + b, map(bit, range(bits)), F.lit(0).cast("long"))
+    s = p.sparkSession.range(1 << bits if bits else 0).select(F.col("id").alias("slot")).withColumn("point", point)
+    s = s.join(F.broadcast(p), (F.col("point") >= F.col("first")) & (F.col("point") < F.col("first") + F.col("n_slots"))).withColumn("chunk", F.expr("slot div 4096"))
     s = _running(s, ["source"], "chunk", ["slot"], F.lit(1).cast("long"), "rank")
     s = s.withColumns({"turn": F.when(F.col("rank") >= F.col("n_blocks"), 1).otherwise(0), "block_no": F.expr("rank % n_blocks")})
     left = F.when(F.col("turn") == 0, F.least("words", "source_size")).otherwise(F.col("words") - F.col("source_size")) - F.col("block_no") * F.col("block")
@@ -92,19 +94,23 @@ def schedule(p: DataFrame) -> DataFrame:
 
 
 def mix(docs: DataFrame, slots: int = 1 << 18) -> DataFrame:
-    """docs with size, source_size, target, taken; the words that the schedule takes of each document, repeats counted."""
+    """docs with size, source_size, target, taken (the words that the schedule takes of each document, repeats counted), first_slot and
+    n_slots: the earliest slot that takes of it, null if none does, and how many do."""
     sized = cut(sizes(docs.select(F.monotonically_increasing_id().alias("row"), "doc_id", "source", "text")).drop("text"))
     p = cut(plan(sized, slots))
-    given = schedule(p).groupBy("source", "block_no").agg(F.max(F.when(F.col("turn") == 0, F.col("take"))).alias("t0"), F.max(F.when(F.col("turn") == 1, F.col("take"))).alias("t1"))
+    at_turn = lambda k: F.max(F.when(F.col("turn") == k, F.struct("slot", "take"))).alias(f"t{k}")
+    given = schedule(p).groupBy("source", "block_no").agg(at_turn(0), at_turn(1))
     laid = _running(sized.withColumn("bucket", F.conv(F.substring("shuffled", 1, 3), 16, 10).cast("int")), ["source"], "bucket", ["shuffled", "doc_id", "size"], F.col("size"), "begin")
-    laid = laid.alias("l").join(p.alias("p"), F.col("l.source").eqNullSafe(F.col("p.source"))).select("l.*", "p.source_size", "p.target", "p.block")
+    laid = laid.alias("l").join(F.broadcast(p).alias("p"), F.col("l.source").eqNullSafe(F.col("p.source"))).select("l.*", "p.source_size", "p.target", "p.block")
     cover = F.when(F.col("size") > 0, F.sequence(F.expr("begin div block"), F.expr("(begin + size - 1) div block")))
     parts = laid.withColumn("block_no", F.explode_outer(cover))
     got = parts.alias("a").join(given.alias("g"), F.col("a.source").eqNullSafe(F.col("g.source")) & (F.col("a.block_no") == F.col("g.block_no")), "left").select("a.*", "g.t0", "g.t1")
     at = F.col("block_no") * F.col("block")
-    words = lambda t: F.greatest(F.lit(0), F.least(F.col("begin") + F.col("size"), at + F.col(t)) - F.greatest("begin", at))
-    words = [F.when(F.col(t).isNull(), 0).otherwise(words(t)) for t in ("t0", "t1")]
-    return got.groupBy("row").agg(*(F.first(c).alias(c) for c in ("doc_id", "size", "source_size", "target")), F.sum(words[0] + words[1]).alias("taken"))
+    words = lambda t: F.when(F.col(t).isNull(), 0).otherwise(F.greatest(F.lit(0), F.least(F.col("begin") + F.col("size"), at + F.col(t)["take"]) - F.greatest("begin", at)))
+    got = got.withColumns({"w0": words("t0"), "w1": words("t1")})
+    first = F.min(F.least(*(F.when(F.col(f"w{k}") > 0, F.col(f"t{k}")["slot"]) for k in (0, 1)))).alias("first_slot")
+    n = F.sum((F.col("w0") > 0).cast("long") + (F.col("w1") > 0).cast("long")).alias("n_slots")
+    return got.groupBy("row").agg(*(F.first(c).alias(c) for c in ("doc_id", "size", "source_size", "target")), F.sum(F.col("w0") + F.col("w1")).alias("taken"), first, n)
 
 
 def mixed(docs: DataFrame, slots: int = 1 << 18) -> DataFrame:
@@ -120,7 +126,7 @@ def mixed(docs: DataFrame, slots: int = 1 << 18) -> DataFrame:
 
 def op9(spark, sf_dir):
     m = mix(table(spark, sf_dir, "documents"))
-    return m.select("doc_id", "size", "source_size", F.round("target", 6).alias("target"), "taken")
+    return m.select("doc_id", "size", "source_size", F.round("target", 6).alias("target"), "taken", "first_slot", "n_slots")
 
 
 #: The same mix, each source ranked in one window.
@@ -148,17 +154,17 @@ sl as (
   select p.*, slot, row_number() over (partition by source order by slot) - 1 rnk
   from pts join pl p on point >= begins and point < begins + n_slots),
 tk as (
-  select source, rnk % n_blocks block_no,
+  select source, slot, rnk % n_blocks block_no,
     least(block, case when rnk < n_blocks then least(words, source_size) else words - source_size end - (rnk % n_blocks) * block) take from sl),
 laid as (
   select d.*, t.source_size, t.target, t.block,
     coalesce(sum(size) over (partition by d.source order by shuffled, doc_id, size rows between unbounded preceding and 1 preceding), 0)::bigint bg, row_number() over () rid
   from sized d join pl t on d.source is not distinct from t.source),
 got as (
-  select l.rid, sum(greatest(0, least(bg + size, k.block_no * block + take) - greatest(bg, k.block_no * block))) taken
+  select l.rid, sum(w) taken, min(slot) first_slot, count(*) n from (select l.rid, k.slot, least(bg + size, k.block_no * block + take) - greatest(bg, k.block_no * block) w
   from (select *, unnest(range(bg // block, (bg + size - 1) // block + 1)) b from laid where size > 0) l
-  join tk k on k.source is not distinct from l.source and k.block_no = l.b group by l.rid)
-select doc_id, size, source_size, round(target, 6) target, coalesce(taken, 0)::bigint taken from laid left join got using (rid)
+  join tk k on k.source is not distinct from l.source and k.block_no = l.b) l where w > 0 group by l.rid)
+select doc_id, size, source_size, round(target, 6) target, coalesce(taken, 0)::bigint taken, first_slot, coalesce(n, 0)::bigint n_slots from laid left join got using (rid)
 """
 
 QUERIES = {"op9_mixing": op9}
