@@ -1,10 +1,11 @@
 """Exact top-k inner products by ball-tree branch and bound (operator 10).
 
-Components become floor(64 * x). Candidates are dealt to shards of bounded size and queries to blocks. A task has one shard
-and one block: it builds a ball tree over the shard and visits nodes in the order of their largest upper bound q . c + |q| r over
-the queries still open there; a query leaves a node whose bound lies below its current k-th score. The first shard runs
-alone and its k-th scores are the floor with which the queries enter all other shards. Bounds are raised by the rounding error
-of the arithmetic, and ties stay open, so nothing that belongs to the answer is cut.
+Components become floor(64 * x). Candidates are dealt to shards of bounded size, each shuffled once to a task that builds its ball
+tree; the trees are written down. Queries come in blocks of bounded size, which are sent to all tasks. A task visits the nodes of
+its trees in the order of their largest upper bound q . c + |q| r over the queries still open there; a query leaves a node whose
+bound lies below its current k-th score, and takes that score along from tree to tree. Trees are searched in waves, one tree alone, then some,
+then the rest: what a wave has found is the floor with which the queries enter the next one. Bounds are raised by the rounding
+error of the arithmetic, and ties stay open, so nothing that belongs to the answer is cut.
 
 Products are exact: in double precision where no sum can reach 2**53, else in Python's integers, held to the range of a long.
 Vectors that are null or hold null or non-finite components take no part, nor do rows with a null vec_id; shorter vectors are
@@ -15,6 +16,7 @@ its own vec_id. An empty table gives an empty result; other columns are ignored.
 from __future__ import annotations
 
 import heapq
+import pickle
 
 import numpy as np
 import pyarrow as pa
@@ -33,7 +35,9 @@ class BallTree:
         self.order = np.arange(len(x))
         self.nodes: list[tuple[np.ndarray, float, int, int, tuple[int, int] | None]] = []
         self._x, self._leaf = x, leaf
-        self._grow(0, len(x))
+        if len(x):
+            self._grow(0, len(x))
+        del self._x
 
     def _grow(self, a: int, b: int) -> int:
         rows = self._x[self.order[a:b]]
@@ -52,15 +56,17 @@ class BallTree:
         return me
 
 
-def search(q: np.ndarray, q_id: np.ndarray, floor: np.ndarray, x: np.ndarray, x_id: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(query row, candidate row, score) of each query's k best rows of x with scores of at least its floor."""
+def search(q: np.ndarray, q_id: np.ndarray, floor: np.ndarray, x: np.ndarray, x_id: np.ndarray, k: int, tree: BallTree | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(query row, candidate row, score) of each query's k best rows of x with scores of at least its floor. tree: one over x, whose
+    rows then have to be in the order of x_id."""
     order = np.argsort(x_id, kind="stable")
-    x, x_id = x[order], x_id[order]
+    if tree is None:
+        x, x_id = x[order], x_id[order]
     top = max(np.abs(x).max(initial=0), np.abs(q).max(initial=0))
     n = len(x)
     if top * top * max(1, x.shape[1]) * (n + 1) >= 2.0**62 or top * top * max(1, x.shape[1]) >= 2.0**53:
         return _plain(q, q_id, floor, x, x_id, order, k)
-    tree, norm = BallTree(x), np.linalg.norm(q, axis=1)
+    tree, norm = tree or BallTree(x), np.linalg.norm(q, axis=1)
     low = np.iinfo(np.int64).min
     best = np.full((len(q), k), low)  # score * (n + 1) - place among the ids: the order asked for, in one number
     least = floor.astype(float)  # the k-th score so far
@@ -107,39 +113,79 @@ def _plain(q, q_id, floor, x, x_id, order, k):
     return tuple(np.array([o[c] for o in out], np.int64) for c in range(3))
 
 
-def top_k(emb: DataFrame, k: int = 20, every: int = 20, shard: int = 16_384, block: int = 1024) -> DataFrame:
-    """query_id, rank, vec_id, score; queries are the rows whose vec_id is divisible by `every`."""
-    rows = emb.where(valid("embedding") & F.col("vec_id").isNotNull()).select(F.col("vec_id").cast("long").alias("vec_id"), F.transform("embedding", lambda x: F.floor(64 * x.cast("double")).cast("double")).alias("v"))
-    rows = cut(rows)
-    queries = rows.where(F.pmod("vec_id", F.lit(every)) == 0).groupBy("vec_id").agg(F.min("v").alias("v"))
+def floored(column, width: int) -> np.ndarray:
+    """Rows of a list column as floor(64 * x) in doubles, held to the range of a long."""
+    return np.clip(np.floor(64 * matrix(column, width)), -(2.0**63), 2.0**63)
+
+
+def planted(rows: DataFrame, width: int, shard: int) -> tuple[DataFrame, int]:
+    """(s, tree): the candidates' shards with their trees, one row each, and their number."""
     shards = max(1, -(-rows.count() // shard))
-    blocks = max(1, -(-queries.count() // block))
-    place = lambda n, seed: F.pmod(F.xxhash64("vec_id", F.lit(seed)), F.lit(n)).cast("int")
-    each = lambda a, b: F.explode(F.sequence(F.lit(a), F.lit(b - 1)))
-    held = rows.select(place(shards, 1).alias("s"), "vec_id", "v")
-
-    def run(asked: DataFrame, first: int, last: int) -> DataFrame:
-        """asked: vec_id, v, floor."""
-        c = held.where((F.col("s") >= first) & (F.col("s") < last)).withColumn("b", each(0, blocks)).select("s", "b", F.lit(None).cast("long").alias("floor"), "vec_id", "v")
-        a = asked.select(each(first, last).alias("s"), place(blocks, 2).alias("b"), "floor", "vec_id", "v")
-
-        def task(t: pa.Table) -> pa.Table:
-            asks = np.array(t.column("floor").is_valid())
-            x, ids = matrix(t.column("v")), t.column("vec_id").to_numpy()
-            i, j, s = search(x[asks], ids[asks], t.column("floor").to_numpy()[asks], x[~asks], ids[~asks], k)
-            return pa.table({"query_id": ids[asks][i], "vec_id": ids[~asks][j], "score": pa.array(s, pa.int64())})
-
-        return c.union(a).groupBy("s", "b").applyInArrow(task, SCHEMA)
-
-    least = F.lit(-(2**63)).cast("long")
-    best = lambda df: df.withColumn("rank", F.row_number().over(W.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))).where(F.col("rank") <= k)
-    found = run(queries.withColumn("floor", least), 0, 1)
-    if shards > 1:
-        found = cut(found)
-        kth = found.groupBy("query_id").agg(F.when(F.count("*") >= k, F.min("score")).alias("kth"))
-        asked = queries.join(kth, queries.vec_id == kth.query_id, "left").select("vec_id", "v", F.coalesce("kth", least).alias("floor"))
-        found = found.union(run(asked, 1, shards))
-    return best(found).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
+
+    def build(t: pa.Table) -> pa.Table:
+        t = t.sort_by("vec_id")
+        x = floored(t.column("v"), width)
+        body = pickle.dumps((x, t.column("vec_id").to_numpy(), BallTree(x)), protocol=5)
+        return pa.table({"s": t.column("s").slice(0, 1), "tree": pa.array([body], pa.large_binary()).cast(pa.binary())})
+
+    dealt = rows.withColumn("s", F.pmod(F.xxhash64("vec_id", F.monotonically_increasing_id()), F.lit(shards)))
+    return cut(dealt.groupBy("s").applyInArrow(build, "s long, tree binary")), shards
+
+
+def _asked(trees: DataFrame, held, k: int) -> DataFrame:
+    """Each query's k best of all trees of a task, with scores of at least its floor; held: the queries, broadcast."""
+
+    def run(batches):
+        q_id, q, floor = held.value
+        best = [np.zeros(0, np.int64)] * 3  # query row, vec_id, score
+        floor = floor.copy()
+        for b in batches:
+            for body in b.column(0):
+                x, ids, tree = pickle.loads(body.as_py())
+                i, j, s = search(q, q_id, floor, x, ids, k, tree)
+                i, v, s = (np.concatenate(p) for p in zip(best, (i, ids[j], s)))
+                order = np.lexsort((v, -s, i))
+                i, v, s = i[order], v[order], s[order]
+                place = np.arange(len(i)) - np.searchsorted(i, i)
+                best = [c[place < k] for c in (i, v, s)]
+                full = place == k - 1
+                floor[i[full]] = np.maximum(floor[i[full]], s[full])
+        yield pa.RecordBatch.from_arrays([pa.array(q_id[best[0]]), pa.array(best[1]), pa.array(best[2])], names=["query_id", "vec_id", "score"])
+
+    return trees.select("tree").mapInArrow(run, SCHEMA)
+
+
+def top_k(emb: DataFrame, k: int = 20, every: int = 20, shard: int = 16_384, shard_bytes: int = 32 << 20, block_bytes: int = 32 << 20) -> DataFrame:
+    """query_id, rank, vec_id, score; queries are the rows whose vec_id is divisible by `every`.
+
+    shard, shard_bytes: candidates of a tree, and the size of their vectors at most. block_bytes: size of the vectors of the queries that are sent to the tasks at a time.
+    """
+    spark = emb.sparkSession
+    rows = cut(emb.where(valid("embedding") & F.col("vec_id").isNotNull()).select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").alias("v")))
+    width = rows.agg(F.max(F.size("v"))).first()[0] or 1
+    queries = cut(rows.where(F.pmod("vec_id", F.lit(every)) == 0).groupBy("vec_id").agg(F.min("v").alias("v")))
+    trees, shards = planted(rows, width, max(1, min(shard, shard_bytes // (8 * width))))
+    blocks = max(1, -(-queries.count() * 8 * width // block_bytes))
+    waves = sorted({0, 1, min(shards, 1 + shards // 8), shards})
+    best = W.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
+    top = lambda df: df.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k)
+    out = None
+    for b in range(blocks):
+        asked = queries.where(F.pmod(F.xxhash64("vec_id"), F.lit(blocks)) == b).toArrow().sort_by("vec_id")
+        q_id, q = asked.column("vec_id").to_numpy(), floored(asked.column("v"), width)
+        floor, found = np.full(len(q_id), -(2**63)), None
+        for lo, hi in zip(waves, waves[1:]):
+            held = spark.sparkContext.broadcast((q_id, q, floor))
+            got = _asked(trees.where((F.col("s") >= lo) & (F.col("s") < hi)), held, k)
+            found = got if found is None else found.union(got)
+            if hi < shards:  # at most k rows a query stay for the next floors
+                found = cut(top(found).drop("rank"))
+                kth = found.groupBy("query_id").agg(F.when(F.count("*") >= k, F.min("score")).alias("kth")).where("kth is not null").toArrow()
+                floor = floor.copy()
+                floor[np.searchsorted(q_id, kth.column("query_id").to_numpy())] = kth.column("kth").to_numpy()
+        found = top(found) if blocks == 1 else cut(top(found))
+        out = found if out is None else out.union(found)
+    return out.select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
 
 
 def op10(spark, sf_dir):

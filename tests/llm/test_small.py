@@ -258,7 +258,7 @@ def test_embedding_links(spark, how):
     assert max(map(len, links.values())) > 3
 
 
-@pytest.mark.parametrize("how", [{}, {"shard": 60, "block": 7}])
+@pytest.mark.parametrize("how", [{}, {"shard": 60, "block_bytes": 7 * 8 * 16}])
 def test_top_k(spark, how):
     rows = clouds(300, 1)
     e = spark.createDataFrame(rows, "vec_id long, embedding array<float>, label int").withColumn("score", F.lit(1))
