@@ -1,14 +1,16 @@
 """Near-duplicate embeddings by spherical k-means cells (operator 6).
 
-Equal vectors of a label are one class, indexed once. Large labels get cells by spherical k-means, fitted on a bounded sample;
-every class has the cell of its nearest centre as its home and visits each cell that could hold a partner. The test for a
-visit is exact: if y is nearer to centre j than to centre i, x lies in cell i and the two are within the angle of the
-threshold, then x . (ci - cj) / |ci - cj| is at most the angle's sine. So no link is lost, whatever the centres. Cells are compared in square blocks of bounded
-size, and a block gives sums of links and one root per member of its local components, never pairs, so a group of copies costs
-arithmetic but no rows.
+Equal vectors of a label, known by 128 bits of hash, are one class, indexed once. Every large label gets cells by spherical k-means,
+fitted in a task of its own on a bounded sample of the label; every class has the cell of its nearest centre as its home and visits
+each cell that could hold a partner. The test for a visit is exact: if y is nearer to centre j than to centre i, x lies in cell i and
+the two are within the angle of the threshold, then x . (ci - cj) / |ci - cj| is at most the angle's sine. So no link is lost, whatever
+the centres. Centres are sent to all tasks while they are small, else each meets the parts of its label in a shuffle. Cells are compared
+in square blocks of bounded size, and a block gives sums of links and one root per member of its local components, never pairs, so a
+group of copies costs arithmetic but no rows. The rows of a class are dealt to parts by their ids, and only these parts learn the
+class's component: vectors are shuffled to their class once and to their cells once, as they came, not as doubles.
 
 Vectors that are null, zero, or hold null or non-finite components, and rows with a null label, link with nothing and keep
-themselves; vectors of unequal length in a label are padded with zeros; rows with the same vec_id count as rows; an empty table
+themselves; vectors of unequal length in a label are padded with zeros; rows with the same vec_id, or none, count as rows, but rows of a vector that has no id at all link with nothing; an empty table
 gives an empty result; other columns are ignored.
 """
 
@@ -19,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
 from ..operators.components import components
-from .common import cut, lowest_by_hash, table
+from .common import cut, table
 
 
 def valid(name: str):
@@ -60,81 +62,127 @@ def spherical_kmeans(x: np.ndarray, k: int, rounds: int = 12, seed: int = 7) ->
     return c
 
 
-def fit_cells(classes: DataFrame, per_cell: int, most: int, sample: int) -> dict[int, np.ndarray]:
-    """Centres of the labels with more than 2 * per_cell classes, largest first, `most` centres in all, from `sample` rows each."""
-    large = classes.groupBy("label").count().where(F.col("count") > 2 * per_cell).orderBy(F.desc("count"), "label").limit(64).collect()
-    cells: dict[int, np.ndarray] = {}
-    for r in large:
-        k = min(-(-r["count"] // per_cell), most // len(large))
-        if k > 1:
-            rows = lowest_by_hash(classes.where(F.col("label") == r["label"]).select("cls", "v"), "cls", sample).toArrow()
-            cells[r["label"]] = spherical_kmeans(unit(matrix(rows.column("v"))), k)
-    return cells
+def fit_cells(classes: DataFrame, per_cell: int, sample: int) -> DataFrame:
+    """(label, n, centre): the centres of each label with more than 2 * per_cell classes: one for per_cell classes, or the root of
+    their number where that is less, beyond per_cell**2. A label's sample has about `sample` rows, four a centre at least."""
+    sizes = classes.groupBy("label").agg(F.count("*").alias("n")).where(F.col("n") > 2 * per_cell)
+    k = F.least(F.ceil(F.col("n") / per_cell), F.greatest(F.lit(per_cell), F.ceil(F.sqrt("n")))).cast("long")
+    sizes = cut(sizes.withColumn("k", k).withColumn("share", F.greatest(F.lit(sample), 4 * F.col("k")) / F.col("n")))
+    place = F.pmod(F.xxhash64("cls"), F.lit(1 << 52)) / float(1 << 52)
+    rows = classes.join(F.broadcast(sizes), "label").where(place < F.col("share")).select("label", "n", "k", "cls", "v")
 
+    def fit(t: pa.Table) -> pa.Table:
+        t = t.sort_by("cls")
+        c = spherical_kmeans(unit(matrix(t.column("v"))), t.column("k")[0].as_py())
+        return pa.table({"label": pa.array([t.column("label")[0].as_py()] * len(c), pa.int64()), "n": pa.array([t.column("n")[0].as_py()] * len(c), pa.int64()), "centre": pa.array(c.tolist(), pa.list_(pa.float64()))})
 
-def _block(t: pa.Table, cosine: float) -> pa.Table:
-    """Links and local roots of one block: role 0 rows against role 1 rows."""
+    return rows.groupBy("label").applyInArrow(fit, "label long, n long, centre array<double>")
+
+
+def _placed(t: pa.Table, c: np.ndarray, sine: float) -> pa.Table:
+    """The rows of one label, with cell and visit: at home (0), and in each cell that might hold a partner (1)."""
+    s = unit(matrix(t.column("v"), c.shape[1])) @ c.T
+    h = np.argmax(s, axis=1)
+    gap = np.sqrt(np.maximum(2 - 2 * (c @ c.T), 0))[h]
+    i, j = np.nonzero((s[np.arange(len(h)), h][:, None] - s <= sine * gap + 1e-12) & (np.arange(len(c)) != h[:, None]))
+    who = np.concatenate([np.arange(len(h)), i])
+    out = t.select(["label", "cls", "m", "v"]).take(pa.array(who))
+    return out.append_column("cell", pa.array(np.concatenate([h, j]))).append_column("visit", pa.array((np.arange(len(who)) >= len(h)).astype(np.int64)))
+
+
+def place(classes: DataFrame, cells: DataFrame, cosine: float, sent: int = 32 << 20, part: int = 1 << 14) -> DataFrame:
+    """(label, cls, m, v, cell, visit). sent: bytes of centres that may go to all tasks; beyond, the centres of a label meet its rows
+    in parts of about `part` rows."""
+    sine = float(np.sqrt(1 - cosine * cosine)) + 1e-9
+    kind = dict(classes.dtypes)["v"]
+    schema = f"label long, cls long, m long, v {kind}, cell long, visit long"
+    d = classes.select("label", "cls", "m", "v")
+    size = cells.agg(F.sum(8 * F.size("centre"))).first()[0] or 0
+    if size <= sent:
+        got = cells.toArrow()
+        label = np.array(got.column("label").to_pylist(), np.int64)
+        held = d.sparkSession.sparkContext.broadcast({int(x): matrix(got.column("centre").filter(pa.array(label == x))) for x in np.unique(label)})
+
+        def run(batches):
+            for b in batches:
+                t = pa.Table.from_batches([b])
+                mine = b.column(0).to_numpy()
+                large = np.isin(mine, list(held.value))
+                few = t.filter(pa.array(~large))
+                if len(few):
+                    yield from few.append_column("cell", pa.array(np.full(len(few), -1))).append_column("visit", pa.array(np.zeros(len(few), np.int64))).to_batches()
+                for x in np.unique(mine[large]):
+                    yield from _placed(t.filter(pa.array(mine == x)), held.value[int(x)], sine).to_batches()
+
+        return d.mapInArrow(run, schema)
+    parts = cells.groupBy("label").agg(F.ceil(F.max("n") / part).alias("parts"))
+    small = d.join(cells.select("label").distinct(), "label", "left_anti").select("*", F.lit(-1).cast("long").alias("cell"), F.lit(0).cast("long").alias("visit"))
+    rows = d.join(parts, "label").withColumn("part", F.pmod(F.xxhash64("cls"), F.col("parts"))).drop("parts")
+    each = cells.join(parts, "label").select("label", "centre", F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts") - 1)).alias("part"))
+
+    def meet(t: pa.Table, c: pa.Table) -> pa.Table:
+        if len(t):
+            return _placed(t, matrix(c.column("centre")), sine)
+        return t.select(["label", "cls", "m", "v"]).append_column("cell", pa.array([], pa.int64())).append_column("visit", pa.array([], pa.int64()))
+
+    return small.unionByName(rows.groupBy("label", "part").cogroup(each.groupBy("label", "part")).applyInArrow(meet, schema))
+
+
+def _block(t: pa.Table, cosine: float, tile: int = 1024) -> pa.Table:
+    """Links and local roots of one block: rows of role 0 or 2 against rows of role 1 or 2, some rows at a time."""
+    t = t.sort_by([("cls", "ascending"), ("role", "ascending")])
     role, cls, m = (t.column(c).to_numpy() for c in ("role", "cls", "m"))
     x = unit(matrix(t.column("v")))
-    h, o = np.flatnonzero(role == 0), np.flatnonzero(role == 1)
-    i, j = np.nonzero(x[h] @ x[o].T >= cosine)
-    i, j = h[i], o[j]
-    keep = cls[i] != cls[j]
-    i, j = i[keep], j[keep]
-    links = np.bincount(i, m[j], len(cls)).astype(np.int64)
+    h, o = np.flatnonzero(role != 1), np.flatnonzero(role != 0)
+    links = np.zeros(len(cls), np.int64)
     ids, at = np.unique(cls, return_inverse=True)
-    root, a, b = np.arange(len(ids)), at[i], at[j]
-    while len(a):
-        low = np.minimum(root[a], root[b])
-        new = root.copy()
-        np.minimum.at(new, a, low)
-        np.minimum.at(new, b, low)
-        new = new[new]
-        if (new == root).all():
-            break
-        root = new
+    root = np.arange(len(ids))
+    others = x[o].T
+    for k in range(0, len(h), tile):
+        i, j = np.nonzero(x[h[k : k + tile]] @ others >= cosine)
+        i, j = h[k + i], o[j]
+        keep = cls[i] != cls[j]
+        i, j = i[keep], j[keep]
+        links += np.bincount(i, m[j], len(cls)).astype(np.int64)
+        a, b = at[i], at[j]
+        while len(a):
+            u, v = root[a], root[b]
+            apart = u != v
+            if not apart.any():
+                break
+            a, b, u, v = a[apart], b[apart], u[apart], v[apart]
+            np.minimum.at(root, np.maximum(u, v), np.minimum(u, v))
+            while (root[root] != root).any():
+                root = root[root]
     out = (links > 0) | (root[at] != at)
     return pa.table({"cls": cls[out], "links": links[out], "root": ids[root[at[out]]]})
 
 
-def near_duplicates(emb: DataFrame, cosine: float = 0.93, per_cell: int = 1024, most: int = 4096, sample: int = 4096, block: int = 2048) -> DataFrame:
-    """vec_id, n_links, component_id, kept, a row for each row of emb (vec_id, embedding, label)."""
-    rows = emb.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("label").cast("long").alias("label"), F.transform("embedding", lambda x: x.cast("double")).alias("v"))
-    rows = rows.withColumn("label", F.when(valid("v") & F.exists("v", lambda x: x != 0), F.col("label")))
-    classes = cut(rows.where("label is not null").groupBy("label", "v").agg(F.min("vec_id").alias("cls"), F.count("*").alias("m")).where("cls is not null"))
-    held = emb.sparkSession.sparkContext.broadcast(fit_cells(classes, per_cell, most, sample))
-    sine = float(np.sqrt(1 - cosine * cosine)) + 1e-9
+def near_duplicates(emb: DataFrame, cosine: float = 0.93, per_cell: int = 4096, sample: int = 4096, block: int = 16_384, sent: int = 32 << 20, spread: int = 256) -> DataFrame:
+    """vec_id, n_links, component_id, kept, a row for each row of emb (vec_id, embedding, label).
 
-    def place(batches):
-        for b in batches:
-            label, n = b.column(0).to_numpy(), b.num_rows
-            who, cell, home = [np.arange(n)], [np.full(n, -1)], [np.zeros(n, np.int64)]
-            for lab in np.unique(label):
-                c = held.value.get(int(lab))
-                if c is None:
-                    continue
-                at = np.flatnonzero(label == lab)
-                s = unit(matrix(b.column(3).take(pa.array(at)), c.shape[1])) @ c.T
-                h = np.argmax(s, axis=1)
-                cell[0][at] = h
-                gap = np.sqrt(np.maximum(2 - 2 * (c @ c.T), 0))[h]
-                i, j = np.nonzero((s[np.arange(len(at)), h][:, None] - s <= sine * gap + 1e-12) & (np.arange(len(c)) != h[:, None]))
-                who.append(at[i]), cell.append(j), home.append(np.ones(len(i), np.int64))
-            who = pa.array(np.concatenate(who))
-            yield pa.RecordBatch.from_arrays([*(b.column(k).take(who) for k in range(4)), pa.array(np.concatenate(cell)), pa.array(np.concatenate(home))], names=["label", "cls", "m", "v", "cell", "visit"])
-
-    placed = cut(classes.select("label", "cls", "m", "v").mapInArrow(place, "label long, cls long, m long, v array<double>, cell long, visit long"))
+    per_cell, sample: see fit_cells(). block: rows of a block of a cell. sent: see place(). spread: parts of a class's rows.
+    """
+    ok = valid("v") & F.exists("v", lambda x: x != 0)
+    rows = emb.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("label").cast("long").alias("label"), F.col("embedding").alias("v"))
+    rows = rows.withColumn("label", F.when(ok, F.col("label"))).withColumns({"h1": F.xxhash64("v"), "h2": F.xxhash64(F.lit(1), F.reverse("v"))})
+    key = ["label", "h1", "h2"]
+    classes = cut(rows.where("label is not null").groupBy(*key).agg(F.min("vec_id").alias("cls"), F.count("*").alias("m"), F.first("v").alias("v")).where("cls is not null"))
+    placed = cut(place(classes, cut(fit_cells(classes, per_cell, sample)), cosine, sent))
     sizes = placed.groupBy("label", "cell").agg(F.ceil(F.count("*") / block).cast("int").alias("n"))
     placed = placed.join(sizes, ["label", "cell"]).withColumn("own", F.pmod(F.xxhash64("cls"), F.col("n")).cast("int"))
     other = F.transform(F.sequence(F.lit(0), F.col("n") - 1), lambda k: F.struct(k.alias("a"), F.col("own").alias("b"), F.lit(1).alias("role")))
     home = F.transform(F.sequence(F.lit(0), F.col("n") - 1), lambda k: F.struct(F.col("own").alias("a"), k.alias("b"), F.lit(0).alias("role")))
-    dealt = placed.select("label", "cell", "cls", "m", "v", F.explode(F.when(F.col("visit") == 0, F.concat(home, other)).otherwise(other)).alias("at")).select("label", "cell", "at.*", "cls", "m", "v")
+    both = F.array(F.struct(F.lit(0).alias("a"), F.lit(0).alias("b"), F.when(F.col("visit") == 0, 2).otherwise(1).alias("role")))  # one block: one row serves both sides
+    at = F.when(F.col("n") == 1, both).when(F.col("visit") == 0, F.concat(home, other)).otherwise(other)
+    dealt = placed.select("label", "cell", "cls", "m", "v", F.explode(at).alias("at")).select("label", "cell", "at.*", "cls", "m", "v")
     found = cut(dealt.groupBy("label", "cell", "a", "b").applyInArrow(lambda t: _block(t, cosine), "cls long, links long, root long"))
     comp = components(found.where("cls <> root").select(F.col("cls").alias("a"), F.col("root").alias("b")))
     links = found.groupBy("cls").agg(F.sum("links").alias("links")).join(comp.withColumnRenamed("node", "cls"), "cls", "full")
-    known = classes.join(links, "cls", "left").select("label", "v", (F.col("m") - 1 + F.coalesce("links", F.lit(0))).alias("n_links"), F.coalesce("root", "cls").alias("component_id"))
-    out = rows.alias("r").join(known.alias("k"), (F.col("r.label") == F.col("k.label")) & (F.col("r.v") == F.col("k.v")), "left")
-    out = out.select("r.vec_id", F.coalesce("n_links", F.lit(0)).alias("n_links"), F.coalesce("component_id", "vec_id").alias("component_id"))
+    known = classes.join(links, "cls", "left").select(*key, (F.col("m") - 1 + F.coalesce("links", F.lit(0))).alias("n_links"), F.coalesce("root", "cls").alias("component_id"))
+    thin = rows.drop("v").withColumn("part", F.when(F.col("label").isNotNull(), F.pmod(F.xxhash64("vec_id"), F.lit(spread))))
+    parts = thin.where("label is not null").select(*key, "part").distinct().join(known, key)
+    out = thin.join(parts, [*key, "part"], "left").select("vec_id", F.coalesce("n_links", F.lit(0)).alias("n_links"), F.coalesce("component_id", "vec_id").alias("component_id"))
     return out.withColumn("kept", F.col("vec_id").eqNullSafe(F.col("component_id")))
 
 

@@ -237,7 +237,7 @@ def clouds(n, seed=0):
     return rows
 
 
-@pytest.mark.parametrize("how", [{}, {"per_cell": 40, "block": 32, "sample": 200}, {"block": 16}])
+@pytest.mark.parametrize("how", [{}, {"per_cell": 40, "block": 32, "sample": 200}, {"per_cell": 40, "sample": 200, "sent": 0}, {"block": 16}])
 def test_embedding_links(spark, how):
     rows = clouds(400)
     e = spark.createDataFrame(rows, "vec_id long, embedding array<float>, label int").withColumn("v", F.lit(1))
