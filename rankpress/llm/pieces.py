@@ -3,8 +3,8 @@
 An Aho-Corasick automaton over the pieces reads a text once; at each position it reports, along its output links, every piece
 that ends there, and each relaxes the best path to that position. What "best" means depends on the model file:
 
-- unigram: the largest sum of scores (the Viterbi path);
-- bpe: a piece may follow the last piece of the path to its start only if merging the two alone gives the two again. The
+- unigram: the largest sum of scores (the Viterbi path); of equal sums the one whose last piece is longest stays;
+- bpe: the largest sum of scores over lawful paths: a piece may follow the last piece of the path to its start only if merging the two alone gives the two again. The
   prefix then has exactly one such path, which is the one that merging pairs by score gives, so the ids are those of the
   usual library. (A plain sum of this model's scores, which are negative ranks of merges, would give other ids.)
 
@@ -12,7 +12,7 @@ White space becomes U+2581 and one stands before the text. Characters outside th
 spans the start of a word, words are encoded alone and short ones remembered, up to a bound; a long word costs time in
 proportion to its length.
 
-Null text: null ids, 0 pieces. Empty text: no ids. U+2581 in a text decodes to a space, as in the library: round_trip is then
+Each text's score is the sum of its pieces' scores. Null text: null ids, 0 pieces, null score. Empty text: no ids, score 0. U+2581 in a text decodes to a space, as in the library: round_trip is then
 false. Repeated rows are encoded one by one; an empty table gives an empty result; other columns are ignored.
 """
 
@@ -30,6 +30,7 @@ from .common import table
 MODEL_PATH = "/opt/tokenizers/piece_bpe_32k.model"
 SPACE = "▁"
 _REMEMBER = 1_000_000
+_NEVER = -1e300
 
 
 class Pieces:
@@ -72,6 +73,7 @@ class Pieces:
             for b, i in enumerate(self.byte_ids):
                 spell[i] = bytes([b])
             self._spell = spell
+            self._score_of = np.array(self.scores)
         return self
 
     # ------------------------------------------------------------ one word
@@ -106,20 +108,17 @@ class Pieces:
         if not known:
             for k in [k for k, c in enumerate(word) if c not in self._chars]:
                 last[k + 1] = -1
-        if self.bpe:
-            for end, (i, size) in self._auto.iter(word):  # longest first; the one that stands is the only one
-                if last[end + 1] == -2:
-                    before = last[end + 1 - size]
-                    if before == -1 or (before >= 0 and self._stands(before, i)):
-                        last[end + 1] = i
-        else:
-            score = [0.0] + [-np.inf] * n
+        score = [0.0] + [_NEVER] * n
+        if not known:
             for k in range(n):
                 if last[k + 1] == -1:  # an unknown character is no part of a piece, so all paths meet on both sides of it
                     score[k + 1] = self._low
-            for end, (i, size) in self._auto.iter(word):
-                if (s := score[end + 1 - size] + self.scores[i]) > score[end + 1]:
-                    score[end + 1], last[end + 1] = s, i
+        for end, (i, size) in self._auto.iter(word):  # along the output links, the longest piece first
+            before = last[end + 1 - size]
+            if before == -2 or (self.bpe and before >= 0 and not self._stands(before, i)):
+                continue
+            if (s := score[end + 1 - size] + self.scores[i]) > score[end + 1]:
+                score[end + 1], last[end + 1] = s, i
         out: list[int] = []
         at = n
         while at:
@@ -152,6 +151,10 @@ class Pieces:
             parts.append(got)
         return np.frombuffer(b"".join(parts), np.int32)
 
+    def score(self, ids: np.ndarray) -> float:
+        """The sum of the scores of ids."""
+        return self._ready()._score_of[ids].sum()
+
     def decode(self, ids) -> str:
         """The text of ids; the space that encoding puts in front goes. Bytes that aren't UTF-8 become U+FFFD."""
         self._ready()
@@ -165,7 +168,7 @@ class Pieces:
 
 
 def encoded(docs: DataFrame, model: Pieces, keep: list[str] | None = None) -> DataFrame:
-    """The columns `keep` of docs (doc_id if not given) with ids, n_pieces and round_trip (decoding gives the text again)."""
+    """The columns `keep` of docs (doc_id if not given) with ids, n_pieces, round_trip (decoding gives the text again) and piece_score."""
     held = docs.sparkSession.sparkContext.broadcast(model)
     keep = keep or ["doc_id"]
     d = docs.select(*keep, F.col("text").alias("_text"))
@@ -182,10 +185,11 @@ def encoded(docs: DataFrame, model: Pieces, keep: list[str] | None = None) -> Da
                 flat = np.concatenate([g for g in got if g is not None] or [np.zeros(0, np.int32)])
                 ids = pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array(flat, pa.int32()), mask=pa.array([g is None for g in got]))
                 same = [t is None or m.decode(g) == t for t, g in zip(texts, got)]
-                yield pa.RecordBatch.from_arrays([*part.columns[:-1], ids, pa.array(size), pa.array(same, pa.bool_())], names=[*part.schema.names[:-1], "ids", "n_pieces", "round_trip"])
+                sums = pa.array([None if g is None else float(m.score(g)) for g in got], pa.float64())
+                yield pa.RecordBatch.from_arrays([*part.columns[:-1], ids, pa.array(size), pa.array(same, pa.bool_()), sums], names=[*part.schema.names[:-1], "ids", "n_pieces", "round_trip", "piece_score"])
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in d.schema.fields[:-1])
-    return d.mapInArrow(run, f"{schema}, ids array<int>, n_pieces long, round_trip boolean")
+    return d.mapInArrow(run, f"{schema}, ids array<int>, n_pieces long, round_trip boolean, piece_score double")
 
 
 def decoded(rows: DataFrame, model: Pieces, key: str = "doc_id") -> DataFrame:
