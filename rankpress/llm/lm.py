@@ -149,25 +149,36 @@ class LogBilinear:
             base += j - i
         return self.fit(*(np.concatenate(x) for x in zip(*parts)), **how) if parts else self
 
-    def fit(self, out: np.ndarray, row: np.ndarray, epochs: int = 2, batch: int = 4096, noise: int = 64, inside: int = 8, rate: float = 0.08, seed: int = 11) -> LogBilinear:
+    def fit(self, out: np.ndarray, row: np.ndarray, epochs: int = 1, batch: int = 4096, noise: int = 64, inside: int = 8, rate: float = 0.2, seed: int = 11) -> LogBilinear:
         """Noise-contrastive estimation with Adagrad on the outputs of whole texts; the noise for a class is shared by a batch, and
         the noise within a class by the batch's tokens of the class."""
         if not len(out):
             return self
         ctx, rng = self.contexts(out, row), np.random.default_rng(seed)
-        cum, cum_in = np.cumsum(self.class_p), np.cumsum(self.slot_w, axis=1)
         acc = {k: np.full_like(getattr(self, k), 1e-2) for k in self.PARTS}
-        sig = lambda z: 0.5 * (1 + np.tanh(0.5 * z))
+        sig = lambda z: np.float32(0.5) * (1 + np.tanh(np.float32(0.5) * z))
         log_p, log_w = np.log(np.maximum(self.class_p, 1e-30)).astype(np.float32), np.log(np.maximum(self.slot_w, 1e-30)).astype(np.float32)
         classes, size = self.word_b.shape
-        key_of = (self.class_of * size + self.slot_of)[np.arange(len(self.class_of))]
+        cum = np.cumsum(self.class_p)
+        cum_in = (np.minimum(np.cumsum(self.slot_w, axis=1), 1) + np.arange(classes)[:, None]).ravel()  # one sorted line for all classes
+        key_of = (self.class_of * size + self.slot_of).astype(np.int32)
+        dim = self.r.shape[1]
 
         def step(p, s, at, total):
-            s[at] += total * total
-            p[at] -= rate * total / np.sqrt(s[at])
-
-        word_r, word_b = self.word_r.reshape(classes * size, -1), self.word_b.reshape(-1)
-        acc_wr, acc_wb = acc["word_r"].reshape(classes * size, -1), acc["word_b"].reshape(-1)
+            total = total * n
+            s[at] = moved = s[at] + total * total
+            p[at] -= rate * total / np.sqrt(moved)
+
+        def summed(at, x):
+            """Distinct places, and the sums of the rows of x that go to them."""
+            order = np.argsort(at, kind="stable")
+            at = at[order]
+            first = np.flatnonzero(np.concatenate([[True], at[1:] != at[:-1]]))
+            return at[first], np.add.reduceat(x[order], first)
+
+        word_r, word_b = self.word_r.reshape(classes * size, dim), self.word_b.reshape(-1)
+        acc_wr, acc_wb, flat_w = acc["word_r"].reshape(classes * size, dim), acc["word_b"].reshape(-1), log_w.reshape(-1)
+        ctx = ctx.astype(np.int16 if len(self.r) < 1 << 15 else np.int32)
         for _ in range(epochs):
             for b in np.array_split(rng.permutation(len(out)), max(1, len(out) // batch)):
                 key = key_of[out[b]]
@@ -175,39 +186,47 @@ class LogBilinear:
                 b, key = b[order], key[order]  # by class and slot, so that sums over either are over runs
                 c, cls = ctx[b], key // size
                 e = self.r[c]
-                q = np.einsum("bkd,kd->bd", e, self.scale)
-                words, at_word = np.unique(key, return_index=True)
-                have, at_cls = np.unique(cls, return_index=True)
-                fake = np.unique(np.minimum(np.searchsorted(cum, rng.random(noise)), classes - 1), return_counts=True)
-                d_true = sig(np.einsum("bd,bd->b", q, self.class_r[cls]) + self.class_b[cls] - log_p[cls] - np.float32(np.log(noise))) - 1
-                d_fake = sig(q @ self.class_r[fake[0]].T + self.class_b[fake[0]] - log_p[fake[0]] - np.float32(np.log(noise))) * fake[1]
-                gq = d_true[:, None] * self.class_r[cls] + d_fake.astype(np.float32) @ self.class_r[fake[0]]
+                q = e[:, 0] * self.scale[0]
+                for k in range(1, CONTEXT):
+                    q += e[:, k] * self.scale[k]
+                at_word = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
+                at_cls = np.flatnonzero(np.concatenate([[True], cls[1:] != cls[:-1]]))
+                words, have = key[at_word], cls[at_cls]
+                n = np.float32(1 / np.sqrt(len(b)))
+                # classes: the true one against noise that the batch shares
+                fake, times = np.unique(np.minimum(np.searchsorted(cum, rng.random(noise)), classes - 1), return_counts=True)
+                cr = self.class_r[cls]
+                d_true = sig((q * cr).sum(1) + (self.class_b - log_p - np.float32(np.log(noise)))[cls]) - 1
+                d_fake = sig(q @ self.class_r[fake].T + (self.class_b - log_p)[fake] - np.float32(np.log(noise))) * times.astype(np.float32)
+                gq = d_true[:, None] * cr + d_fake @ self.class_r[fake]
+                # words: the true one against noise that the batch's tokens of the class share
                 wr = word_r[key]
-                d_word = sig(np.einsum("bd,bd->b", q, wr) + word_b[key] - log_w.reshape(-1)[key] - np.float32(np.log(inside))) - 1
+                d_word = sig((q * wr).sum(1) + (word_b - flat_w - np.float32(np.log(inside)))[key]) - 1
                 gq += d_word[:, None] * wr
-                n = np.float32(1 / np.sqrt(len(b)))
-                g_noise, k_noise, b_noise = [], [], []
-                for k, i, j in zip(have.tolist(), at_cls.tolist(), [*at_cls[1:].tolist(), len(b)]):
-                    pick = np.unique(np.minimum(np.searchsorted(cum_in[k], rng.random(inside)), size - 1), return_counts=True)
-                    at = k * size + pick[0]
-                    d = (sig(q[i:j] @ word_r[at].T + word_b[at] - log_w[k, pick[0]] - np.float32(np.log(inside))) * pick[1]).astype(np.float32)
-                    gq[i:j] += d @ word_r[at]
-                    g_noise.append(d.T @ q[i:j]), k_noise.append(at), b_noise.append(d.sum(0))
-                g_r = np.add.reduceat(d_true[:, None] * q, at_cls) * n
-                step(self.class_r, acc["class_r"], have, g_r)
-                step(self.class_b, acc["class_b"], have, np.add.reduceat(d_true, at_cls) * n)
-                step(self.class_r, acc["class_r"], fake[0], (d_fake.T @ q).astype(np.float32) * n)
-                step(self.class_b, acc["class_b"], fake[0], d_fake.sum(0).astype(np.float32) * n)
-                step(word_r, acc_wr, words, np.add.reduceat(d_word[:, None] * q, at_word) * n)
-                step(word_b, acc_wb, words, np.add.reduceat(d_word, at_word) * n)
-                k_noise = np.concatenate(k_noise)
-                step(word_r, acc_wr, k_noise, np.concatenate(g_noise) * n)
-                step(word_b, acc_wb, k_noise, np.concatenate(b_noise) * n)
+                drawn = np.minimum(np.searchsorted(cum_in, rng.random((len(have), inside)) + have[:, None]), have[:, None] * size + size - 1)
+                wn, bias = word_r[drawn], (word_b - flat_w)[drawn] - np.float32(np.log(inside))
+                spans = list(zip(at_cls.tolist(), [*at_cls[1:].tolist(), len(b)]))
+                z = np.empty((len(b), inside), np.float32)
+                for x, (i, j) in enumerate(spans):
+                    np.matmul(q[i:j], wn[x].T, out=z[i:j])
+                z = sig(z + np.repeat(bias, np.diff([*at_cls, len(b)]), axis=0))
+                g_noise = np.empty_like(wn)
+                for x, (i, j) in enumerate(spans):
+                    gq[i:j] += z[i:j] @ wn[x]
+                    np.matmul(z[i:j].T, q[i:j], out=g_noise[x])
+                step(self.class_r, acc["class_r"], have, np.add.reduceat(d_true[:, None] * q, at_cls))
+                step(self.class_b, acc["class_b"], have, np.add.reduceat(d_true, at_cls))
+                step(self.class_r, acc["class_r"], fake, d_fake.T @ q)
+                step(self.class_b, acc["class_b"], fake, d_fake.sum(0))
+                step(word_r, acc_wr, words, np.add.reduceat(d_word[:, None] * q, at_word))
+                step(word_b, acc_wb, words, np.add.reduceat(d_word, at_word))
+                step(word_r, acc_wr, *summed(drawn.ravel(), g_noise.reshape(-1, dim)))
+                step(word_b, acc_wb, *summed(drawn.ravel(), np.add.reduceat(z, at_cls).ravel()))
+                gs = np.empty_like(self.scale)
                 for k in range(CONTEXT):
-                    order = np.argsort(c[:, k], kind="stable")
-                    who, at = np.unique(c[order, k], return_index=True)
-                    step(self.r, acc["r"], who, np.add.reduceat(gq[order], at) * self.scale[k] * n)
-                gs = np.einsum("bd,bkd->kd", gq, e) * n
+                    gs[k] = (gq * e[:, k]).sum(0) * n
+                    who, total = summed(c[:, k], gq)
+                    step(self.r, acc["r"], who, total * self.scale[k])
                 acc["scale"] += gs * gs
                 self.scale -= 0.2 * rate * gs / np.sqrt(acc["scale"])
         return self
