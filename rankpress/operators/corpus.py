@@ -4,12 +4,10 @@ from __future__ import annotations
 
 import html
 
-import numpy as np
-import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window as W, functions as F
 
 from ..sources.tables import cut
-from .components import components
+from . import nearcopies
 
 #: The Latin letters and their one-to-one images in a block of three-byte characters.
 LATIN = "abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ"
@@ -51,47 +49,37 @@ def books(df: DataFrame, by: str = "lang", size: int = 10_000, sep: str = "\n")
     return d.groupBy(by, "book_no").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("_at", piece.alias("p")))), lambda x: x["p"]), "").alias("text"))
 
 
-def _shingles(text: str | None, width: int) -> np.ndarray:
-    import xxhash
+def text_key(text: str | Column = "text") -> Column:
+    """The digest that names a text; a null text counts as an empty one."""
+    return F.md5(F.coalesce(F.col(text) if isinstance(text, str) else text, F.lit("")))
 
-    w = (text or "").split()
-    return np.unique(np.array([xxhash.xxh64_intdigest(" ".join(w[i : i + width])) for i in range(max(1, len(w) - width + 1))] if w else [], np.uint64))
 
+def near_copies(df: DataFrame, width: int = 5, similarity: float = 0.8) -> DataFrame:
+    """(digest, cluster_id): the texts that stand in a cluster with another text, and the smallest digest of the cluster.
 
-def copy_clusters(df: DataFrame, shingle: int = 5, similarity: float = 0.8, bands: int = 16, rows: int = 4) -> DataFrame:
-    """(doc_id, cluster_id): documents joined by exact or near copies; cluster_id is the smallest doc_id.
+    Exact: every two texts whose word shingles have the similarity are linked; see operators.nearcopies. Only distinct texts
+    are looked at, and only members of clusters of two and more are returned.
+    """
+    texts = df.select(text_key().alias("doc_id"), F.coalesce("text", F.lit("")).alias("text")).dropDuplicates(["doc_id"])
+    got = nearcopies.groups(texts, width, similarity).withColumnRenamed("doc_id", "digest")
+    return got.withColumn("_n", F.count("*").over(W.partitionBy("component_id"))).where("_n > 1").select("digest", F.col("component_id").alias("cluster_id"))
+
+
+def with_clusters(df: DataFrame, sent: int = 1 << 20) -> DataFrame:
+    """df with cluster_id: the digest of the text, or for near copies the smallest digest among them.
 
-    Exact texts are one node. MinHash bands give candidates: within a band every node meets the band's smallest node only, so a
-    band of any size costs one pair a node; a pair counts when the Jaccard similarity of its word shingles is at least
-    `similarity`. For a leak guard this is the cautious side of a node's own bands; no pairs within a group are made.
+    Rows are joined by digest, so repeated and null ids do no harm; the table of near copies goes to the rows while it has at most
+    `sent` rows, so that texts stay where they are.
     """
-    rng = np.random.default_rng(1)
-    mul = rng.integers(1, 2**63, bands * rows, dtype=np.uint64) | np.uint64(1)
-    add = rng.integers(0, 2**63, bands * rows, dtype=np.uint64)
-
-    def sign(batches):
-        for b in batches:
-            sets = [_shingles(t, shingle) for t in b.column(1).to_pylist()]
-            sig = []
-            for s in sets:
-                low = np.array([((s * m + a) >> np.uint64(7)).min() for m, a in zip(mul, add)], np.uint64).reshape(bands, rows) if len(s) else np.zeros((bands, rows), np.uint64)
-                with np.errstate(over="ignore"):
-                    key = (low * mul[:rows]).sum(axis=1) * np.uint64(0x9E3779B97F4A7C15) + np.arange(bands, dtype=np.uint64)
-                sig.append(key.view(np.int64).tolist() if len(s) else [])
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([s.view(np.int64).tolist() for s in sets], pa.list_(pa.int64())), pa.array(sig, pa.list_(pa.int64()))], names=["node", "set", "bands"])
-
-    texts = df.groupBy(F.md5(F.coalesce("text", F.lit(""))).alias("digest")).agg(F.min("doc_id").alias("node"), F.min_by("text", "doc_id").alias("text"))
-    signed = cut(texts.where("node is not null").select("node", "text").mapInArrow(sign, "node long, set array<long>, bands array<long>"))
-    keys = signed.select("node", F.explode("bands").alias("k"))
-    head = keys.groupBy("k").agg(F.min("node").alias("low"), F.count("*").alias("n")).where("n > 1").select("k", "low")
-    pairs = keys.join(head, "k").where("node <> low").select("node", "low").distinct()
-    sets = signed.select("node", "set")
-    both = pairs.join(sets, "node").join(sets.select(F.col("node").alias("low"), F.col("set").alias("set2")), "low")
-    common = F.size(F.array_intersect("set", "set2"))
-    near = both.where(common >= similarity * (F.size("set") + F.size("set2") - common)).select(F.col("node").alias("a"), F.col("low").alias("b"))
-    comp = components(near)
-    at = texts.select("digest", "node").join(comp, "node", "left").select("digest", F.coalesce("root", "node").alias("cluster_id"))
-    return df.select("doc_id", F.md5(F.coalesce("text", F.lit(""))).alias("digest")).join(at, "digest").select("doc_id", "cluster_id")
+    near = cut(near_copies(df)).withColumnRenamed("digest", "_digest")
+    near = F.broadcast(near) if near.count() <= sent else near
+    d = df.withColumn("_key", text_key()).join(near, F.col("_key") == F.col("_digest"), "left")
+    return d.withColumn("cluster_id", F.coalesce("cluster_id", "_key")).drop("_key", "_digest")
+
+
+def copy_clusters(df: DataFrame) -> DataFrame:
+    """(doc_id, cluster_id), one row for each row of df: documents joined by exact or near copies."""
+    return with_clusters(df).select("doc_id", "cluster_id")
 
 
 def split_of(key: str | Column, train: int = 80, valid: int = 10) -> Column:
@@ -102,9 +90,8 @@ def split_of(key: str | Column, train: int = 80, valid: int = 10) -> Column:
 
 def split(df: DataFrame, train: int = 80, valid: int = 10, by: str = "cluster") -> DataFrame:
     """df with cluster_id and split; by 'cluster' near copies stay on one side, by 'text' exact ones only."""
-    if by == "text":
-        return df.withColumns({"cluster_id": F.md5(F.coalesce("text", F.lit(""))), "split": split_of(F.md5(F.coalesce("text", F.lit(""))), train, valid)})
-    return df.join(copy_clusters(df), "doc_id").withColumn("split", split_of("cluster_id", train, valid))
+    d = with_clusters(df) if by == "cluster" else df.withColumn("cluster_id", text_key())
+    return d.withColumn("split", split_of("cluster_id", train, valid))
 
 
 def domain_pairs(domains: DataFrame, column: str) -> DataFrame:

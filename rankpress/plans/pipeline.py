@@ -6,6 +6,7 @@ and decompressing are narrow; only putting a document's blocks together again sh
 
 from __future__ import annotations
 
+import secrets
 import time
 import zlib
 
@@ -18,7 +19,7 @@ from ..functions.predictors import IdentityRanker, rollout_ranks, rollout_tokens
 from ..functions.serializers import SERIALIZERS
 from ..operators.corpus import blocks
 
-FRAME = "doc_id long, block int, codec string, serializer string, model_id string, tokenizer_id string, flags int, n_chars int, n_bytes int, n_tokens int, seed binary, payload binary, crc32 long"
+FRAME = "run long, row long, doc_id long, block int, codec string, serializer string, model_id string, tokenizer_id string, flags int, n_chars int, n_bytes int, n_tokens int, seed binary, payload binary, crc32 long"
 SEEDED, RAW, VERIFIED = 1, 2, 4
 
 
@@ -34,17 +35,17 @@ def compress(df: DataFrame, tokenizer=None, model=None, serializer: str = "dotte
 
     seed_mode verbatim keeps the first context_size tokens as they are in the frame's seed and ranks the rest. verify decodes at
     once and stores the raw text, packed, where it differs; fallback stores whichever of the two is shorter. A null text
-    gives a frame with a null payload.
+    gives a frame with a null payload. run and row name the row of df that a frame belongs to: doc_id may be null or repeat.
     """
     pack = CODECS[codec]
     ser = SERIALIZERS[serializer][0]
     held = df.sparkSession.sparkContext.broadcast((tokenizer, model))
     names = (codec, serializer if model else "", model.model_id if model else "", tokenizer.name if tokenizer else "")
 
-    def one(doc, no, text):
+    def one(run, row, doc, no, text):
         tok, m = held.value
         if text is None:
-            return (doc, no, *names, 0, 0, 0, 0, None, None, None)
+            return (run, row, doc, no, *names, 0, 0, 0, 0, None, None, None)
         raw = text.encode("utf-8", "surrogatepass")
         flags, seed, n = 0, b"", 0
         if m is None:
@@ -62,13 +63,23 @@ def compress(df: DataFrame, tokenizer=None, model=None, serializer: str = "dotte
             back = _decode(tok, m, pack, serializer, mode, k, sample_seed, flags, seed, payload) if verify else text
             if back != text or (fallback and len(plain) < len(payload) + len(seed)):
                 flags, seed, payload = flags & ~SEEDED | RAW, b"", plain
-        return (doc, no, *names, flags, len(text), len(raw), n, seed, payload, zlib.crc32(raw))
+        return (run, row, doc, no, *names, flags, len(text), len(raw), n, seed, payload, zlib.crc32(raw))
 
     def run(batches):
         for b in batches:
-            yield _emit(FRAME, [one(*r) for r in zip(*(b.column(i).to_pylist() for i in range(3)))])
+            yield _emit(FRAME, [one(*r) for r in zip(*(b.column(i).to_pylist() for i in range(5)))])
 
-    return blocks(df.select(F.col("doc_id").cast("long"), "text"), block).select("doc_id", "block", "text").mapInArrow(run, FRAME)
+    d = df.select(*_identity(df), F.col("doc_id").cast("long").alias("doc_id"), "text")
+    return blocks(d, block).select("run", "row", "doc_id", "block", "text").mapInArrow(run, FRAME)
+
+
+def _identity(df: DataFrame) -> tuple:
+    """(run, row): two numbers that no other row has. Rows of a stream get both from a fresh identifier, since the numbers of
+    rows begin anew in each of its batches; rows of a table are numbered, under a number for this call."""
+    if df.isStreaming:
+        name = F.expr("uuid()")
+        return F.xxhash64(name).alias("run"), F.xxhash64(F.lit(1), name).alias("row")
+    return F.lit(secrets.randbits(63)).cast("long").alias("run"), F.monotonically_increasing_id().alias("row")
 
 
 def _decode(tok, m, pack, serializer, mode, k, sample_seed, flags, seed, payload) -> str:
@@ -84,7 +95,9 @@ def _decode(tok, m, pack, serializer, mode, k, sample_seed, flags, seed, payload
 
 
 def decompress(frames: DataFrame, tokenizer=None, model=None, mode: str = "individual", k: int = 8, sample_seed: int | None = None) -> DataFrame:
-    """(doc_id, text) of frames. Frames of another model are refused, and a checksum guards each block."""
+    """(doc_id, text) of frames, a row for each row that was compressed. Frames of another model are refused, and a checksum guards
+    each block."""
+    parts_ = "doc_id long, block int, text string"
     held = frames.sparkSession.sparkContext.broadcast((tokenizer, model))
 
     def run(batches):
@@ -93,19 +106,19 @@ def decompress(frames: DataFrame, tokenizer=None, model=None, mode: str = "indiv
             rows = []
             for r in b.to_pylist():
                 if r["payload"] is None:
-                    rows.append((r["doc_id"], r["block"], None))
+                    rows.append((r["run"], r["row"], r["doc_id"], r["block"], None))
                     continue
                 if r["model_id"] and (m is None or m.model_id != r["model_id"]):
                     raise ValueError(f"frame of model {r['model_id']}, decoder has {m.model_id if m else 'none'}")
                 text = _decode(tok, m if r["model_id"] else None, CODECS[r["codec"]], r["serializer"], mode, k, sample_seed, r["flags"], r["seed"], r["payload"])
                 if zlib.crc32(text.encode("utf-8", "surrogatepass")) != r["crc32"]:
                     raise ValueError(f"checksum of document {r['doc_id']}, block {r['block']}")
-                rows.append((r["doc_id"], r["block"], text))
-            yield _emit("doc_id long, block int, text string", rows)
+                rows.append((r["run"], r["row"], r["doc_id"], r["block"], text))
+            yield _emit(f"run long, row long, {parts_}", rows)
 
-    parts = frames.mapInArrow(run, "doc_id long, block int, text string")
+    parts = frames.mapInArrow(run, f"run long, row long, {parts_}")
     text = F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("block", "text"))), lambda x: x["text"]), "")
-    return parts.groupBy("doc_id").agg(F.when(F.count("text") > 0, text).alias("text"))
+    return parts.groupBy("run", "row").agg(F.first("doc_id").alias("doc_id"), F.when(F.count("text") > 0, text).alias("text")).select("doc_id", "text")
 
 
 def write_frames(frames: DataFrame, path: str) -> None:

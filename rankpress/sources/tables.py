@@ -36,8 +36,12 @@ def stream(spark: SparkSession, path: str, schema: T.StructType | str, files: in
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that all machines share; a new local one only where the session names none, as in tests."""
-    return spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="shared")
+    """The folder that all machines share, from spark.checkpoint.dir. Where the session names none, a new local one on a local
+    master, as in tests; on a cluster executors could not read such a folder, so that is an error."""
+    named = spark.conf.get("spark.checkpoint.dir", None)
+    if not named and not spark.sparkContext.master.startswith("local"):
+        raise ValueError("spark.checkpoint.dir has to name a folder that all machines share")
+    return named or tempfile.mkdtemp(prefix="shared")
 
 
 def cut(df: DataFrame) -> DataFrame:

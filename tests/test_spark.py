@@ -72,7 +72,7 @@ def test_copy_clusters(spark):
     base = " ".join(f"w{i}" for i in range(200))
     rows = [(1, base), (2, base), (3, base + " tail"), (4, base.replace("w100 ", "z ")), (5, "something else entirely here now"), (6, None), (7, "")]
     c = {r.doc_id: r.cluster_id for r in corpus.copy_clusters(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
-    assert c[1] == c[2] == c[3] == c[4] == 1 and c[5] == 5 and c[6] == c[7] == 6
+    assert c[1] == c[2] == c[3] == c[4] and len({c[1], c[5], c[6]}) == 3 and c[6] == c[7]
 
 
 def test_measures(spark):
