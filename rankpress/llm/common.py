@@ -1,17 +1,12 @@
-"""Shared pieces: table access, fold rules, lineage cuts, bounded samples, hashing of byte spans."""
+"""Shared pieces: table access, fold rules, lineage cuts, bounded samples; and the byte spans of the engine."""
 
 from __future__ import annotations
 
-import numpy as np
 from pyspark.sql import Column, DataFrame, functions as F
 
+from ..functions.spans import WORD_RE, SpanHasher, as_bytes, chunks, lower_ascii, mix, word_spans  # noqa: F401
 from ..sources.tables import cut, shared_folder, table  # noqa: F401
 
-#: Fixed value: the white space that separates words, as in [^\x20\x09-\x0D]+.
-#: bytes.split() without arguments uses the same six bytes, and bytes.lower() maps A-Z only.
-WORD_RE = "[^\\x20\\x09-\\x0D]+"
-
-
 def fold(key: str, mod: int) -> Column:
     """crc32 of the key written as text, modulo `mod`; a null key falls in fold 1 (never held out)."""
     return F.coalesce(F.pmod(F.crc32(F.col(key).cast("string").cast("binary")), F.lit(mod)), F.lit(1))
@@ -33,80 +28,3 @@ def near_bound(df: DataFrame, key: str, by: str, n: int) -> DataFrame:
     sizes = df.groupBy(by).agg(F.count("*").alias("_of"), F.min(place).alias("_least")).where(F.col(by).isNotNull())
     sizes = sizes.withColumn("_upto", F.when(F.col("_of") > n, (F.lit(float(n)) / F.col("_of"))).otherwise(1.0)).withColumnRenamed(by, "_by")
     return df.join(F.broadcast(cut(sizes)), F.col(by) == F.col("_by")).where((place < F.col("_upto")) | (place == F.col("_least"))).drop("_by", "_of", "_least", "_upto")
-
-
-# ---------------------------------------------------------------- bytes of a batch of texts
-
-
-def as_bytes(texts, pad: bytes = b"") -> tuple[np.ndarray, np.ndarray]:
-    """(data, starts): UTF-8 bytes of all texts one after the other, each followed by pad; null counts as empty."""
-    parts = [(t or "").encode("utf-8", "surrogatepass") + pad for t in texts]
-    starts = np.zeros(len(parts) + 1, np.int64)
-    np.cumsum([len(p) for p in parts], out=starts[1:])
-    return np.frombuffer(b"".join(parts), np.uint8), starts
-
-
-def chunks(texts: list, limit: int = 1 << 20):
-    """Ranges [i, j) of texts of about `limit` characters in all; a longer text stands alone."""
-    i, size = 0, 0
-    for j, t in enumerate(texts):
-        n = len(t or "")
-        if size and size + n > limit:
-            yield i, j
-            i, size = j, 0
-        size += n
-    if i < len(texts):
-        yield i, len(texts)
-
-
-_BASE = 0x9E3779B97F4A7C15
-_INV = pow(_BASE, -1, 1 << 64)
-
-
-class SpanHasher:
-    """64-bit polynomial hashes of any byte spans of one buffer, each in constant time.
-
-    Prefix sums of byte * base**position wrap modulo 2**64; multiplying a difference by the inverse power moves
-    a span to the origin. A finaliser mixes in the length.
-    """
-
-    def __init__(self, data: np.ndarray):
-        n = len(data)
-        pw = np.full(n + 1, _BASE, np.uint64)
-        pw[0] = 1
-        self.pw = np.cumprod(pw, dtype=np.uint64)
-        inv = np.full(n + 1, _INV, np.uint64)
-        inv[0] = 1
-        self.inv = np.cumprod(inv, dtype=np.uint64)
-        self.s = np.zeros(n + 1, np.uint64)
-        np.cumsum((data.astype(np.uint64) + np.uint64(1)) * self.pw[:n], dtype=np.uint64, out=self.s[1:])
-
-    def __call__(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
-        h = (self.s[b] - self.s[a]) * self.inv[a]
-        return mix(h + (b - a).astype(np.uint64) * np.uint64(0xC2B2AE3D27D4EB4F))
-
-
-def mix(h: np.ndarray) -> np.ndarray:
-    h = h ^ (h >> np.uint64(30))
-    h = h * np.uint64(0xBF58476D1CE4E5B9)
-    h = h ^ (h >> np.uint64(27))
-    h = h * np.uint64(0x94D049BB133111EB)
-    return h ^ (h >> np.uint64(31))
-
-
-_SPACE = np.zeros(256, bool)
-_SPACE[[0x20, *range(0x09, 0x0E)]] = True
-_LOWER = np.arange(256, dtype=np.uint8)
-_LOWER[65:91] += 32
-
-
-def lower_ascii(data: np.ndarray) -> np.ndarray:
-    return _LOWER[data]
-
-
-def word_spans(data: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Starts and ends of the words of a buffer."""
-    gap = np.ones(len(data) + 2, bool)
-    gap[1:-1] = _SPACE[data]
-    edge = np.flatnonzero(gap[1:] != gap[:-1])
-    return edge[0::2], edge[1::2]
