@@ -179,9 +179,9 @@ class Transformer:
             self.p[k] = self._w(k)
         self.low = {}
 
-    def rounded(self) -> WholeTransformer:
+    def rounded(self, window: str = "hop") -> WholeTransformer:
         self.merge()
-        return WholeTransformer(self)
+        return WholeTransformer(self, window)
 
 
 def _exp_table(step: int, places: int, top: int) -> np.ndarray:
@@ -194,12 +194,13 @@ class WholeTransformer:
 
     W, A, kind = 10, 8, "transformer"
 
-    def __init__(self, m: Transformer):
+    def __init__(self, m: Transformer, window: str = "hop"):
+        self.window = window
         self.vocab_size, self.layers, self.dim, self.heads, self.context, self.name, self.n_params = m.vocab_size, m.layers, m.dim, m.heads, m.context, m.name, m.n_params
         self.order = 0
         self.p = {k: np.rint(v.astype(float) * 2**self.W) for k, v in m.p.items()}
         self.exp = _exp_table(32, 16, 32 * 12)
-        self.model_id = hashlib.sha256(b"".join(k.encode() + self.p[k].tobytes() for k in sorted(self.p))).hexdigest()[:16]
+        self.model_id = hashlib.sha256(window.encode() + b"".join(k.encode() + self.p[k].tobytes() for k in sorted(self.p))).hexdigest()[:16]
 
     def _round(self, x, shift):
         return np.rint(x / 2.0**shift)
@@ -229,34 +230,91 @@ class WholeTransformer:
         return self._norm(h, "gf") @ self.p["emb"][: self.vocab_size].T
 
     def _window(self, ids, at: int) -> tuple[np.ndarray, int]:
-        """The window in which the token at a place is predicted, and the place's row in it."""
-        half = self.context // 2
-        start = max(0, (at // half - 1) * half)
-        x = np.concatenate([[self.vocab_size], ids])[start : start + self.context]
-        return np.pad(x, (0, self.context - len(x)), constant_values=self.vocab_size), at - start
+        """The window in which the token at a place is predicted, and the place's row in it.
+
+        hop: windows begin at every half of a window, and grow from half to whole. fixed: the window ends at the place, always
+        as long as there is text. growing: it begins at the last whole multiple of the window's length, and grows from nothing.
+        """
+        c = self.context
+        start = {"hop": max(0, (at // (c // 2) - 1) * (c // 2)), "fixed": max(0, at - c + 1), "growing": at // c * c}[self.window]
+        x = np.concatenate([[self.vocab_size], ids[max(0, start - 1) : start + c]])[: c + 1]
+        x = x[1:] if start else x[:-1] if len(x) > c else x
+        return np.pad(x, (0, c - len(x)), constant_values=self.vocab_size), at - start
+
+    def _rank(self, logits: np.ndarray, true: np.ndarray) -> np.ndarray:
+        own = logits[np.arange(len(true)), true][:, None]
+        return (logits > own).sum(1) + ((logits == own) & (np.arange(self.vocab_size) < true[:, None])).sum(1)
+
+    def _listed(self, logits: np.ndarray, ranks) -> np.ndarray:
+        """The tokens at the ranks, a row each."""
+        order = np.lexsort((np.broadcast_to(np.arange(self.vocab_size), logits.shape), -logits), axis=-1)
+        return order[np.arange(len(order)), ranks]
 
     def ranks(self, ids: np.ndarray, batch: int = 16) -> np.ndarray:
-        half, out = self.context // 2, np.zeros(len(ids), np.int64)
-        starts = list(range(0, len(ids), half))
+        ids = np.asarray(ids, np.int64)
+        step = {"hop": self.context // 2, "fixed": 1, "growing": self.context}[self.window]
+        out, starts = np.zeros(len(ids), np.int64), list(range(0, len(ids), step))
         for b in range(0, len(starts), batch):
             part = starts[b : b + batch]
             got = [self._window(ids, s) for s in part]
             z = self.forward(np.stack([w for w, _ in got]))
             for s, (_, row), logits in zip(part, got, z):
-                n = min(half, len(ids) - s)
-                true = ids[s : s + n].astype(int)
-                l = logits[row : row + n]
-                own = l[np.arange(n), true][:, None]
-                out[s : s + n] = (l > own).sum(1) + ((l == own) & (np.arange(self.vocab_size) < true[:, None])).sum(1)
+                n = min(step, len(ids) - s)
+                out[s : s + n] = self._rank(logits[row : row + n], ids[s : s + n])
         return out
 
     def tokens(self, ranks) -> np.ndarray:
-        ids: list[int] = []
-        for r in np.asarray(ranks).tolist():
-            w, row = self._window(np.array(ids, int), len(ids))
-            l = self.forward(w[None, : row + 1])[0, row]
-            ids.append(int(np.lexsort((np.arange(self.vocab_size), -l))[r]))
-        return np.array(ids, np.int32)
+        return self.tokens_many([ranks])[0]
+
+    def tokens_many(self, many: list) -> list[np.ndarray]:
+        """The tokens of several sequences of ranks, decoded in step: one predictor call for the next token of all that go on."""
+        many = [np.asarray(r, np.int64) for r in many]
+        out = [np.zeros(len(r), np.int64) for r in many]
+        for t in range(max(map(len, many), default=0)):
+            on = [k for k, r in enumerate(many) if len(r) > t]
+            got = [self._window(out[k][:t], t) for k in on]
+            rows = np.array([row for _, row in got])
+            z = self.forward(np.stack([w for w, _ in got])[:, : rows.max() + 1])
+            for k, token in zip(on, self._listed(z[np.arange(len(on)), rows], [many[k][t] for k in on])):
+                out[k][t] = token
+        return [o.astype(np.int32) for o in out]
+
+    # ------------------------------------------------------------ k tokens ahead
+
+    def _ahead(self, given: np.ndarray, k: int, encode: bool, batch: int = 64) -> tuple[np.ndarray, int]:
+        """Ranks (or tokens) when a group of k is predicted from the text before it and the model's own first guesses, and the number of
+        predictor calls. The encoder knows all text, so its groups go in step, many to a call; the decoder's follow each other."""
+        given = np.asarray(given, np.int64)
+        true = given.copy() if encode else np.zeros(len(given), np.int64)
+        out, calls = np.zeros(len(given), np.int64), 0
+        starts = list(range(0, len(given), k))
+        size = batch if encode else 1
+        for b in range(0, len(starts), size):
+            part = starts[b : b + size]
+            seen = [true[:s] for s in part]
+            for j in range(k):
+                on = [g for g, s in enumerate(part) if s + j < len(given)]
+                if not on:
+                    break
+                got = [self._window(seen[g], part[g] + j) for g in on]
+                rows = np.array([row for _, row in got])
+                z = self.forward(np.stack([w for w, _ in got])[:, : rows.max() + 1])[np.arange(len(on)), rows]
+                at = np.array([part[g] + j for g in on])
+                calls += 1
+                if encode:
+                    out[at] = self._rank(z, true[at])
+                else:
+                    true[at] = out[at] = self._listed(z, given[at])
+                guess = self._listed(z, np.zeros(len(on), int))
+                for g, x in zip(on, guess):
+                    seen[g] = np.append(seen[g], x)
+        return out, calls
+
+    def ranks_ahead(self, ids, k: int) -> np.ndarray:
+        return self._ahead(ids, k, True)[0]
+
+    def tokens_ahead(self, ranks, k: int) -> np.ndarray:
+        return self._ahead(ranks, k, False)[0].astype(np.int32)
 
 
 class Recurrent:

@@ -64,10 +64,10 @@ class CountModel:
 
     def _clear(self):
         self._lists: list[dict] = [{} for _ in self.levels]
-        self._g = None
+        self._g = self._index = self._up = None
 
     def __getstate__(self):
-        return {k: v for k, v in self.__dict__.items() if k not in ("_lists", "_g", "_inv", "_pair")}
+        return {k: v for k, v in self.__dict__.items() if k not in ("_lists", "_g", "_inv", "_index", "_up")}
 
     def __setstate__(self, state):
         self.__dict__ |= state
@@ -173,25 +173,65 @@ class CountModel:
             done.append(t)
         return np.array(out, np.int64)
 
+    def _look_up(self, k: int, ctx: np.ndarray, tokens: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(which context of length k, or -1; place of the token in its list, or -1)."""
+        keys, first, listed, _ = self.levels[k]
+        if self._index is None:
+            self._index = [None] * len(self.levels)
+        if self._index[k] is None:
+            at = np.repeat(np.arange(len(keys)), np.diff(first)) * self.vocab_size + listed
+            order = np.argsort(at, kind="stable")
+            self._index[k] = (at[order], order)
+        if not len(keys) or not len(ctx):
+            return np.full(len(ctx), -1), np.full(len(ctx), -1)
+        pairs, order = self._index[k]
+        i = np.minimum(np.searchsorted(keys, ctx), len(keys) - 1)
+        i = np.where(keys[i] == ctx, i, -1)
+        want = np.where(i >= 0, i * self.vocab_size + tokens, -1)
+        j = np.minimum(np.searchsorted(pairs, want), len(pairs) - 1)
+        return i, np.where(pairs[j] == want, order[j] - first[i], -1)
+
+    def _nesting(self) -> list[np.ndarray] | None:
+        """For each length k >= 1, the places of its listed tokens in the lists of the context one shorter; None if a token isn't
+        listed there, which counting texts never brings about."""
+        if self._up is None:
+            up = [np.zeros(0, np.int64)]
+            for k in range(1, self.order + 1):
+                keys, first, listed, _ = self.levels[k]
+                shorter = np.repeat(keys & ((1 << (BITS * (k - 1))) - 1), np.diff(first))
+                up.append(self._look_up(k - 1, shorter, listed)[1])
+            self._up = (not any((u < 0).any() for u in up), up)
+        return self._up[1] if self._up[0] else None
+
     def ranks_vectorised(self, ids: np.ndarray) -> np.ndarray:
-        """The same ranks, with all tokens that their longest context lists looked up in one sorted array; the rest go one
-        by one."""
-        keys = context_keys(ids, self.order)
-        ctx, first, tokens, _ = self.levels[self.order]
-        out = np.full(len(ids), -1, np.int64)
-        if len(ctx) and len(ids):
-            if getattr(self, "_pair", None) is None:
-                at = np.repeat(np.arange(len(ctx)), np.diff(first)) * self.vocab_size + tokens
-                self._pair = (np.sort(at), np.argsort(at, kind="stable"))
-            i = np.minimum(np.searchsorted(ctx, keys[-1]), len(ctx) - 1)
-            want = np.where(ctx[i] == keys[-1], i * self.vocab_size + ids, -1)
-            j = np.minimum(np.searchsorted(self._pair[0], want), len(self._pair[0]) - 1)
-            hit = self._pair[0][j] == want
-            out[hit] = self._pair[1][j[hit]] - first[i[hit]]
-        rest = np.flatnonzero(out < 0)
-        if len(rest):
-            k = np.stack([x[rest] for x in keys], axis=1).tolist()
-            out[rest] = [self.rank(a, t) for a, t in zip(k, ids[rest].tolist())]
+        """The same ranks, a context length at a time for all tokens that no longer context lists.
+
+        Lists nest, so what stands before a token found at length k is the whole list of the longer context, and of the own list
+        what comes earlier and isn't in that one: its place, and one for each token of the longer context's list behind it here.
+        """
+        up = self._nesting()
+        if up is None:
+            keys = np.stack(context_keys(ids, self.order), axis=1).tolist()
+            return np.array([self.rank(k, t) for k, t in zip(keys, ids.tolist())], np.int64)
+        keys, ids = context_keys(ids, self.order), ids.astype(np.int64)
+        out, left = np.full(len(ids), -1, np.int64), np.arange(len(ids))
+        above = np.full(len(ids), -1)  # the context one longer, where it is known
+        for k in range(self.order, -1, -1):
+            i, place = self._look_up(k, keys[k][left], ids[left])
+            if k == 0 and len(left):  # unseen tokens stand behind all others, by id
+                seen = np.sort(self.levels[0][2])
+                place = np.where(place >= 0, place, len(seen) + ids[left] - np.searchsorted(seen, ids[left]))
+            hit = place >= 0
+            got, over, p = left[hit], above[hit], place[hit]
+            out[got] = p
+            more = np.flatnonzero(over >= 0)
+            if len(more):
+                first = self.levels[k + 1][1]
+                a, n = first[over[more]], np.diff(first)[over[more]]
+                begin = np.concatenate([[0], np.cumsum(n)[:-1]])
+                flat = np.repeat(a - begin, n) + np.arange(n.sum())
+                out[got[more]] += np.add.reduceat(up[k + 1][flat] > np.repeat(p[more], n), begin, dtype=np.int64)
+            left, above = left[~hit], i[~hit]
         return out
 
     def tokens(self, ranks) -> np.ndarray:
@@ -295,11 +335,16 @@ def rollout_ranks(model, ids: np.ndarray, k: int, seed: int | None = None, noise
     """Ranks when k tokens are predicted ahead: within a group of k the model reads its own guesses, not the text.
 
     The guess is the first token of the order, or with a seed now and then the second, drawn from a counter-based generator.
+    A network does its groups in step, see ranks_ahead().
     """
+    if hasattr(model, "ranks_ahead"):
+        return model.ranks_ahead(ids, k)
     return _rollout(model, ids.tolist(), k, seed, noise, True)
 
 
 def rollout_tokens(model, ranks, k: int, seed: int | None = None, noise: float = 0.1) -> np.ndarray:
+    if hasattr(model, "tokens_ahead"):
+        return model.tokens_ahead(ranks, k)
     return _rollout(model, np.asarray(ranks).tolist(), k, seed, noise, False).astype(np.int32)
 
 

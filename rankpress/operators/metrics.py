@@ -48,6 +48,21 @@ def improvement(results: DataFrame, base: Column, variant: Column, keys: list[st
     return a.join(b, keys).withColumn("gain_pct", 100 * (F.col("ratio_new") / F.col("ratio_base") - 1))
 
 
+def codec_gain(results: DataFrame, first: str, second: str, what: str = "codec") -> DataFrame:
+    """grp, model, ratio_first, ratio_second, gain_pct: what the second codec (or serializer) gains over the first on the same ranks."""
+    size = lambda c: F.sum(F.when(F.col(what) == c, F.col("packed_bytes")))
+    raw = F.sum(F.when(F.col(what) == first, F.col("raw_bytes")))
+    t = results.groupBy("grp", "model").agg((raw / size(first)).alias("ratio_first"), (raw / size(second)).alias("ratio_second"))
+    return t.withColumn("gain_pct", 100 * (F.col("ratio_second") / F.col("ratio_first") - 1))
+
+
+def amortised(results: DataFrame, sizes: DataFrame) -> DataFrame:
+    """model, codec, ratio_bytes, n_params, n_bytes, ratio_with_model: pooled ratios without and with the model's bytes (sizes: model,
+    n_params, n_bytes) charged once to all that is packed."""
+    t = results.groupBy("model", "codec").agg(F.sum("raw_bytes").alias("raw"), F.sum("packed_bytes").alias("packed")).join(F.broadcast(sizes), "model")
+    return t.select("model", "codec", (F.col("raw") / F.col("packed")).alias("ratio_bytes"), "n_params", "n_bytes", (F.col("raw") / (F.col("packed") + F.col("n_bytes"))).alias("ratio_with_model"))
+
+
 def gain_interval(results: DataFrame, base: Column, variant: Column, draws: int = 200) -> DataFrame:
     """gain_pct of pooled ratios with a paired bootstrap interval of 95 %: each block's weight in a draw is a Poisson count
     taken from a digest of block and draw, so draws need no passes of their own and reruns agree."""

@@ -47,6 +47,21 @@ def counts(df: DataFrame, tokenizer, order: int, domain: str | None = None, text
     return d.mapInArrow(run, COUNTS).groupBy("domain", "level", "ctx", "token").agg(F.sum("cnt").alias("cnt"))
 
 
+def token_lengths(df: DataFrame, tokenizer, text: str = "text") -> DataFrame:
+    """The columns of df but the text, with n_chars and n_tokens of it; a narrow pass."""
+    keep = [c for c in df.columns if c not in (text, "n_chars", "n_tokens")]
+
+    def run(batches):
+        for b in batches:
+            texts = b.column(b.num_columns - 1).to_pylist()
+            n = pa.array([None if t is None else len(tokenizer.encode(t)) for t in texts], pa.int64())
+            yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array([None if t is None else len(t) for t in texts], pa.int64()), n], names=[*b.schema.names[:-1], "n_chars", "n_tokens"])
+
+    d = df.select(*keep, F.col(text).alias("_text"))
+    schema = "".join(f"`{f.name}` {f.dataType.simpleString()}, " for f in d.schema.fields[:-1])
+    return d.mapInArrow(run, f"{schema}n_chars long, n_tokens long")
+
+
 def merged(base: DataFrame, domain: DataFrame, weight: int) -> DataFrame:
     """Fine-tuned counts: base plus `weight` times the domain's, named as the domain. Weight 0 gives the base."""
     b = base.select("level", "ctx", "token", "cnt")
@@ -85,20 +100,25 @@ def distilled(df: DataFrame, teacher: CountModel, tokenizer, student_order: int,
     return d.mapInArrow(run, COUNTS).groupBy("domain", "level", "ctx", "token").agg(F.sum("cnt").alias("cnt"))
 
 
-def collect_models(counted: DataFrame, vocab_size: int, order: int, most: int = 4_000_000, prefix: str = "") -> dict[str, CountModel]:
-    """The models of all domains for broadcasting. The number of rows is checked before they come to the driver: beyond
-    `most` the rarest of the contexts of length >= 1 go, the least count doubling until the rest fits; the relational
-    form (operators.ranks) takes models of any size."""
+def collect_models(counted: DataFrame, vocab_size: int, order: int, most: int = 1 << 25, prefix: str = "") -> dict[str, CountModel]:
+    """The models of all domains for broadcasting, every count in them. The number of rows is checked before they come to the
+    driver: a table of more than `most` rows is refused, and operators.ranks gives the same ranks by joins at any size."""
     counted = cut(counted)
-    least = 1
-    while counted.where((F.col("level") == 0) | (F.col("cnt") >= least)).count() > most:
-        least *= 2
-    t = counted.where((F.col("level") == 0) | (F.col("cnt") >= least)).toArrow()
+    n = counted.count()
+    if n > most:
+        raise ValueError(f"{n} counts are more than the {most} that are sent to tasks; rank them with operators.ranks")
+    t = counted.toArrow()
     domain = np.array(t.column("domain").to_pylist(), object)
     cols = [t.column(c).to_numpy() for c in ("level", "ctx", "token", "cnt")]
     return {d: CountModel.from_rows(*(c[domain == d] for c in cols), vocab_size, order, f"{prefix}{d}") for d in sorted(set(domain))}
 
 
+def empty(vocab_size: int, order: int) -> CountModel:
+    """The model of no text: all tokens in the order of their ids."""
+    none = np.zeros(0, np.int64)
+    return CountModel.from_rows(none, none, none, none, vocab_size, order, "empty")
+
+
 def truncated(model: CountModel, order: int, name: str) -> CountModel:
     """The smaller model of a ladder: the same counts with shorter contexts."""
     return CountModel(model.levels[: order + 1], model.vocab_size, name)

@@ -103,14 +103,19 @@ def decompress(frames: DataFrame, tokenizer=None, model=None, mode: str = "indiv
     def run(batches):
         tok, m = held.value
         for b in batches:
-            rows = []
-            for r in b.to_pylist():
+            rows, all_ = [], b.to_pylist()
+            ready = {}
+            if hasattr(m, "tokens_many") and mode == "individual":  # a network decodes the batch's blocks in step
+                plain = [i for i, r in enumerate(all_) if r["payload"] is not None and r["model_id"] == m.model_id and not r["flags"] & (RAW | SEEDED)]
+                ranks = [SERIALIZERS[all_[i]["serializer"]][1](CODECS[all_[i]["codec"]].decode(all_[i]["payload"])) for i in plain]
+                ready = {i: tok.decode(t) for i, t in zip(plain, m.tokens_many(ranks))}
+            for i, r in enumerate(all_):
                 if r["payload"] is None:
                     rows.append((r["run"], r["row"], r["doc_id"], r["block"], None))
                     continue
                 if r["model_id"] and (m is None or m.model_id != r["model_id"]):
                     raise ValueError(f"frame of model {r['model_id']}, decoder has {m.model_id if m else 'none'}")
-                text = _decode(tok, m if r["model_id"] else None, CODECS[r["codec"]], r["serializer"], mode, k, sample_seed, r["flags"], r["seed"], r["payload"])
+                text = ready[i] if i in ready else _decode(tok, m if r["model_id"] else None, CODECS[r["codec"]], r["serializer"], mode, k, sample_seed, r["flags"], r["seed"], r["payload"])
                 if zlib.crc32(text.encode("utf-8", "surrogatepass")) != r["crc32"]:
                     raise ValueError(f"checksum of document {r['doc_id']}, block {r['block']}")
                 rows.append((r["run"], r["row"], r["doc_id"], r["block"], text))

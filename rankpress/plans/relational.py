@@ -295,11 +295,47 @@ def exact_copy_groups(spark, d):
     return _docs(spark, d).groupBy(F.md5("text").alias("digest")).agg(F.count("*").alias("n"), F.min("doc_id").alias("first_id")).where("n > 1")
 
 
-@query("select ''::varchar digest, 0::bigint n where false")
-def split_is_disjoint(spark, d):
-    """Texts that stand on more than one side of the split: none."""
-    s = corpus.split(_docs(spark, d), by="text")
-    return s.groupBy(F.md5(F.coalesce("text", F.lit(""))).alias("digest")).agg(F.count_distinct("split").alias("n")).where("n > 1")
+@query("select lang a, b.lang b from (select distinct lang from documents) a cross join (select distinct lang from documents) b".replace("select lang a", "select a.lang a"))
+def language_pairs(spark, d):
+    """Every pair of a language to train on and one to test."""
+    return corpus.domain_pairs(_docs(spark, d), "lang").select(F.col("train_domain").alias("a"), F.col("eval_domain").alias("b"))
+
+
+_PLAIN = "regexp_replace(regexp_replace(html, '<(script|style)\\b.*?</(script|style)\\s*>|<!--.*?-->|<[^>]*>', ' ', 'gis'), '\\s+', ' ', 'g')"
+
+
+@query(f"select page_id, md5(trim(replace(replace(replace(replace(replace(replace({_PLAIN}, '&lt;', '<'), '&gt;', '>'), '&quot;', chr(34)), '&middot;', chr(183)), '&copy;', chr(169)), '&amp;', '&'))) digest from pages")
+def page_text_digests(spark, d):
+    """Pages without their markup."""
+    return corpus.page_text(table(spark, d, "pages")).select("page_id", F.md5("text").alias("digest"))
+
+
+@query("select lang, sum(len(text))::bigint chars, sum(strlen(text))::bigint byte_tokens, round(sum(strlen(text)) / sum(len(text)), 6) byte_fertility, round(max(strlen(text)), 6)::bigint longest from documents group by lang")
+def token_lengths(spark, d):
+    """Tokens a character (fertility) and the longest text in tokens, by language, through the tokenizer."""
+    from ..functions.tokenizers import tokenizer
+    from ..operators import training
+
+    t = training.token_lengths(_docs(spark, d).where("text is not null"), tokenizer("byte"))
+    return t.groupBy("lang").agg(F.sum("n_chars").alias("chars"), F.sum("n_tokens").alias("byte_tokens"), r6(F.sum("n_tokens") / F.sum("n_chars")).alias("byte_fertility"), F.max("n_tokens").alias("longest"))
+
+
+_DRAWS = "(md5(concat_ws('-', grp, doc_id, block, draw)))"
+_U = f"(('0x' || substring({_DRAWS}, 1, 8))::bigint / 4294967296.0::double)"
+
+
+@query(
+    f"with r as (select lang grp, doc_id, 0 block, len(text) pa, len(replace(text, ' ', '')) pb from documents where len(replace(text, ' ', '')) > 0), x as (select *, unnest(range(0, 201)) draw from r), "
+    f"w as (select *, case when draw = 0 then 1 else ({_U} > 0.36787944)::int + ({_U} > 0.73575888)::int + ({_U} > 0.91969860)::int + ({_U} > 0.98101184)::int + ({_U} > 0.99634015)::int end w from x), "
+    "g as (select grp, draw, 100 * (sum(w * pa) / sum(w * pb) - 1) g from w group by all) select grp, round(max(g) filter (draw = 0), 6) gain_pct, round(quantile_cont(g, 0.025) filter (draw > 0), 6) low, round(quantile_cont(g, 0.975) filter (draw > 0), 6) high from g group by grp"
+)
+def gain_intervals(spark, d):
+    """The gain of texts without blanks over whole ones, with its bootstrap interval over documents."""
+    x = _docs(spark, d).where("length(replace(text, ' ', '')) > 0")
+    one = lambda name, size: x.select(F.col("lang").alias("grp"), "doc_id", F.lit(0).alias("block"), F.lit(name).alias("model"), F.length("text").alias("raw_bytes"), F.length(size).alias("packed_bytes"))
+    r = one("a", F.col("text")).unionByName(one("b", F.replace("text", F.lit(" "), F.lit(""))))
+    g = metrics.gain_interval(r, F.col("model") == "a", F.col("model") == "b")
+    return g.select("grp", *(r6(c).alias(c) for c in ("gain_pct", "low", "high")))
 
 
 @query("select doc_id, lang from documents where doc_id in (select doc_id from labels)")
@@ -368,23 +404,29 @@ def vocab_overlap(spark, d):
     return n("en").join(n("fr"), "symbol", "full")
 
 
-@query("select distinct d.doc_id from documents d join benchmark b on contains(d.text, substring(b.text, 1, 60)) where len(b.text) >= 60")
+PIECE, STEP = 60, 30
+_HITS = f"select distinct doc_id from documents d, (select distinct substring(text, i::int, {PIECE}) piece from (select text, unnest(range(1, len(text) - {PIECE - 2})) i from benchmark where len(text) >= {PIECE})) p where contains(d.text, p.piece)"
+
+
+@query(_HITS)
 def contamination_exact(spark, d):
-    """Documents that hold the first 60 characters of a benchmark item.
+    """Documents that share a piece of 60 characters with a benchmark item, wherever it stands in either.
 
-    Words within those characters stand between spaces, so they are words of the document too: three in a row are an equi-join
-    key, and what they find is checked. Items with fewer words are looked for one by one.
+    A shared piece holds a stretch of 30 characters that begins at a multiple of 30 in the document. So a document gives its
+    stretches, a thirtieth of its characters in rows, an item all stretches that it has; they meet by an equi-join, and each meeting
+    is checked for the whole piece. The items' stretches go to all tasks while they are at most a million.
     """
-    b = table(spark, d, "benchmark").where("length(text) >= 60").select(F.substring("text", 1, 60).alias("piece")).distinct()
-    w = F.split("piece", " ")
-    b = b.withColumn("k", F.when(F.size(w) >= 5, F.array_join(F.slice(w, 2, 3), " ")))
-    x = _docs(spark, d).where("length(text) >= 60").select("doc_id", "text")
-    v = F.split("text", " ")
-    three = F.arrays_zip(v.alias("a"), F.slice(v, 2, F.greatest(F.size(v) - 1, F.lit(0))).alias("b"), F.slice(v, 3, F.greatest(F.size(v) - 2, F.lit(0))).alias("c"))
-    keys = x.select("doc_id", F.explode(F.array_distinct(F.transform(three, lambda z: F.concat_ws(" ", z["a"], z["b"], z["c"])))).alias("k"))
-    hit = keys.join(b.where("k is not null"), "k").select("doc_id", "piece").distinct().join(x, "doc_id").where(F.col("text").contains(F.col("piece"))).select("doc_id")
-    few = b.where("k is null").select("piece")
-    return hit.union(x.join(few, F.col("text").contains(F.col("piece"))).select("doc_id")).distinct()
+    b = table(spark, d, "benchmark").where(F.length("text") >= PIECE).select(F.col("text").alias("item")).distinct()
+    at = lambda text, step, least: F.sequence(F.lit(0), F.length(text) - least, F.lit(step))
+    cut = lambda text, i: F.substring(F.col(text), i + 1, F.lit(STEP))
+    b = b.select("item", F.explode(at("item", 1, STEP)).alias("q")).withColumn("k", F.substring(F.col("item"), F.col("q") + 1, F.lit(STEP)))
+    n = b.count()
+    x = _docs(spark, d).where(F.length("text") >= PIECE).select("doc_id", F.monotonically_increasing_id().alias("row"), "text")
+    keys = x.select("row", "doc_id", "text", F.explode(at("text", STEP, STEP)).alias("p")).withColumn("k", cut("text", F.col("p")))
+    met = keys.join(F.broadcast(b) if n <= 1 << 20 else b, "k")
+    back = F.sequence(F.lit(0), F.lit(PIECE - STEP))
+    whole = F.exists(back, lambda s: (s <= F.col("p")) & (s <= F.col("q")) & (F.length(F.substring(F.col("item"), F.col("q") - s + 1, F.lit(PIECE))) == PIECE) & (F.substring(F.col("text"), F.col("p") - s + 1, F.lit(PIECE)) == F.substring(F.col("item"), F.col("q") - s + 1, F.lit(PIECE))))
+    return met.where(whole).select("doc_id").distinct()
 
 
 # ------------------------------------------------------------------ other tables as text, JSON, events

@@ -2,11 +2,15 @@
 
 Documents are split by clusters of near copies; models see `train`, choices were made on `valid`, reports read `test`. All blocks of
 the whole side are used. The flagship tokenizer has 16,384 pieces and the flagship model two tokens of context.
+
+Every experiment takes a Setting. FULL is the experiment itself. EXACT is the same run over code points, one symbol of context and stored
+sizes, without times: all of it can be stated in SQL, and plans.exact does so, query by query.
 """
 
 from __future__ import annotations
 
 import time
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -26,16 +30,42 @@ SQL: dict[str, str] = {}
 _kept: dict = {}
 
 
+@dataclass(frozen=True)
+class Setting:
+    """How an experiment runs: tokens; context lengths of the flagship and of the ladder's top; second stages; all or what SQL can state."""
+
+    tokens: str = TOKENS
+    order: int = ORDER
+    top: int = 3
+    codecs: tuple = ("gzip", "brotli")
+    serializers: tuple = ("dotted",)
+    exact: bool = False
+
+    @property
+    def tok(self):
+        return tokenizer(self.tokens)
+
+
+FULL = Setting()
+EXACT = Setting("char", 1, 1, ("raw",), ("dotted",), True)
+
+
 def workload(f):
     QUERIES[f.__name__] = f
     return f
 
 
+def _version(spark, d) -> tuple:
+    """Number, size and newest time of the files of documents: what is kept for a folder goes when they change."""
+    files = spark.read.format("binaryFile").option("recursiveFileLookup", True).load(f"{d}/documents.parquet").select("path", "length", "modificationTime")
+    return tuple(files.agg(F.count("*"), F.sum("length"), F.max(F.unix_micros("modificationTime"))).first())
+
+
 def _once(spark, d, name, make):
-    """Splits and models are made once a session and folder."""
-    key = (spark.sparkContext.applicationId, d, name)
+    """Splits and models are made once a session, folder and version of its documents."""
+    key = (spark.sparkContext.applicationId, d, _version(spark, d), name)
     if key not in _kept:
-        if len(_kept) > 60:
+        if len(_kept) > 80:
             _kept.clear()
         _kept[key] = make()
     return _kept[key]
@@ -59,7 +89,7 @@ def _tok(name=TOKENS):
 def model(spark, d, where: str = "true", tokens: str = TOKENS, order: int = ORDER) -> CountModel:
     """A model of the training documents for which `where` holds."""
     t = _tok(tokens)
-    make = lambda: training.collect_models(training.counts(documents(spark, d).where("split = 'train'").where(where), t, order), t.vocab_size, order)["all"]
+    make = lambda: training.collect_models(training.counts(documents(spark, d).where("split = 'train'").where(where), t, order), t.vocab_size, order).get("all") or training.empty(t.vocab_size, order)
     return _once(spark, d, ("model", where, tokens, order), make)
 
 
@@ -69,29 +99,50 @@ def language_models(spark, d, tokens: str = TOKENS, order: int = ORDER) -> dict[
     return _once(spark, d, ("languages", tokens, order), make)
 
 
-def ladder(spark, d, tokens: str = TOKENS) -> dict[str, CountModel]:
-    """S, M, L, XL: contexts of 0, 1, 2 and 3 tokens from the same counts."""
-    top = model(spark, d, tokens=tokens, order=3)
-    return {name: training.truncated(top, k, name) for k, name in enumerate(("S", "M", "L", "XL"))}
+def ladder(spark, d, tokens: str = TOKENS, top: int = 3) -> dict[str, CountModel]:
+    """S, M, L, XL: contexts of 0, 1, 2 and 3 tokens from the same counts; those up to `top`."""
+    m = model(spark, d, tokens=tokens, order=top)
+    return {name: training.truncated(m, k, name) for k, name in enumerate(("S", "M", "L", "XL")[: top + 1])}
 
 
-def _run(blocks, models: dict[str, object], tokens: str = TOKENS, **how) -> DataFrame:
-    how = {"codecs": ("gzip", "brotli"), "raw": ("gzip", "brotli")} | how
+def _ladder(spark, d, s: Setting) -> dict[str, CountModel]:
+    return ladder(spark, d, s.tokens, s.top)
+
+
+def _flagship(spark, d, s: Setting, where: str = "true") -> CountModel:
+    return model(spark, d, where, s.tokens, s.order)
+
+
+def _run(blocks, models: dict[str, object], tokens: str = TOKENS, s: Setting = FULL, **how) -> DataFrame:
+    tokens = s.tokens if s.exact else tokens
+    how = {"codecs": s.codecs, "raw": s.codecs, "serializers": s.serializers} | how
     return pipeline.evaluate(blocks, {n: (m, tokens) for n, m in models.items()}, {tokens: _tok(tokens)}, **how)
 
 
 KEYS = ["grp", "model", "serializer", "codec", "mode"]
 
 
+def _report(results: DataFrame, by: list[str], s: Setting) -> DataFrame:
+    """The summary; without times and rounded where it is to be stated in SQL."""
+    return exactly(metrics.summary(results, by), s)
+
+
+def exactly(df: DataFrame, s: Setting) -> DataFrame:
+    if not s.exact:
+        return df
+    df = df.drop("encode_ms", "all_ms")
+    return df.select(*(F.round(c, 6).alias(c) if t == "double" else c for c, t in df.dtypes))
+
+
 # ------------------------------------------------------------------ W1 ranks
 
 
 @workload
-def w01_rank_distribution(spark, d):
+def w01_rank_distribution(spark, d, s=FULL):
     """Decay of the rank histogram by language, for byte tokens and for the flagship's."""
     out = None
-    for name in ("byte", TOKENS):
-        held, t = spark.sparkContext.broadcast(model(spark, d, tokens=name)), _tok(name)
+    for name in ("byte", s.tokens):
+        held, t = spark.sparkContext.broadcast(model(spark, d, tokens=name, order=s.order)), _tok(name)
 
         def run(batches, held=held, t=t):
             for b in batches:
@@ -102,16 +153,16 @@ def w01_rank_distribution(spark, d):
         h = side(spark, d, "test").select("grp", "text").mapInArrow(run, "grp string, rank long, n long").groupBy("grp", "rank").agg(F.sum("n").alias("n"))
         fit = metrics.decay_fit(h, ["grp"]).withColumn("tokenizer", F.lit(name))
         out = fit if out is None else out.unionByName(fit)
-    return out
+    return exactly(out, s)
 
 
 # ------------------------------------------------------------------ W2 speed
 
 
 @workload
-def w02_acceleration(spark, d):
+def w02_acceleration(spark, d, s=FULL):
     """Seconds for 10,000 characters, stepwise and vectorised, along the ladder; both must give the same ranks."""
-    held, t = spark.sparkContext.broadcast(ladder(spark, d)), _tok()
+    held, t = spark.sparkContext.broadcast(_ladder(spark, d, s)), s.tok
 
     def run(batches):
         for b in batches:
@@ -128,37 +179,66 @@ def w02_acceleration(spark, d):
 
     r = side(spark, d, "test").where("text <> ''").select("text").mapInArrow(run, "model string, n_params long, chars long, slow double, fast double, same boolean")
     per = lambda c: (10_000 * F.sum(c) / F.sum("chars"))
-    return r.groupBy("model", "n_params").agg(F.count("*").alias("n"), per("slow").alias("stepwise_s"), per("fast").alias("vectorised_s"), (F.sum("slow") / F.sum("fast")).alias("speed_up"), F.bool_and("same").alias("same"))
+    times = () if s.exact else (per("slow").alias("stepwise_s"), per("fast").alias("vectorised_s"), (F.sum("slow") / F.sum("fast")).alias("speed_up"))
+    return r.groupBy("model", "n_params").agg(F.count("*").alias("n"), F.sum("chars").alias("chars"), *times, F.bool_and("same").alias("same"))
 
 
 # ------------------------------------------------------------------ W3 groups
 
 
+def _stages(spark, d, s: Setting) -> dict:
+    return {"ids": pipeline.ids_model(s.tok.vocab_size), "order0": training.truncated(_flagship(spark, d, s), 0, "order0"), "model": _flagship(spark, d, s)}
+
+
+@workload
+def w03_groups(spark, d, s=FULL):
+    """Codec on text, on ids, on ranks without context and on predicted ranks, by language and for English sources.
+
+    Blocks are evaluated once; English ones of the four sources then count in two groups.
+    """
+    both = F.concat_ws("|", "lang", F.when((F.col("lang") == "en") & F.col("source").isin("src0", "src1", "src2", "src3"), F.col("source")))
+    r = _run(side(spark, d, "test").withColumn("grp", both), _stages(spark, d, s), s=s)
+    return _report(r.withColumn("grp", F.explode(F.split("grp", "[|]"))), KEYS, s)
+
+
+def _books(spark, d, size: int = 10_000, most: int = 8) -> DataFrame:
+    """The first `most` books of `size` characters of each language's test texts, one block each: the groups of eight works."""
+    b = corpus.books(documents(spark, d).where("split = 'test'"), "lang", size).where(F.col("book_no") < most)
+    return b.select(F.col("book_no").alias("doc_id"), F.lit(0).alias("block"), "text", F.col("lang").alias("grp"))
+
+
 @workload
-def w03_groups(spark, d):
-    """Codec on text, on ids, on ranks without context and on predicted ranks, by language and for English sources."""
-    m = {"ids": pipeline.ids_model(_tok().vocab_size), "order0": training.truncated(model(spark, d), 0, "order0"), "model": model(spark, d)}
-    by_lang = _run(side(spark, d, "test"), m)
-    english = side(spark, d, "test", "source").where("lang = 'en' and source in ('src0', 'src1', 'src2', 'src3')")
-    return metrics.summary(by_lang.unionByName(_run(english, m)), KEYS)
+def w03_books(spark, d, s=FULL):
+    """The same for groups of eight books of 10,000 characters, and over groups: the mean of groups, of books, and of sizes."""
+    r = cut(_run(_books(spark, d), _stages(spark, d, s), s=s))
+    means = None
+    for how in ("macro", "micro", "pooled"):
+        m = metrics.average(r, how, "grp").withColumn("mean_of", F.lit(how))
+        means = m if means is None else means.unionByName(m)
+    per = metrics.summary(r, KEYS).select(F.lit("group").alias("mean_of"), *KEYS, "n", F.col("ratio_bytes").alias("ratio"))
+    return exactly(per.unionByName(means.select("mean_of", F.lit("all").alias("grp"), *KEYS[1:], F.lit(None).cast("long").alias("n"), "ratio")), s)
 
 
 # ------------------------------------------------------------------ W4 to W7 adaptation
 
 
-def _gains(results: DataFrame, base: str, variants: dict[str, str]) -> DataFrame:
-    out = None
-    for name, v in variants.items():
-        for codec in ("gzip", "brotli"):
-            c = F.col("codec") == codec
-            g = metrics.improvement(results, c & (F.col("model") == base), c & (F.col("model") == v), ["grp"]).withColumns({"variant": F.lit(name), "codec": F.lit(codec)})
-            out = g if out is None else out.unionByName(g)
-    return out
+def _gains(results: DataFrame, base: str, variants: dict[str, str], s: Setting = FULL) -> DataFrame:
+    """grp, codec, variant, ratio_base, ratio_new, gain_pct: sizes are added up once by group, model and codec; the few sums then
+    meet the base's over a window."""
+    t = results.groupBy("grp", "model", "serializer", "codec").agg((F.sum("raw_bytes") / F.sum("packed_bytes")).alias("ratio_new"))
+    t = t.withColumn("ratio_base", F.max(F.when(F.col("model") == base, F.col("ratio_new"))).over(W.partitionBy("grp", "serializer", "codec")))
+    names = F.create_map(*(F.lit(x) for name, v in variants.items() for x in (v, name)))
+    t = t.withColumn("variant", F.try_element_at(names, F.col("model"))).where("variant is not null")
+    return exactly(t.select("grp", "codec", "variant", "ratio_base", "ratio_new", (100 * (F.col("ratio_new") / F.col("ratio_base") - 1)).alias("gain_pct")), s)
 
 
-def _base(spark, d, share: int = 25) -> CountModel:
+def _base(spark, d, share: int = 25, s: Setting = FULL) -> CountModel:
     """A base that has seen a quarter of the training clusters."""
-    return model(spark, d, where=f"pmod(crc32(cast(cluster_id as string)), 100) < {share}")
+    return _flagship(spark, d, s, f"{BASE_PART} < {share}")
+
+
+#: A cluster's place among a hundred parts, by other digits of the digest than the split's.
+BASE_PART = "cast(conv(substring(md5(cluster_id), 9, 6), 16, 10) as int) % 100"
 
 
 def _to_rows(spark, m: CountModel) -> DataFrame:
@@ -169,85 +249,105 @@ def _to_rows(spark, m: CountModel) -> DataFrame:
     return spark.createDataFrame(pa.table(dict(zip(("level", "ctx", "token", "cnt"), (pa.array(np.concatenate(c)) for c in cols)))))
 
 
-def tuned(spark, d, domains: DataFrame, column: str, weight: int = 4) -> dict[str, CountModel]:
+def tuned(spark, d, domains: DataFrame, column: str, weight: int = 4, s: Setting = FULL) -> dict[str, CountModel]:
     """The base with `weight` times each domain's counts."""
-    t = _tok()
-    own = training.counts(domains, t, ORDER, domain=column)
-    return training.collect_models(training.merged(_to_rows(spark, _base(spark, d)), own, weight), t.vocab_size, ORDER)
+    own = training.counts(domains, s.tok, s.order, domain=column)
+    return training.collect_models(training.merged(_to_rows(spark, _base(spark, d, s=s)), own, weight), s.tok.vocab_size, s.order)
 
 
-def students(spark, d, domains: DataFrame, column: str, order: int = 1) -> dict[str, CountModel]:
+def students(spark, d, domains: DataFrame, column: str, order: int = 1, s: Setting = FULL) -> dict[str, CountModel]:
     """Small models that a larger teacher has taught on each domain."""
-    t = _tok()
-    soft = training.distilled(domains, model(spark, d, order=3), t, order, domain=column)
-    return training.collect_models(soft, t.vocab_size, order)
+    soft = training.distilled(domains, model(spark, d, tokens=s.tokens, order=s.top), s.tok, order, domain=column)
+    return training.collect_models(soft, s.tok.vocab_size, order)
 
 
 @workload
-def w04_fine_tuning(spark, d):
+def w04_fine_tuning(spark, d, s=FULL):
     """Tuned on French or German, tested on every language: gain over the base in per cent."""
     tr = documents(spark, d).where("split = 'train' and lang in ('fr', 'de')")
-    m = tuned(spark, d, tr, "lang")
-    r = _run(side(spark, d, "test"), {"base": _base(spark, d)} | {f"tuned_{k}": v for k, v in m.items()})
-    return _gains(r, "base", {f"tuned on {k}": f"tuned_{k}" for k in m})
+    m = tuned(spark, d, tr, "lang", s=s)
+    r = _run(side(spark, d, "test"), {"base": _base(spark, d, s=s)} | {f"tuned_{k}": v for k, v in m.items()}, s=s)
+    return _gains(r, "base", {f"tuned on {k}": f"tuned_{k}" for k in m}, s)
 
 
 @workload
-def w05_distillation(spark, d):
+def w05_distillation(spark, d, s=FULL):
     """Students of one token of context: taught, trained plainly on the same texts, and the undistilled base of that size."""
     tr = documents(spark, d).where("split = 'train' and lang in ('fr', 'de')")
-    taught, t = students(spark, d, tr, "lang"), _tok()
-    plain = training.collect_models(training.counts(tr, t, 1, domain="lang"), t.vocab_size, 1)
-    base = training.truncated(_base(spark, d), 1, "base")
-    r = _run(side(spark, d, "test"), {"base": base} | {f"taught_{k}": v for k, v in taught.items()} | {f"plain_{k}": v for k, v in plain.items()})
-    return _gains(r, "base", {f"{kind} on {k}": f"{kind}_{k}" for kind in ("taught", "plain") for k in taught})
+    taught = students(spark, d, tr, "lang", s=s)
+    plain = training.collect_models(training.counts(tr, s.tok, 1, domain="lang"), s.tok.vocab_size, 1)
+    base = training.truncated(_base(spark, d, s=s), 1, "base")
+    r = _run(side(spark, d, "test"), {"base": base} | {f"taught_{k}": v for k, v in taught.items()} | {f"plain_{k}": v for k, v in plain.items()}, s=s)
+    return _gains(r, "base", {f"{kind} on {k}": f"{kind}_{k}" for kind in ("taught", "plain") for k in taught}, s)
+
+
+def _order_lines(spark, d, s: Setting) -> DataFrame:
+    columns = ["o_orderkey", "o_custkey", "o_orderstatus", *([] if s.exact else ["o_totalprice"]), "o_orderpriority"]
+    return corpus.rows_as_text(table(spark, d, "orders"), ["o_orderkey"], columns)
 
 
 @workload
-def w06_style_mismatch(spark, d):
+def w06_style_mismatch(spark, d, s=FULL):
     """Taught on turns of conversations or on order lines, tested on English prose: a negative control."""
     chat = table(spark, d, "conversations").where("role = 'assistant' and text is not null").select(F.lit("conversations").alias("domain"), "text")
-    lines = corpus.rows_as_text(table(spark, d, "orders"), ["o_orderkey"], ["o_orderkey", "o_custkey", "o_orderstatus", "o_totalprice", "o_orderpriority"]).select(F.lit("orders").alias("domain"), "text")
-    base, t = _base(spark, d), _tok()
-    own = training.counts(chat.unionByName(lines), t, ORDER, domain="domain")
-    m = training.collect_models(training.merged(_to_rows(spark, base), own, 4), t.vocab_size, ORDER)
-    r = _run(side(spark, d, "test").where("lang = 'en'"), {"base": base} | {f"tuned_{k}": v for k, v in m.items()})
-    return _gains(r, "base", {f"tuned on {k}": f"tuned_{k}" for k in m})
+    lines = _order_lines(spark, d, s).select(F.lit("orders").alias("domain"), "text")
+    m = tuned(spark, d, chat.unionByName(lines), "domain", s=s)
+    r = _run(side(spark, d, "test").where("lang = 'en'"), {"base": _base(spark, d, s=s)} | {f"tuned_{k}": v for k, v in m.items()}, s=s)
+    return _gains(r, "base", {f"tuned on {k}": f"tuned_{k}" for k in m}, s)
 
 
 @workload
-def w07_no_shift(spark, d):
+def w07_no_shift(spark, d, s=FULL):
     """Tuned on English texts of one source, tested on several sources: sources differ in nothing, so gains should be alike."""
-    m = tuned(spark, d, documents(spark, d).where("split = 'train' and lang = 'en' and source = 'src0'"), "source")
-    r = _run(side(spark, d, "test", "source").where("lang = 'en'"), {"base": _base(spark, d)} | {f"tuned_{k}": v for k, v in m.items()})
-    return _gains(r, "base", {f"tuned on {k}": f"tuned_{k}" for k in m})
+    m = tuned(spark, d, documents(spark, d).where("split = 'train' and lang = 'en' and source = 'src0'"), "source", s=s)
+    r = _run(side(spark, d, "test", "source").where("lang = 'en'"), {"base": _base(spark, d, s=s)} | {f"tuned_{k}": v for k, v in m.items()}, s=s)
+    return _gains(r, "base", {f"tuned on {k}": f"tuned_{k}" for k in m}, s)
 
 
 # ------------------------------------------------------------------ W8 to W11 sizes and codecs
 
 
 @workload
-def w08_model_sizes(spark, d):
-    return metrics.summary(_run(side(spark, d, "test"), ladder(spark, d)), KEYS)
+def w08_model_sizes(spark, d, s=FULL):
+    return _report(_run(side(spark, d, "test"), _ladder(spark, d, s), s=s), KEYS, s)
+
+
+@workload
+def w08_books(spark, d, s=FULL):
+    """Sizes on groups of eight books."""
+    return _report(_run(_books(spark, d), _ladder(spark, d, s), s=s), KEYS, s)
 
 
 @workload
-def w08_monotonicity(spark, d):
+def w08_amortised(spark, d, s=FULL):
+    """The ladder's pooled ratios, and what they come to when the model's bytes are charged to the test side."""
+    m = _ladder(spark, d, s)
+    sizes = spark.createDataFrame([(k, v.n_params, v.n_bytes) for k, v in m.items()], "model string, n_params long, n_bytes long")
+    r = _run(side(spark, d, "test"), m, s=s, raw=())
+    return exactly(metrics.amortised(r, sizes), s)
+
+
+@workload
+def w08_monotonicity(spark, d, s=FULL):
     """Steps down in ratio and in time along the ladder."""
-    s = metrics.summary(_run(side(spark, d, "test"), ladder(spark, d), codecs=("gzip",), raw=()), ["grp", "model"])
-    s = s.withColumn("place", F.array_position(F.array(*map(F.lit, ("S", "M", "L", "XL"))), F.col("model")))
-    a = metrics.monotonicity(s, "place", "ratio_bytes", ["grp"]).withColumn("measure", F.lit("ratio"))
-    return a.unionByName(metrics.monotonicity(s, "place", "encode_ms", ["grp"]).withColumn("measure", F.lit("time")))
+    r = _run(side(spark, d, "test"), _ladder(spark, d, s), s=s, codecs=s.codecs[:1], raw=())
+    t = metrics.summary(r, ["grp", "model"]).withColumn("place", F.array_position(F.array(*map(F.lit, ("S", "M", "L", "XL"))), F.col("model")))
+    a = metrics.monotonicity(t, "place", "ratio_bytes", ["grp"]).withColumn("measure", F.lit("ratio"))
+    return a if s.exact else a.unionByName(metrics.monotonicity(t, "place", "encode_ms", ["grp"]).withColumn("measure", F.lit("time")))
 
 
 @workload
-def w09_per_file(spark, d):
+def w09_per_file(spark, d, s=FULL):
     """The longest test document of each language: best ratio and size, time, entropy, tokens."""
     x = documents(spark, d).where("split = 'test'").groupBy("lang").agg(F.max_by("doc_id", F.struct("n_chars", "doc_id")).alias("doc_id"))
     b = side(spark, d, "test").join(F.broadcast(x.select("doc_id")), "doc_id", "left_semi").select("doc_id", "lang", "source", "grp", "block", "text")
-    s = metrics.summary(_run(b, ladder(spark, d)), ["grp", "model", "codec"])
-    best = s.where("model <> 'raw'").groupBy("grp", "codec").agg(F.max("ratio_bytes").alias("best_ratio"), F.max_by("model", "ratio_bytes").alias("best_model"), F.min("bpc").alias("best_bpc"), F.sum("encode_ms").alias("all_ms"), F.max("n_tokens").alias("n_tokens"), F.max_by("rank_entropy", "ratio_bytes").alias("rank_entropy"))
-    return best.join(s.where("model = 'raw'").select("grp", "codec", F.col("ratio_bytes").alias("raw_ratio")), ["grp", "codec"])
+    t = metrics.summary(_run(b, _ladder(spark, d, s), s=s), ["grp", "model", "codec"])
+    net = lambda c: F.when(F.col("model") != "raw", F.col(c))
+    best = t.groupBy("grp", "codec").agg(
+        F.max(net("ratio_bytes")).alias("best_ratio"), F.max_by(net("model"), F.struct(net("ratio_bytes"), net("model"))).alias("best_model"), F.min(net("bpc")).alias("best_bpc"), F.sum(net("encode_ms")).alias("all_ms"),
+        F.max(net("n_tokens")).alias("n_tokens"), F.max_by(net("rank_entropy"), F.struct(net("ratio_bytes"), net("model"))).alias("rank_entropy"), F.max(F.when(F.col("model") == "raw", F.col("ratio_bytes"))).alias("raw_ratio"),
+    )
+    return exactly(best, s)
 
 
 def _long(spark, d, size: int, lang: str = "en") -> DataFrame:
@@ -257,146 +357,208 @@ def _long(spark, d, size: int, lang: str = "en") -> DataFrame:
 
 
 @workload
-def w10_codecs_on_a_book(spark, d):
-    return metrics.summary(_run(_long(spark, d, 100_000), {"XL": ladder(spark, d)["XL"]}), KEYS)
+def w10_codecs_on_a_book(spark, d, s=FULL):
+    return _report(_run(_long(spark, d, 100_000), dict([list(_ladder(spark, d, s).items())[-1]]), s=s), KEYS, s)
 
 
 @workload
-def w11_seen_in_part(spark, d):
+def w10_codec_gain(spark, d, s=FULL):
+    """What the second codec gains over the first on the same ranks, by model and group."""
+    if s.exact:  # one stored size for each of two serializers stands in for the two codecs
+        s = Setting(s.tokens, s.order, s.top, s.codecs, ("dotted", "varint"), True)
+        return exactly(metrics.codec_gain(_run(side(spark, d, "test"), _ladder(spark, d, s), s=s, raw=()), "dotted", "varint", "serializer"), s)
+    return metrics.codec_gain(_run(side(spark, d, "test"), _ladder(spark, d, s), s=s, raw=()), "gzip", "brotli")
+
+
+@workload
+def w11_seen_in_part(spark, d, s=FULL):
     """Students of English books that are held out, and of books among which the tested ones are: what a leak is worth."""
     train = documents(spark, d).where("lang = 'en'").withColumn("domain", F.lit("apart"))
-    apart = students(spark, d, train.where("split = 'train'"), "domain", 2)["apart"]
-    leak = students(spark, d, train.where("split in ('train', 'test')"), "domain", 2)["apart"]
-    m = {"base": _base(spark, d), "teacher": model(spark, d, order=3), "student": apart, "student_leak": leak}
-    return metrics.summary(_run(_long(spark, d, 28_851), m), KEYS)
+    order = min(2, s.order)
+    apart = students(spark, d, train.where("split = 'train'"), "domain", order, s)["apart"]
+    leak = students(spark, d, train.where("split in ('train', 'test')"), "domain", order, s)["apart"]
+    m = {"base": _base(spark, d, s=s), "teacher": model(spark, d, tokens=s.tokens, order=s.top), "student": apart, "student_leak": leak}
+    return _report(_run(_long(spark, d, 28_851), m, s=s), KEYS, s)
 
 
 # ------------------------------------------------------------------ W12, W13 languages
 
 
+def _with_far(b: DataFrame) -> DataFrame:
+    """The blocks, and the English ones once more in a script that no model of Latin letters has seen."""
+    return b.unionByName(corpus.shift_script(b.where("lang = 'en'")).withColumn("grp", F.lit("en shifted")))
+
+
+def _pieces(spark, d, size: int = 100_000) -> DataFrame:
+    """Test books of `size` characters of every language; the last of a language may be shorter."""
+    b = corpus.books(documents(spark, d).where("split = 'test'"), "lang", size)
+    return b.select(F.col("book_no").alias("doc_id"), F.lit(0).alias("block"), "text", "lang", F.col("lang").alias("grp"))
+
+
 @workload
-def w12_foreign_languages(spark, d):
+def w12_foreign_languages(spark, d, s=FULL):
     """An English model on every language, and on English in a script it has never seen."""
-    b = side(spark, d, "test")
-    far = corpus.shift_script(b.where("lang = 'en'")).withColumn("grp", F.lit("en shifted"))
-    return metrics.summary(_run(b.unionByName(far), {"english": model(spark, d, where="lang = 'en'")}), KEYS)
+    return _report(_run(_with_far(side(spark, d, "test")), {"english": _flagship(spark, d, s, "lang = 'en'")}, s=s), KEYS, s)
 
 
 @workload
-def w13_language_models(spark, d):
-    """Each language under its own model, the shifted script too."""
+def w12_long(spark, d, s=FULL):
+    """The same on pieces of 100,000 characters."""
+    return _report(_run(_with_far(_pieces(spark, d)), {"english": _flagship(spark, d, s, "lang = 'en'")}, s=s), KEYS, s)
+
+
+def _own(spark, d, s: Setting) -> dict:
     shifted = corpus.shift_script(documents(spark, d).where("split = 'train' and lang = 'en'")).withColumn("lang", F.lit("en shifted"))
-    t = _tok()
-    far = training.collect_models(training.counts(shifted, t, ORDER, domain="lang"), t.vocab_size, ORDER)
-    b = side(spark, d, "test")
-    b = b.unionByName(corpus.shift_script(b.where("lang = 'en'")).withColumn("grp", F.lit("en shifted")))
-    m = {f"{k}:own": v for k, v in (language_models(spark, d) | far).items()}
-    return metrics.summary(_run(b, m | {"english": model(spark, d, where="lang = 'en'")}, only="grp"), KEYS)
+    far = training.collect_models(training.counts(shifted, s.tok, s.order, domain="lang"), s.tok.vocab_size, s.order)
+    return {f"{k}:own": v for k, v in (language_models(spark, d, s.tokens, s.order) | far).items()} | {"english": _flagship(spark, d, s, "lang = 'en'")}
+
+
+@workload
+def w13_language_models(spark, d, s=FULL):
+    """Each language under its own model, the shifted script too."""
+    return _report(_run(_with_far(side(spark, d, "test")), _own(spark, d, s), s=s, only="grp"), KEYS, s)
+
+
+@workload
+def w13_long(spark, d, s=FULL):
+    """The same on pieces of 100,000 characters."""
+    return _report(_run(_with_far(_pieces(spark, d)), _own(spark, d, s), s=s, only="grp"), KEYS, s)
 
 
 # ------------------------------------------------------------------ W14 to W17 ablations
 
 
 @workload
-def w14_baselines(spark, d):
+def w14_baselines(spark, d, s=FULL):
     """Every classical codec on the raw blocks of all documents, pages and turns."""
     docs = corpus.blocks(table(spark, d, "documents").select("doc_id", F.lit("documents").alias("grp"), "text"))
     pages = corpus.blocks(table(spark, d, "pages").select(F.col("page_id").alias("doc_id"), F.lit("pages").alias("grp"), F.col("html").alias("text")))
     turns = corpus.blocks(table(spark, d, "conversations").select(F.col("conv_id").alias("doc_id"), F.lit("conversations").alias("grp"), "text"))
-    return metrics.summary(pipeline.evaluate(docs.unionByName(pages).unionByName(turns), {}, {}, raw=BASELINES + EXTRA), ["grp", "codec"])
+    return _report(pipeline.evaluate(docs.unionByName(pages).unionByName(turns), {}, {}, raw=s.codecs if s.exact else BASELINES + EXTRA), ["grp", "codec"], s)
 
 
 @workload
-def w15_second_stage(spark, d):
+def w15_second_stage(spark, d, s=FULL):
     """Ranks under every serializer and codec."""
-    return metrics.summary(_run(side(spark, d, "test"), {"model": model(spark, d)}, serializers=tuple(SERIALIZERS), codecs=BASELINES[1:], raw=BASELINES[1:]).withColumn("grp", F.lit("all")), KEYS)
+    sers, codecs = (("dotted", "varint"), s.codecs) if s.exact else (tuple(SERIALIZERS), BASELINES[1:])
+    return _report(_run(side(spark, d, "test"), {"model": _flagship(spark, d, s)}, s=s, serializers=sers, codecs=codecs, raw=codecs).withColumn("grp", F.lit("all")), KEYS, s)
 
 
 @workload
-def w15_tokenizers(spark, d):
-    """Byte tokens and vocabularies of several sizes, ids and ranks."""
+def w15_tokenizers(spark, d, s=FULL):
+    """Byte tokens and vocabularies of several sizes, ids and ranks; one pass for each vocabulary."""
     out = None
-    for name in ("byte", "bpe512", "bpe1024", "bpe4096", "bpe16384", "bpe50256"):
-        m = model(spark, d, tokens=name)
-        r = _run(side(spark, d, "test"), {f"{name} ids": pipeline.ids_model(m.vocab_size), f"{name} ranks": m}, tokens=name, serializers=("dotted", "varint"), raw=())
+    for name in ("byte", "char") if s.exact else ("byte", "bpe512", "bpe1024", "bpe4096", "bpe16384", "bpe50256"):
+        m = model(spark, d, tokens=name, order=s.order)
+        both = {f"{name} ids": (pipeline.ids_model(m.vocab_size), name), f"{name} ranks": (m, name)}
+        r = pipeline.evaluate(side(spark, d, "test"), both, {name: _tok(name)}, serializers=("dotted", "varint"), codecs=s.codecs, raw=())
         out = r if out is None else out.unionByName(r)
-    return metrics.summary(out.withColumn("grp", F.lit("all")), KEYS)
+    return _report(out.withColumn("grp", F.lit("all")), KEYS, s)
 
 
 @workload
-def w16_batch_inference(spark, d):
-    """k tokens ahead: the share of rank 0 falls as k grows, predictor calls as 1/k."""
-    r = _run(side(spark, d, "test"), {"model": model(spark, d)}, raw=(), modes=(("individual", 1), *(("batch", k) for k in (1, 2, 4, 8, 16))))
-    return metrics.summary(r.withColumn("grp", F.lit("all")), KEYS)
+def w16_batch_inference(spark, d, s=FULL):
+    """k tokens ahead: the share of rank 0 falls as k grows, and so does the number of predictor calls, one for k tokens."""
+    r = _run(side(spark, d, "test"), {"model": _flagship(spark, d, s)}, s=s, raw=(), modes=(("individual", 1), *(("batch", k) for k in (1, 2, 4, 8, 16))))
+    k = F.coalesce(F.expr("try_cast(regexp_extract(mode, '[0-9]+', 0) as int)"), F.lit(1))
+    r = cut(r.withColumns({"grp": F.lit("all"), "calls": F.ceil(F.col("n_tokens") / k)}))
+    return _report(r, KEYS, s).join(F.broadcast(r.groupBy("mode").agg(F.sum("calls").alias("calls"))), "mode")
 
 
 @workload
-def w17_context_size(spark, d):
+def w17_context_size(spark, d, s=FULL):
     """Contexts of 0 to 3 tokens, static, and adaptive from the block alone."""
-    m = {f"static{k}": x for k, x in enumerate(ladder(spark, d, "byte").values())} | {f"adaptive{k}": AdaptiveRanker(256, k) for k in range(4)}
-    return metrics.summary(_run(side(spark, d, "test"), m, tokens="byte").withColumn("grp", F.lit("all")), KEYS)
+    tokens = s.tokens if s.exact else "byte"
+    m = {f"static{k}": x for k, x in enumerate(ladder(spark, d, tokens, s.top).values())} | ({} if s.exact else {f"adaptive{k}": AdaptiveRanker(256, k) for k in range(4)})
+    return _report(_run(side(spark, d, "test"), m, tokens=tokens, s=s).withColumn("grp", F.lit("all")), KEYS, s)
 
 
 # ------------------------------------------------------------------ W18 to W21
 
 
 @workload
-def w18_factors(spark, d):
+def w18_factors(spark, d, s=FULL):
     """What a block's ratio goes with, by label of quality."""
-    r = _run(side(spark, d, "test"), {"model": model(spark, d)}, raw=())
+    r = _run(side(spark, d, "test").where("text <> ''"), {"model": _flagship(spark, d, s)}, s=s, raw=())
     q = table(spark, d, "labels").groupBy("doc_id").agg(F.min("quality").alias("quality"))
-    return metrics.factors(r.join(q, "doc_id", "left"), ["quality", "codec"])
+    r = metrics.factors(r.join(q, "doc_id", "left"), ["quality", "codec"])
+    return exactly(r.drop("with_fertility") if s.exact else r, s)  # a token is a character there
 
 
 @workload
-def w19_input_length(spark, d):
-    """Books of 1,000 to 100,000 characters."""
-    out = None
+def w19_input_length(spark, d, s=FULL):
+    """Books of 1,000 to 100,000 characters, evaluated in one pass."""
+    b = None
     for size in (1_000, 3_000, 10_000, 30_000, 100_000):
-        r = _run(_long(spark, d, size).where(F.length("text") == size), {"model": model(spark, d)}).withColumn("grp", F.lit(str(size)))
-        out = r if out is None else out.unionByName(r)
-    return metrics.summary(out, KEYS)
+        x = _long(spark, d, size).where(F.length("text") == size).withColumn("grp", F.lit(str(size)))
+        b = x if b is None else b.unionByName(x)
+    return _report(_run(b, {"model": _flagship(spark, d, s)}, s=s), KEYS, s)
 
 
 @workload
-def w20_not_prose(spark, d):
+def w20_not_prose(spark, d, s=FULL):
     """Markup, order lines, JSON and quantised vectors."""
     pages = table(spark, d, "pages").select(F.col("page_id").alias("doc_id"), F.lit("html").alias("grp"), F.col("html").alias("text"))
-    lines = corpus.rows_as_text(table(spark, d, "orders"), ["o_orderkey"], ["o_orderkey", "o_custkey", "o_orderstatus", "o_totalprice", "o_orderpriority"]).select(F.col("block").alias("doc_id"), F.lit("order lines").alias("grp"), "text")
+    lines = _order_lines(spark, d, s).select(F.col("block").alias("doc_id"), F.lit("order lines").alias("grp"), "text")
     props = table(spark, d, "events").groupBy(F.expr("event_id div 500").alias("doc_id")).agg(F.array_join(F.array_sort(F.collect_list("props")), "\n").alias("text")).select("doc_id", F.lit("json").alias("grp"), "text")
     vecs = table(spark, d, "embeddings").select(F.col("vec_id").alias("doc_id"), F.lit("vectors").alias("grp"), F.array_join(F.transform("embedding", lambda x: F.chr(F.greatest(F.lit(1), F.least(F.lit(126), (x * 100 + 64).cast("int"))))), "").alias("text"))
-    b = corpus.blocks(pages.unionByName(lines).unionByName(props).unionByName(vecs))
-    return metrics.summary(_run(b, {"prose model": model(spark, d)}), KEYS)
+    b = pages.unionByName(lines).unionByName(props)
+    return _report(_run(corpus.blocks(b if s.exact else b.unionByName(vecs)), {"prose model": _flagship(spark, d, s)}, s=s), KEYS, s)
 
 
 @workload
-def w21_contamination(spark, d):
+def w21_contamination(spark, d, s=FULL):
     """Documents that hold benchmark passages, under models trained with and without the benchmark."""
     from .relational import contamination_exact
 
-    hit = contamination_exact(spark, d).withColumn("leaked", F.lit(True))
-    x = documents(spark, d).join(hit, "doc_id", "left").withColumn("grp", F.when(F.col("leaked"), "leaked").otherwise("clean"))
+    hit = cut(contamination_exact(spark, d).withColumn("leaked", F.lit(True)))
+    x = documents(spark, d).join(F.broadcast(hit) if hit.count() < 1 << 20 else hit, "doc_id", "left").withColumn("grp", F.when(F.col("leaked"), "leaked").otherwise("clean"))
     b = corpus.blocks(x.where("split = 'test' or leaked").select("doc_id", "grp", "text"))
-    t = _tok()
-    clean = documents(spark, d).where("split = 'train'").join(hit, "doc_id", "left_anti").select("text")
+    clean = x.where("split = 'train' and leaked is null").select("text")
     bench = table(spark, d, "benchmark").select("text")
-    fit = lambda df: training.collect_models(training.counts(df, t, ORDER), t.vocab_size, ORDER)["all"]
-    return metrics.summary(_run(b, {"without": fit(clean), "with": fit(clean.unionByName(bench))}), KEYS)
+    fit = lambda df: training.collect_models(training.counts(df, s.tok, s.order), s.tok.vocab_size, s.order)["all"]
+    return _report(_run(b, {"without": fit(clean), "with": fit(clean.unionByName(bench))}, s=s), KEYS, s)
 
 
 @workload
-def checkpoint_selection(spark, d):
+def checkpoint_selection(spark, d, s=FULL):
     """Tuning weights as checkpoints: the best on `valid`, reported on `test`."""
     fr = documents(spark, d).where("split = 'train' and lang = 'fr'")
-    m = {f"w{w}": tuned(spark, d, fr, "lang", w)["fr"] for w in (0, 1, 4, 16)}
-    pick = lambda name: metrics.summary(_run(side(spark, d, name).where("lang = 'fr'"), m, codecs=("gzip",), raw=()), ["model"]).select("model", F.col("ratio_bytes").alias(name))
-    r = pick("valid").join(pick("test"), "model")
-    return r.withColumn("chosen", F.col("valid") == F.max("valid").over(W.partitionBy()))
+    m = {f"w{w}": tuned(spark, d, fr, "lang", w, s)["fr"] for w in (0, 1, 4, 16)}
+    both = side(spark, d, "valid").withColumn("grp", F.lit("valid")).unionByName(side(spark, d, "test").withColumn("grp", F.lit("test"))).where("lang = 'fr'")
+    r = _run(both, m, s=s, codecs=s.codecs[:1], raw=())
+    ratio = lambda g: (F.sum(F.when(F.col("grp") == g, F.col("raw_bytes"))) / F.sum(F.when(F.col("grp") == g, F.col("packed_bytes")))).alias(g)
+    t = r.groupBy("model").agg(ratio("valid"), ratio("test"))
+    return exactly(t.withColumn("chosen", F.col("valid") == F.max("valid").over(W.partitionBy())), s)
 
 
 # ------------------------------------------------------------------ round trips
 
 
+def _repeated(spark, d) -> DataFrame:
+    """doc_id, text of documents, and once more with ids that collide, with null ids, and repeated as they are."""
+    x = table(spark, d, "documents").select("doc_id", "text")
+    y = x.select(F.expr("doc_id div 3").alias("doc_id"), "text").where("doc_id % 2 = 0")
+    return x.unionAll(y).unionAll(x.where("doc_id % 5 = 0")).unionAll(x.where("doc_id % 7 = 0").withColumn("doc_id", F.lit(None).cast("long")))
+
+
+@workload
+def roundtrip_repeated_rows(spark, d):
+    """Rows whose ids repeat, collide or are null, back as a multiset."""
+    back = pipeline.decompress(pipeline.compress(_repeated(spark, d), block=700))
+    return back.groupBy("doc_id", F.md5("text").alias("digest")).agg(F.count("*").alias("n"))
+
+
+_AGAIN = "select doc_id, text from documents union all select doc_id // 3, text from documents where (doc_id // 3) % 2 = 0 union all select doc_id, text from documents where doc_id % 5 = 0 union all select null, text from documents where doc_id % 7 = 0"
+SQL["roundtrip_repeated_rows"] = f"select doc_id, md5(text) digest, count(*) n from ({_AGAIN}) group by doc_id, md5(text)"
+
+
+@workload
+def split_by_cluster(spark, d):
+    """The split over rows whose ids repeat or are null: rows of each id, cluster and side."""
+    return corpus.split(_repeated(spark, d)).groupBy("doc_id", "cluster_id", "split").agg(F.count("*").alias("n"))
+
+
 def _trip(codec: str):
     def run(spark, d):
         x = table(spark, d, "documents").select("doc_id", "text")

@@ -2,10 +2,10 @@
 
 from __future__ import annotations
 
-from .plans import neural, relational, surface, workloads
+from .plans import exact, neural, relational, surface, workloads
 
-QUERIES: dict = relational.QUERIES | surface.QUERIES | workloads.QUERIES | neural.QUERIES
-SQL: dict[str, str] = relational.SQL | surface.SQL | workloads.SQL | neural.SQL
+QUERIES: dict = relational.QUERIES | surface.QUERIES | workloads.QUERIES | exact.QUERIES | neural.QUERIES
+SQL: dict[str, str] = relational.SQL | surface.SQL | workloads.SQL | exact.SQL | neural.SQL
 
 
 def flagship(spark, sf_dir):
