@@ -173,6 +173,14 @@ class CountModel:
             done.append(t)
         return np.array(out, np.int64)
 
+    def contexts(self, k: int, ctx: np.ndarray) -> np.ndarray:
+        """Which context of length k each packed one is, or -1."""
+        keys = self.levels[k][0]
+        if not len(keys) or not len(ctx):
+            return np.full(len(ctx), -1)
+        i = np.minimum(np.searchsorted(keys, ctx), len(keys) - 1)
+        return np.where(keys[i] == ctx, i, -1)
+
     def _look_up(self, k: int, ctx: np.ndarray, tokens: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(which context of length k, or -1; place of the token in its list, or -1)."""
         keys, first, listed, _ = self.levels[k]
@@ -182,11 +190,10 @@ class CountModel:
             at = np.repeat(np.arange(len(keys)), np.diff(first)) * self.vocab_size + listed
             order = np.argsort(at, kind="stable")
             self._index[k] = (at[order], order)
+        i = self.contexts(k, ctx)
         if not len(keys) or not len(ctx):
-            return np.full(len(ctx), -1), np.full(len(ctx), -1)
+            return i, i
         pairs, order = self._index[k]
-        i = np.minimum(np.searchsorted(keys, ctx), len(keys) - 1)
-        i = np.where(keys[i] == ctx, i, -1)
         want = np.where(i >= 0, i * self.vocab_size + tokens, -1)
         j = np.minimum(np.searchsorted(pairs, want), len(pairs) - 1)
         return i, np.where(pairs[j] == want, order[j] - first[i], -1)

@@ -41,16 +41,24 @@ class SpanHasher:
     a span to the origin. A finaliser mixes in the length.
     """
 
+    _powers = (np.ones(1, np.uint64), np.ones(1, np.uint64))  # of the base and its inverse, as far as any buffer asked for
+
     def __init__(self, data: np.ndarray):
         n = len(data)
-        pw = np.full(n + 1, _BASE, np.uint64)
-        pw[0] = 1
-        self.pw = np.cumprod(pw, dtype=np.uint64)
-        inv = np.full(n + 1, _INV, np.uint64)
-        inv[0] = 1
-        self.inv = np.cumprod(inv, dtype=np.uint64)
+        if len(self._powers[0]) <= n:
+            size = 1 << (n + 1).bit_length()
+            powers = np.full((2, size), 1, np.uint64)
+            powers[0, 1:], powers[1, 1:] = _BASE, _INV
+            np.cumprod(powers, axis=1, out=powers)
+            SpanHasher._powers = (powers[0], powers[1])
+        self.inv = self._powers[1][: n + 1]
         self.s = np.zeros(n + 1, np.uint64)
-        np.cumsum((data.astype(np.uint64) + np.uint64(1)) * self.pw[:n], dtype=np.uint64, out=self.s[1:])
+        x = data.astype(np.uint64)
+        x += np.uint64(1)
+        x *= self._powers[0][:n]
+        np.cumsum(x, out=self.s[1:])
+        if n > 1 << 24:  # a very long text leaves no table behind
+            SpanHasher._powers = (np.ones(1, np.uint64), np.ones(1, np.uint64))
 
     def __call__(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
         h = (self.s[b] - self.s[a]) * self.inv[a]

@@ -6,7 +6,8 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from ..functions.predictors import CountModel, context_keys
+from ..functions.predictors import BITS, CountModel, context_keys
+from ..functions.spans import chunks
 from ..sources.tables import cut
 
 COUNTS = "domain string, level int, ctx long, token int, cnt long"
@@ -75,29 +76,52 @@ def distilled(df: DataFrame, teacher: CountModel, tokenizer, student_order: int,
     """Soft counts of a student: at each position of the domain's texts the teacher's `top` probabilities, to the power
     1/temperature, weigh alpha and the true token 1 - alpha; both are added up by the student's contexts in whole thousandths."""
     held = df.sparkSession.sparkContext.broadcast(teacher)
+    own, order = int((1 - alpha) * scale), student_order
+
+    def soft_counts(t: CountModel, ids: np.ndarray, keys: list[np.ndarray]):
+        """(student's longest context, token, count) of what the teacher says, once for each distinct pair of its context and the
+        student's, times how often the pair comes."""
+        level, ctx = np.full(len(ids), -1), np.zeros(len(ids), np.int64)
+        for k in range(t.order, -1, -1):
+            i = np.where(level < 0, t.contexts(k, keys[k]), -1)
+            level[i >= 0], ctx[i >= 0] = k, i[i >= 0]
+        u, times = np.unique(np.stack([level, ctx, keys[order]]), axis=1, return_counts=True)
+        for k in range(t.order + 1):
+            at = np.flatnonzero(u[0] == k)
+            if not len(at):
+                continue
+            _, first, tokens, cnt = t.levels[k]
+            a = first[u[1, at]]
+            n = np.minimum(top, first[u[1, at] + 1] - a)
+            begin = np.concatenate([[0], np.cumsum(n)[:-1]])
+            flat = np.repeat(a - begin, n) + np.arange(n.sum())
+            p = cnt[flat].astype(float) ** (1 / temperature)
+            q = (alpha * scale * p / np.repeat(np.add.reduceat(p, begin), n)).astype(np.int64) * np.repeat(times[at], n)
+            yield np.repeat(u[2, at], n)[q > 0], tokens[flat][q > 0].astype(np.int64), q[q > 0]
 
     def run(batches):
         t = held.value
         for b in batches:
-            for name, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
-                ids = tokenizer.encode(text or "")
-                if not len(ids):
-                    continue
-                keys = np.stack(context_keys(ids, max(t.order, student_order)), axis=1)
-                acc: dict = {}
-                for key, true in zip(keys.tolist(), ids.tolist()):
-                    k, cnt = next(((tok, c) for j in range(t.order, -1, -1) for tok, _, c in [t._seen(j, key[j])] if tok), ([], []))
-                    p = np.array(cnt[:top], float) ** (1 / temperature)
-                    soft = list(zip(k[:top], (alpha * scale * p / p.sum()).astype(int).tolist())) if len(p) else []
-                    for tok, n in [*soft, (true, int((1 - alpha) * scale))]:
-                        if n:
-                            for j in range(student_order + 1):
-                                acc[j, key[j], tok] = acc.get((j, key[j], tok), 0) + n
-                cols = list(zip(*acc)) if acc else [(), (), ()]
-                yield pa.RecordBatch.from_arrays([pa.array([name] * len(acc), pa.string()), pa.array(cols[0], pa.int32()), pa.array(cols[1], pa.int64()), pa.array(cols[2], pa.int32()), pa.array(list(acc.values()), pa.int64())], names=["domain", "level", "ctx", "token", "cnt"])
+            names, texts = b.column(0).to_pylist(), b.column(1).to_pylist()
+            for name in sorted(set(names), key=str):
+                mine = [x for y, x in zip(names, texts) if y == name and x]
+                for i, j in chunks(mine, 1 << 19):
+                    all_ids = [tokenizer.encode(x) for x in mine[i:j]]
+                    per = [context_keys(x, max(t.order, order)) for x in all_ids]
+                    ids, keys = np.concatenate(all_ids).astype(np.int64), [np.concatenate(x) for x in zip(*per)]
+                    if not len(ids):
+                        continue
+                    parts = [(keys[order], ids, np.full(len(ids), own)), *soft_counts(t, ids, keys)]
+                    ctx, token, cnt = (np.concatenate(x) for x in zip(*parts))
+                    for k in range(order + 1):
+                        c = ctx & ((1 << (BITS * k)) - 1)
+                        o = np.lexsort((token, c))
+                        c, x = c[o], token[o]
+                        first = np.flatnonzero(np.concatenate(([True], (c[1:] != c[:-1]) | (x[1:] != x[:-1]))))
+                        yield pa.RecordBatch.from_arrays([pa.array([name] * len(first), pa.string()), pa.array(np.full(len(first), k, np.int32)), pa.array(c[first]), pa.array(x[first].astype(np.int32)), pa.array(np.add.reduceat(cnt[o], first))], names=["domain", "level", "ctx", "token", "cnt"])
 
     d = df.select((F.col(domain).cast("string") if domain else F.lit("all")).alias("domain"), "text").where("text is not null")
-    return d.mapInArrow(run, COUNTS).groupBy("domain", "level", "ctx", "token").agg(F.sum("cnt").alias("cnt"))
+    return d.mapInArrow(run, COUNTS).groupBy("domain", "level", "ctx", "token").agg(F.sum("cnt").alias("cnt")).where("cnt > 0")
 
 
 def collect_models(counted: DataFrame, vocab_size: int, order: int, most: int = 1 << 25, prefix: str = "") -> dict[str, CountModel]:

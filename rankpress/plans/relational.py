@@ -8,7 +8,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, Window as W, functions as F
 
-from ..operators import corpus, metrics
+from ..operators import corpus, metrics, sequences
 from ..sources.tables import table
 
 QUERIES: dict = {}
@@ -367,13 +367,13 @@ def asof_checkpoint(spark, d):
 
 @query("select a.event_id, max(b.event_id) last_error from events a left join (select user_id, ts, event_id from events where event_type = 'error') b on a.user_id = b.user_id and b.ts <= a.ts and b.ts >= a.ts - interval 1 day group by a.event_id")
 def events_near_errors(spark, d):
-    """Interval join through time bins: an error is put into its day and the next one, so that keys are equal and each pair is met once."""
-    e = table(spark, d, "events").select("event_id", "user_id", "ts", "event_type")
+    """The largest error among a user's of the last day: an error stands in its own day and in the next one, so a window over a user's
+    day sees all it needs, and no pairs are made."""
+    e = table(spark, d, "events").select("event_id", "user_id", "ts", F.when(F.col("event_type") == "error", F.col("event_id")).alias("err"))
     day = F.datediff(F.col("ts").cast("date"), F.lit("2020-01-01").cast("date"))
-    a = e.select("event_id", "user_id", "ts", day.alias("bin"))
-    b = e.where("event_type = 'error'").select(F.col("event_id").alias("err"), "user_id", F.col("ts").alias("at"), F.explode(F.array(day, day + 1)).alias("bin"))
-    near = a.join(b, ["user_id", "bin"]).where("at <= ts and at >= ts - interval 1 day").groupBy("event_id").agg(F.max("err").alias("last_error"))
-    return a.select("event_id").join(near, "event_id", "left")
+    both = e.withColumn("bin", day).withColumn("own", F.lit(True)).unionByName(e.where("err is not null").withColumn("bin", day + 1).withColumn("own", F.lit(False)))
+    near = F.expr("max(err) over (partition by user_id, bin order by ts range between interval 1 day preceding and current row)")
+    return both.withColumn("last_error", near).where("own").select("event_id", F.when(F.col("user_id").isNotNull(), F.col("last_error")).alias("last_error"))
 
 
 def _vocab(spark, d, where):
@@ -462,20 +462,24 @@ def sliding_event_histogram(spark, d):
 
 @query("with g as (select user_id, ts, event_id, event_type, case when ts - lag(ts) over (partition by user_id order by ts, event_id) <= interval 30 minutes then 0 else 1 end new from events), s as (select *, sum(new) over (partition by user_id order by ts, event_id) no from g) select user_id, strftime(min(ts), '%Y-%m-%d %H:%M:%S') session_start, count(*) n, string_agg(event_type, '.' order by ts, event_id) symbols from s group by user_id, no")
 def session_symbol_strings(spark, d):
-    w = W.partitionBy("user_id").orderBy("ts", "event_id")
-    e = table(spark, d, "events").select("user_id", "ts", "event_id", "event_type")
-    new = F.when(F.col("ts") - F.lag("ts").over(w) <= F.expr("interval 30 minutes"), 0).otherwise(1)
-    s = e.withColumn("new", new).withColumn("no", F.sum("new").over(w))
+    """Sessions end after half an hour without an event; a user's hours are looked at one by one, and hand on their last event."""
+    e = table(spark, d, "events").select("user_id", "ts", "event_id", "event_type").withColumn("hour", sequences.hour_of())
+    order = ["ts", "event_id"]
+    s = sequences.last_before(e, ["user_id"], "hour", order, F.col("ts"), "before")
+    new = F.when(F.col("ts") - F.col("before") <= F.expr("interval 30 minutes"), 0).otherwise(1)
+    s = sequences.running_sum(s, ["user_id"], "hour", order, new, "no")
     joined = F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("ts", "event_id", "event_type"))), lambda x: x["event_type"]), ".")
     return s.groupBy("user_id", "no").agg(F.date_format(F.min("ts"), "yyyy-MM-dd HH:mm:ss").alias("session_start"), F.count("*").alias("n"), joined.alias("symbols")).drop("no")
 
 
 @query("select user_id, event_id, round(avg(value) over (partition by user_id order by ts, event_id rows between 9 preceding and current row), 6) moving, count(*) over (partition by user_id, event_type order by ts, event_id rows between unbounded preceding and 1 preceding) seen from events")
 def moving_value_and_seen(spark, d):
-    """Frames of windows: a moving mean, and what an adaptive model has seen of a symbol so far."""
-    w = W.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(-9, 0)
-    s = W.partitionBy("user_id", "event_type").orderBy("ts", "event_id").rowsBetween(W.unboundedPreceding, -1)
-    return table(spark, d, "events").select("user_id", "event_id", r6(F.avg("value").over(w)).alias("moving"), F.count("*").over(s).alias("seen"))
+    """Frames of windows: a moving mean, and what an adaptive model has seen of a symbol so far; a user's hours are windows of their own."""
+    e = table(spark, d, "events").select("user_id", "event_id", "ts", "event_type", "value").withColumn("hour", sequences.hour_of())
+    order = ["ts", "event_id"]
+    m = sequences.moving(e, ["user_id"], "hour", order, F.avg("value"), 10, "moving")
+    m = sequences.running_sum(m, ["user_id", "event_type"], "hour", order, F.lit(1), "seen", own=False)
+    return m.select("user_id", "event_id", r6("moving").alias("moving"), F.col("seen").cast("long").alias("seen"))
 
 
 # ------------------------------------------------------------------ reports

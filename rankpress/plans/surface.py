@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Window as W, functions as F
 
 from ..functions import sql
+from ..operators import sequences
 from ..sources.tables import table
 from . import pipeline
 from .relational import SYM, _docs, _order0, pairs, r6, symbols
@@ -68,9 +69,10 @@ def rank_join_strategies(spark, d):
     "select user_id, event_id, last_value(case when event_type = 'error' then event_id end ignore nulls) over (partition by user_id order by ts, event_id rows between unbounded preceding and 1 preceding) error_id from events"
 )
 def asof_event(spark, d):
-    """Each event with the user's last error before it."""
-    w = W.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(W.unboundedPreceding, -1)
-    return table(spark, d, "events").select("user_id", "event_id", F.last(F.when(F.col("event_type") == "error", F.col("event_id")), ignorenulls=True).over(w).alias("error_id"))
+    """Each event with the user's last error before it, carried from hour to hour."""
+    e = table(spark, d, "events").select("user_id", "event_id", "ts", "event_type").withColumn("hour", sequences.hour_of())
+    error = F.when(F.col("event_type") == "error", F.col("event_id"))
+    return sequences.last_before(e, ["user_id"], "hour", ["ts", "event_id"], error, "error_id").select("user_id", "event_id", "error_id")
 
 
 @query(
