@@ -37,15 +37,10 @@ def tokens(texts: list) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     data = lower_ascii(data)
     a, b = word_spans(data)
     h = SpanHasher(data)
-    row = np.searchsorted(starts, a, "right") - 1
     group = (mix(h(np.maximum(a, b - 3), b) + np.uint64(1)) % np.uint64(GROUPS)).astype(np.int64)
-    n = np.bincount(row, minlength=len(texts))
+    n = np.diff(np.searchsorted(a, starts))
     end = np.cumsum(n + 1) - 1
-    total = len(a) + len(texts)
-    word = np.ones(total, bool)
-    word[end] = False
-    out_h, out_g = np.full(total, END, np.uint64), np.zeros(total, np.int64)
-    out_h[word], out_g[word] = h(a, b), group
+    out_h, out_g = np.insert(h(a, b), end - np.arange(len(n)), END), np.insert(group, end - np.arange(len(n)), 0)
     return out_h, out_g, np.repeat(np.arange(len(texts)), n + 1)
 
 
@@ -103,7 +98,7 @@ class LogBilinear:
         rng = np.random.default_rng(seed)
         inputs = len(order) + 1  # the last is the start of a text
         self.r = rng.normal(0, 0.1, (inputs, dim)).astype(np.float32)
-        self.scale = np.ones((CONTEXT, dim), np.float32) * np.array([1, 0.7, 0.5], np.float32)[:, None]
+        self.scale = np.ones((CONTEXT, dim), np.float32) * np.array([1, 0.7, 0.5], np.float32)[:CONTEXT, None]
         self.class_r, self.class_b = np.zeros((classes, dim), np.float32), np.log(np.maximum(self.class_p, 1e-30)).astype(np.float32)
         self.word_r = np.zeros((classes, size, dim), np.float32)
         self.word_b = np.log(np.maximum(self.slot_w, 1e-30)).astype(np.float32)
@@ -161,7 +156,7 @@ class LogBilinear:
         classes, size = self.word_b.shape
         cum = np.cumsum(self.class_p)
         cum_in = (np.minimum(np.cumsum(self.slot_w, axis=1), 1) + np.arange(classes)[:, None]).ravel()  # one sorted line for all classes
-        key_of = (self.class_of * size + self.slot_of).astype(np.int32)
+        key_of = (self.class_of * size + self.slot_of).astype(np.int16 if classes * size < 1 << 15 else np.int32)  # short keys sort fast
         dim = self.r.shape[1]
 
         def step(p, s, at, total):
@@ -184,7 +179,8 @@ class LogBilinear:
                 key = key_of[out[b]]
                 order = np.argsort(key, kind="stable")
                 b, key = b[order], key[order]  # by class and slot, so that sums over either are over runs
-                c, cls = ctx[b], key // size
+                c, key = ctx[b], key.astype(np.int64)
+                cls = key // size
                 e = self.r[c]
                 q = e[:, 0] * self.scale[0]
                 for k in range(1, CONTEXT):
@@ -234,28 +230,34 @@ class LogBilinear:
     def log_probs(self, out: np.ndarray, ctx: np.ndarray) -> np.ndarray:
         """Natural log-probability of each output, normalised over all outputs."""
         tabs = [self.r * s for s in self.scale]
+        cls = self.class_of[out]
+        order = np.argsort(cls.astype(np.uint8 if len(self.class_b) < 256 else np.int32), kind="stable")  # a class's tokens side by side
+        ctx, cls, slot = ctx[order], cls[order], self.slot_of[out[order]]
         q = tabs[0][ctx[:, 0]]
         for k in range(1, CONTEXT):
             q += tabs[k][ctx[:, k]]
-        cls, slot = self.class_of[out], self.slot_of[out]
-        pick = np.arange(len(out))
-
-        def chosen(z, at):
-            z -= z.max(axis=1, keepdims=True)
-            picked = z[np.arange(len(z)), at].copy()
-            return picked - np.log(np.exp(z, out=z).sum(axis=1))
-
-        lp = np.empty(len(out))
-        for i in range(0, len(out), 1 << 15):
-            j = slice(i, i + (1 << 15))
-            lp[j] = chosen(q[j] @ self.class_r.T + self.class_b, cls[j])
-        order = np.argsort(cls, kind="stable")
-        edge = np.searchsorted(cls[order], np.arange(len(self.class_b) + 1))
+        lp = np.zeros(len(out))
+
+        def add(i, j, r, b, at):
+            """The log-probabilities of the choices `at` among the rows of r for the tokens i to j."""
+            for x in range(i, j, 1 << 12):
+                y = min(j, x + (1 << 12))
+                z = q[x:y] @ r.T
+                z += b
+                high = z.max(axis=1, keepdims=True)
+                if high.max() > 60 or high.min() < -60:  # else no exponential overflows, and no row's sum vanishes
+                    z -= high
+                picked = np.take_along_axis(z, at[x:y, None], 1)[:, 0]
+                np.exp(z, out=z)
+                lp[x:y] += picked - np.log(z @ np.ones(z.shape[1], np.float32))
+
+        add(0, len(out), self.class_r, self.class_b, cls)
+        edge = np.searchsorted(cls, np.arange(len(self.class_b) + 1))
         for c in range(len(self.class_b)):
-            at = pick[order[edge[c] : edge[c + 1]]]
-            if len(at):
-                lp[at] += chosen(q[at] @ self.word_r[c].T + self.word_b[c], slot[at])
-        return lp
+            add(int(edge[c]), int(edge[c + 1]), self.word_r[c], self.word_b[c], slot)
+        back = np.empty(len(out))
+        back[order] = lp
+        return back
 
     def score(self, texts: list) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, tuple[np.ndarray, np.ndarray]]:
         """Of each text: tokens, known ones, base and model log10 sums, but for tokens outside the dictionary, of which
