@@ -169,35 +169,35 @@ class LogBilinear:
             order = np.argsort(at, kind="stable")
             at = at[order]
             first = np.flatnonzero(np.concatenate([[True], at[1:] != at[:-1]]))
-            return at[first], np.add.reduceat(x[order], first)
+            return at[first], np.add.reduceat(x.take(order, axis=0), first)
 
         word_r, word_b = self.word_r.reshape(classes * size, dim), self.word_b.reshape(-1)
         acc_wr, acc_wb, flat_w = acc["word_r"].reshape(classes * size, dim), acc["word_b"].reshape(-1), log_w.reshape(-1)
-        ctx = ctx.astype(np.int16 if len(self.r) < 1 << 15 else np.int32)
+        lags = np.ascontiguousarray(ctx.T.astype(np.int16 if len(self.r) < 1 << 15 else np.int32))
         for _ in range(epochs):
             for b in np.array_split(rng.permutation(len(out)), max(1, len(out) // batch)):
                 key = key_of[out[b]]
                 order = np.argsort(key, kind="stable")
                 b, key = b[order], key[order]  # by class and slot, so that sums over either are over runs
-                c, key = ctx[b], key.astype(np.int64)
+                c, key = [x.take(b) for x in lags], key.astype(np.int64)
                 cls = key // size
-                e = self.r[c]
-                q = e[:, 0] * self.scale[0]
+                e = [self.r.take(x, axis=0) for x in c]
+                q = e[0] * self.scale[0]
                 for k in range(1, CONTEXT):
-                    q += e[:, k] * self.scale[k]
+                    q += e[k] * self.scale[k]
                 at_word = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
                 at_cls = np.flatnonzero(np.concatenate([[True], cls[1:] != cls[:-1]]))
                 words, have = key[at_word], cls[at_cls]
                 n = np.float32(1 / np.sqrt(len(b)))
                 # classes: the true one against noise that the batch shares
                 fake, times = np.unique(np.minimum(np.searchsorted(cum, rng.random(noise)), classes - 1), return_counts=True)
-                cr = self.class_r[cls]
-                d_true = sig((q * cr).sum(1) + (self.class_b - log_p - np.float32(np.log(noise)))[cls]) - 1
+                cr = self.class_r.take(cls, axis=0)
+                d_true = sig(np.einsum("bd,bd->b", q, cr) + (self.class_b - log_p - np.float32(np.log(noise)))[cls]) - 1
                 d_fake = sig(q @ self.class_r[fake].T + (self.class_b - log_p)[fake] - np.float32(np.log(noise))) * times.astype(np.float32)
                 gq = d_true[:, None] * cr + d_fake @ self.class_r[fake]
                 # words: the true one against noise that the batch's tokens of the class share
-                wr = word_r[key]
-                d_word = sig((q * wr).sum(1) + (word_b - flat_w - np.float32(np.log(inside)))[key]) - 1
+                wr = word_r.take(key, axis=0)
+                d_word = sig(np.einsum("bd,bd->b", q, wr) + (word_b - flat_w - np.float32(np.log(inside)))[key]) - 1
                 gq += d_word[:, None] * wr
                 drawn = np.minimum(np.searchsorted(cum_in, rng.random((len(have), inside)) + have[:, None]), have[:, None] * size + size - 1)
                 wn, bias = word_r[drawn], (word_b - flat_w)[drawn] - np.float32(np.log(inside))
@@ -220,8 +220,8 @@ class LogBilinear:
                 step(word_b, acc_wb, *summed(drawn.ravel(), np.add.reduceat(z, at_cls).ravel()))
                 gs = np.empty_like(self.scale)
                 for k in range(CONTEXT):
-                    gs[k] = (gq * e[:, k]).sum(0) * n
-                    who, total = summed(c[:, k], gq)
+                    gs[k] = np.einsum("bd,bd->d", gq, e[k]) * n
+                    who, total = summed(c[k], gq)
                     step(self.r, acc["r"], who, total * self.scale[k])
                 acc["scale"] += gs * gs
                 self.scale -= 0.2 * rate * gs / np.sqrt(acc["scale"])
@@ -233,9 +233,9 @@ class LogBilinear:
         cls = self.class_of[out]
         order = np.argsort(cls.astype(np.uint8 if len(self.class_b) < 256 else np.int32), kind="stable")  # a class's tokens side by side
         ctx, cls, slot = ctx[order], cls[order], self.slot_of[out[order]]
-        q = tabs[0][ctx[:, 0]]
+        q = tabs[0].take(ctx[:, 0], axis=0)
         for k in range(1, CONTEXT):
-            q += tabs[k][ctx[:, k]]
+            q += tabs[k].take(ctx[:, k], axis=0)
         lp = np.zeros(len(out))
 
         def add(i, j, r, b, at):
@@ -354,9 +354,11 @@ def scores(docs: DataFrame, train: DataFrame, **bounds) -> DataFrame:
             texts = b.column(2).to_pylist()
             for i, j in chunks(texts):
                 n, known, base, score, (row, h) = held.value.score(texts[i:j])
-                key = np.unique(np.stack([row.astype(np.uint64), h]), axis=1, return_counts=True) if len(h) else (np.zeros((2, 0), np.uint64), np.zeros(0, np.int64))
-                offsets = np.searchsorted(key[0][0], np.arange(j - i + 1, dtype=np.uint64)).astype(np.int32)
-                rare = pa.ListArray.from_arrays(pa.array(offsets), pa.StructArray.from_arrays([pa.array(key[0][1].view(np.int64)), pa.array(key[1].astype(np.int64))], names=["h", "n"]))
+                order = np.lexsort((h, row))
+                row, h = row[order], h[order]
+                first = np.flatnonzero(np.concatenate([[True], (row[1:] != row[:-1]) | (h[1:] != h[:-1])])) if len(h) else np.zeros(0, np.int64)
+                offsets = np.searchsorted(row[first], np.arange(j - i + 1)).astype(np.int32)
+                rare = pa.ListArray.from_arrays(pa.array(offsets), pa.StructArray.from_arrays([pa.array(h[first].view(np.int64)), pa.array(np.diff(np.append(first, len(h))))], names=["h", "n"]))
                 cols = [b.column(0).slice(i, j - i), b.column(1).slice(i, j - i), pa.array(n), pa.array(known), pa.array(base), pa.array(score), rare]
                 yield pa.RecordBatch.from_arrays(cols, names=["row", "doc_id", "n_tokens", "n_known", "base", "score", "rare"])
 

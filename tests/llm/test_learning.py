@@ -80,3 +80,50 @@ def test_statistics_by_hand():
     assert got["lines_again"] ** 2 == pytest.approx(1 - len(set(lines)) / len(lines))
     runs = [tuple(words[i : i + 5]) for i in range(len(words) - 4)]
     assert got["runs_again"] ** 2 == pytest.approx(1 - len(set(runs)) / len(runs)) and got["trust"] == pytest.approx(len(words) / k)
+
+
+def test_scores_against_a_plain_softmax():
+    rng = np.random.default_rng(4)
+    texts = [" ".join(f"w{x}" for x in rng.zipf(1.6, 30) if x < 60) for _ in range(40)]
+    h, g, _ = lm.tokens(texts)
+    u, at, n = np.unique(h, return_index=True, return_counts=True)
+    mass = np.full(lm.GROUPS, 0.1)
+    np.add.at(mass, g[at][10:], n[10:] + 0.1)
+    m = lm.LogBilinear(u, n, mass, len(h), len(u), head=12).train(texts, epochs=2)
+    h, g, row = lm.tokens(texts[:3])
+    _, out = m.look_up(h, g)
+    ctx = m.contexts(out, row)
+    got = m.log_probs(out, ctx)
+    for t in range(len(out)):
+        q = sum(m.r[ctx[t, k]] * m.scale[k] for k in range(lm.CONTEXT)).astype(float)
+        zc = m.class_r @ q + m.class_b
+        c = m.class_of[out[t]]
+        zw = m.word_r[c] @ q + m.word_b[c]
+        want = zc[c] - np.log(np.exp(zc).sum()) + zw[m.slot_of[out[t]]] - np.log(np.exp(zw).sum())
+        assert got[t] == pytest.approx(want, abs=1e-4)
+    m.class_b += 500  # exponentials that would overflow
+    assert m.log_probs(out, ctx) == pytest.approx(got, abs=1e-2)
+
+
+def test_decoding_against_a_loop():
+    """Margins from n-grams found one by one, and the codeword with the least weighted loss."""
+    rng = np.random.default_rng(6)
+    m = langid.CodeModel(["aa", "bb", "cc"])
+    m.weigh(rng.integers(0, 5, (3, langid.DIM)).astype(float))
+    bits = m.code.shape[1]
+    m.slope, m.shift, m.trust = rng.random(bits) + 0.5, rng.normal(0, 0.1, bits), rng.random((3, bits))
+    texts = ["One två, 3 trees", "x", "ab ab cd", "été-là"]
+    best, score, _ = m.decode(texts)
+    found = [langid.grams([t])[0] for t in texts]
+    for t, grams, b, s in zip(texts, found, best, score):
+        total, n = np.zeros(bits), 0
+        for bucket, counts in grams:
+            for x, ok in zip(bucket.tolist(), counts.tolist()):
+                total += m.weights[x] if ok else 0
+                n += bool(ok)
+        z = total / max(n, 1) * m.slope + m.shift
+        loss = [sum(m.trust[c, k] * np.log1p(np.exp(-z[k] * m.code[c, k])) for k in range(bits)) for c in range(3)]
+        p = np.exp(-2 * (np.array(loss) - min(loss)))
+        assert b == int(np.argmin(loss)) and s == pytest.approx(p[b] / p.sum())
+    letters = [sum(counts.sum() for _, counts in g) for g in found]
+    assert all(x > 0 for x in letters)
