@@ -69,8 +69,28 @@ class BpeTokenizer:
         return self._encoding().decode_bytes(np.asarray(ids).tolist()).decode("utf-8", "surrogatepass")
 
 
+class Framed:
+    """Another tokenizer's ids between two ids of their own, above its vocabulary: BEGIN, which also pads, and END."""
+
+    def __init__(self, inner):
+        self.inner, self.name, self.vocab_size = inner, f"{inner.name}+ends", inner.vocab_size + 2
+        self.begin, self.end = inner.vocab_size, inner.vocab_size + 1
+
+    def encode(self, text: str) -> np.ndarray:
+        return np.concatenate([[self.begin], self.inner.encode(text), [self.end]]).astype(np.int32)
+
+    def decode(self, ids) -> str:
+        """The text up to the first END; BEGIN is passed over wherever it stands, as padding."""
+        ids = np.asarray(ids)
+        stop = np.flatnonzero(ids == self.end)
+        ids = ids[: stop[0]] if len(stop) else ids
+        return self.inner.decode(ids[ids != self.begin])
+
+
 def tokenizer(name: str):
-    """byte, char, bpeN or bpeN-pre."""
+    """byte, char, bpeN or bpeN-pre; with +ends, framed."""
+    if name.endswith("+ends"):
+        return Framed(tokenizer(name[:-5]))
     if name in ("byte", "char"):
         return ByteTokenizer() if name == "byte" else CharTokenizer()
     m = re.fullmatch(r"bpe(\d+)(?:-(\w+))?", name)

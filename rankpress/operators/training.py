@@ -72,6 +72,30 @@ def merged(base: DataFrame, domain: DataFrame, weight: int) -> DataFrame:
     return both.unionByName(d).groupBy("domain", "level", "ctx", "token").agg(F.sum("cnt").alias("cnt")).where("cnt > 0")
 
 
+def delta(domain: DataFrame, weight: int) -> DataFrame:
+    """(domain, level, ctx, token, more): what tuning adds to a base, only where it adds something; the base stays as it is."""
+    return domain.select("domain", "level", "ctx", "token", (F.col("cnt") * weight).alias("more")).where("more > 0")
+
+
+def with_delta(base: CountModel, added: DataFrame, order: int, most: int = 1 << 25) -> dict[str, CountModel]:
+    """Tuned models from one base and the sparse tables of the domains; the same as collect_models(merged(...))."""
+    n = added.count()
+    if n > most:
+        raise ValueError(f"{n} rows are more than the {most} that are sent to tasks")
+    t = added.toArrow()
+    names = np.array(t.column("domain").to_pylist(), object)
+    new = [t.column(c).to_numpy() for c in ("level", "ctx", "token", "more")]
+    old = [np.concatenate(c) for c in zip(*((np.full(len(tok), k), np.repeat(keys, np.diff(first)), tok, cnt) for k, (keys, first, tok, cnt) in enumerate(base.levels)))]
+    out = {}
+    for d in sorted(set(names)):
+        level, ctx, token, cnt = (np.concatenate([a, b[names == d]]) for a, b in zip(old, new))
+        o = np.lexsort((token, ctx, level))
+        level, ctx, token, cnt = level[o], ctx[o], token[o], cnt[o]
+        first = np.flatnonzero(np.concatenate(([True], (level[1:] != level[:-1]) | (ctx[1:] != ctx[:-1]) | (token[1:] != token[:-1]))))
+        out[d] = CountModel.from_rows(level[first], ctx[first], token[first], np.add.reduceat(cnt, first), base.vocab_size, order, d)
+    return out
+
+
 def distilled(df: DataFrame, teacher: CountModel, tokenizer, student_order: int, domain: str | None = None, temperature: float = 1.0, alpha: float = 0.7, top: int = 32, scale: int = 1000) -> DataFrame:
     """Soft counts of a student: at each position of the domain's texts the teacher's `top` probabilities, to the power
     1/temperature, weigh alpha and the true token 1 - alpha; both are added up by the student's contexts in whole thousandths."""

@@ -238,6 +238,17 @@ def relational_ranks(spark, d):
     return ranks.histogram(w.side(spark, d, "test"), counts, tok, 1)
 
 
+def delta_counts(spark, d):
+    """The sparse table that tuning on French adds to a base, four times its counts."""
+    from ..operators import training
+
+    own = training.counts(w.documents(spark, d).where("split = 'train' and lang = 'fr'"), w.EXACT.tok, 1, domain="lang")
+    return training.delta(own, 4)
+
+
+_FRENCH = _symbols("select text from sp where split = 'train' and lang = 'fr'", "1 one", _CHAR)
+QUERIES["delta_counts"] = delta_counts
+SQL["delta_counts"] = f"with recursive {SPLIT}, t as ({_FRENCH}) select 'fr' domain, level, ctx, tok token, 4 * count(*) more from (select 0 level, 0::bigint ctx, tok from t union all select 1, (before + 1)::bigint, tok from t) group by all"
 QUERIES["relational_ranks"] = relational_ranks
 SQL["relational_ranks"] = f"with recursive {SPLIT}, {evaluated(_ALL, blocks(_TEST), {'model': ('all', 1)}, raw=False)} select grp, rank, count(*) n from rt group by all"
 w.SQL["split_by_cluster"] = f"with recursive {SPLIT} select a.doc_id, s.cluster_id, s.split, count(*) n from ({w._AGAIN}) a join (select distinct text, cluster_id, split from sp) s on s.text = a.text group by all"

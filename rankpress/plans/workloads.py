@@ -591,7 +591,7 @@ for _n, _how in {"individual": ("individual",), "batch": ("batch",), "verbatim":
 
 def _tokens_trip(spark, d):
     """Every tokenizer's ids decoded again."""
-    toks = [tokenizer(n) for n in ("byte", "char", "bpe256", "bpe1024", "bpe16384", "bpe4096-whitespace", "bpe4096-none")]
+    toks = [tokenizer(n) for n in ("byte", "char", "bpe256", "bpe1024", "bpe16384", "bpe4096-whitespace", "bpe4096-none", "bpe1024+ends")]
 
     def run(batches):
         for b in batches:
@@ -604,4 +604,4 @@ def _tokens_trip(spark, d):
 
 
 QUERIES["roundtrip_tokenizers"] = _tokens_trip
-SQL["roundtrip_tokenizers"] = "select doc_id, md5(text) digest, 7::bigint n from documents"
+SQL["roundtrip_tokenizers"] = "select doc_id, md5(text) digest, 8::bigint n from documents"
