@@ -3,7 +3,7 @@
 Two texts are near copies when the sets of their five-word shingles have a similarity of 0.8 or more. Fingerprints of 64 bits
 don't decide that: such texts differ in ten bits on average and in more than any index can probe. So the index here holds
 shingles. Under one order of all shingles, two sets of similarity s share a shingle among the first n - ceil(s*n) + 1 of each
-(n: its size), so only these are indexed. Any order is right; one that puts common shingles last, known from a sixteenth of
+(n: its size), so only these are indexed. Any order is right; one that puts common shingles last, known from a quarter of
 the texts, makes few candidates. Every candidate is verified on both whole sets.
 
 Only groups are asked for, not pairs. First each set is compared with the smallest of every entry it stands in, and then all
@@ -109,7 +109,7 @@ def _verified(docs: DataFrame, pairs: DataFrame, width: int, similarity: float)
     return both.where(same >= similarity * (F.size("set") + F.size("set2") - same) - 1e-9).select("a", "b")
 
 
-def groups(docs: DataFrame, width: int = 5, similarity: float = 0.8, one_in: int = 16, least: int = 4, most: int = 1 << 20) -> DataFrame:
+def groups(docs: DataFrame, width: int = 5, similarity: float = 0.8, one_in: int = 4, least: int = 2, most: int = 1 << 20) -> DataFrame:
     """(doc_id, component_id) of each row with a doc_id: the smallest doc_id that near copies reach from it.
 
     one_in, least, most: which shingles count as common. doc_id, of any ordered type, is taken to name one text; rows without
