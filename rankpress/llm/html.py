@@ -369,7 +369,7 @@ def main_text(pages: DataFrame, group: int = 512, group_chars: int = 16 << 20, s
     d = pages.select("page_id", "url", "html", _host("url").alias("_host"))
     size = cut(d.groupBy("_host").agg(F.count("*").alias("n"), F.coalesce(F.sum(F.length("html")), F.lit(0)).alias("chars")))
     parts = F.ceil(F.greatest(F.col("n") / group, F.col("chars") / group_chars)).cast("long")
-    groups = size.agg(F.coalesce(F.max(F.lit(1)), F.lit(1)), F.coalesce(F.greatest(F.sum("n") / group, F.sum("chars") / group_chars), F.lit(1.0))).first()[1]
+    groups = size.agg(F.greatest(F.sum("n") / group, F.sum("chars") / group_chars)).first()[0] or 0
     large = size.where(parts > 1).select("_host", parts.alias("_parts"))
     d = d.join(F.broadcast(large) if large.count() <= sent else large, "_host", "left")
     row = F.coalesce(F.col("page_id").cast("long"), F.monotonically_increasing_id())
