@@ -61,8 +61,9 @@ def near_copies(df: DataFrame, width: int = 5, similarity: float = 0.8) -> DataF
     are looked at, and only members of clusters of two and more are returned.
     """
     texts = df.select(text_key().alias("doc_id"), F.coalesce("text", F.lit("")).alias("text")).dropDuplicates(["doc_id"])
-    got = nearcopies.groups(texts, width, similarity).withColumnRenamed("doc_id", "digest")
-    return got.withColumn("_n", F.count("*").over(W.partitionBy("component_id"))).where("_n > 1").select("digest", F.col("component_id").alias("cluster_id"))
+    got = nearcopies.groups(texts, width, similarity).where("doc_id <> component_id").select(F.col("doc_id").alias("digest"), F.col("component_id").alias("cluster_id"))
+    got = cut(got)
+    return got.unionByName(got.select(F.col("cluster_id").alias("digest"), "cluster_id").distinct())
 
 
 def with_clusters(df: DataFrame, sent: int = 1 << 20) -> DataFrame:
