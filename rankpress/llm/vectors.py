@@ -81,7 +81,10 @@ def fit_cells(classes: DataFrame, per_cell: int, sample: int) -> DataFrame:
 
 def _placed(t: pa.Table, c: np.ndarray, sine: float) -> pa.Table:
     """The rows of one label, with cell and visit: at home (0), and in each cell that might hold a partner (1)."""
-    s = unit(matrix(t.column("v"), c.shape[1])) @ c.T
+    x = matrix(t.column("v"))
+    wide = lambda a: np.pad(a, ((0, 0), (0, max(x.shape[1], c.shape[1]) - a.shape[1])))
+    c = wide(c)
+    s = unit(wide(x)) @ c.T
     h = np.argmax(s, axis=1)
     gap = np.sqrt(np.maximum(2 - 2 * (c @ c.T), 0))[h]
     i, j = np.nonzero((s[np.arange(len(h)), h][:, None] - s <= sine * gap + 1e-12) & (np.arange(len(c)) != h[:, None]))

@@ -277,6 +277,16 @@ def test_top_k_of_huge_components():
     assert list(zip(j.tolist(), s.tolist())) == [(1, 2**60 + 10), (0, 2**60 + 5)]
 
 
+def test_cells_of_vectors_of_unequal_length(spark):
+    rng = np.random.default_rng(2)
+    rows = [(i, [float(np.float32(x)) for x in rng.normal(size=4 if i else 7)], 1) for i in range(90)] + [(100 + i, [1.0, 2.0, 0.5 + i / 100, 1.0, *([0.0] * (i % 4))], 1) for i in range(12)]
+    e = spark.createDataFrame(rows, "vec_id long, embedding array<float>, label int")
+    pad = {i: np.pad(np.array(np.float32(v), float), (0, 7 - len(v))) for i, v, _ in rows}
+    want = {i: sum(i != j and pad[i] @ pad[j] / np.linalg.norm(pad[i]) / np.linalg.norm(pad[j]) >= 0.93 for j in pad) for i in pad}
+    for how in ({"per_cell": 16, "sample": 30}, {"per_cell": 16, "sample": 30, "sent": 0}):
+        assert {r.vec_id: r.n_links for r in vectors.near_duplicates(e, **how).collect()} == want
+
+
 def test_few_vectors(spark):
     e = spark.createDataFrame([(20, [1.0, 0.5], 1), (40, [1.0], 1)], "vec_id long, embedding array<float>, label int")
     assert sorted((r.query_id, r["rank"], r.vec_id, r.score) for r in topk.top_k(e).collect()) == [(20, 1, 40, 4096), (40, 1, 20, 4096)]
