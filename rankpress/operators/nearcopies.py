@@ -6,6 +6,9 @@ shingles. Under one order of all shingles, two sets of similarity s share a shin
 (n: its size), so only these are indexed. Any order is right; one that puts common shingles last, known from a quarter of
 the texts, makes few candidates. Every candidate is verified on both whole sets.
 
+The shingles of a passage that several texts share all stand in the same texts. Entries with the same texts, told by count, smallest, largest and
+a sum of hashes, are one entry with a weight, so a shared passage costs its texts once and not once a shingle.
+
 Only groups are asked for, not pairs. First each set is compared with the smallest of every entry it stands in, and then all
 pairs of an entry that aren't in one group yet: a group of many copies costs a pair a member, and no pair that could join two
 groups is left out.
@@ -103,7 +106,7 @@ def _sets(docs: DataFrame, width: int, similarity: float, common) -> DataFrame:
 
 
 def _verified(docs: DataFrame, pairs: DataFrame, width: int, similarity: float) -> DataFrame:
-    """The pairs (a, b) of doc_ids whose whole sets are similar enough."""
+    """The pairs (a, b) of doc_ids whose whole sets are similar enough; a pair comes again for each repeated row of its ids."""
 
     def run(batches):
         for b in batches:
@@ -111,7 +114,7 @@ def _verified(docs: DataFrame, pairs: DataFrame, width: int, similarity: float)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([s.view(np.int64) for s in sets], pa.list_(pa.int64()))], names=["id", "set"])
 
     ids = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
-    sets = cut(docs.join(_sent(ids), "doc_id", "left_semi").mapInArrow(run, f"id {dict(docs.dtypes)['doc_id']}, set array<long>").dropDuplicates(["id"]))
+    sets = cut(docs.join(_sent(ids), "doc_id", "left_semi").mapInArrow(run, f"id {dict(docs.dtypes)['doc_id']}, set array<long>"))
     both = pairs.join(sets.select(F.col("id").alias("a"), "set"), "a").join(sets.select(F.col("id").alias("b"), F.col("set").alias("set2")), "b")
     same = F.size(F.array_intersect("set", "set2"))
     return both.where(same >= similarity * (F.size("set") + F.size("set2") - same) - 1e-9).select("a", "b")
@@ -128,20 +131,23 @@ def groups(docs: DataFrame, width: int = 5, similarity: float = 0.8, one_in: int
     nodes = cut(f.groupBy("digest").agg(F.min("doc_id").alias("node"), F.first("n").alias("n")))
     copies = f.select("doc_id", "digest").join(nodes, "digest").where("doc_id <> node").select("doc_id").distinct()
     entry = f.join(_sent(copies), "doc_id", "left_anti").select(F.explode("first").alias("t"), F.col("doc_id").alias("node"), "n")
-    shared = entry.groupBy("t").agg(F.min("node").alias("low"), F.max("node").alias("high")).where("low <> high")
-    e = cut(entry.join(_sent(shared.select("t", "low")), "t"))
-    # c shared shingles of the index leave at most the rest of one set to share; similarity asks for s/(1+s) of both sizes
+    shared = entry.groupBy("t").agg(F.min("node").alias("low"), F.max("node").alias("high"), F.count("*").alias("k"), F.sum(F.xxhash64("node").cast("decimal(38,0)")).alias("h")).where("low <> high")
+    # the shingles of a passage stand in the same texts: one of them stands for all, with their number as its weight
+    alike = shared.groupBy("low", "high", "k", "h").agg(F.min("t").alias("t"), F.count("*").alias("w"))
+    e = cut(entry.join(_sent(alike.select("t", "low", "w")), "t"))
+    # sets of too different sizes can't be similar; c shared shingles of the index leave at most the rest of one set to share, and
+    # similarity asks for s/(1+s) of both sizes
     beyond = F.ceil(similarity * F.greatest("n", "m") - 1e-9) - 1
-    may = F.col("c") + beyond >= similarity / (1 + similarity) * (F.col("n") + F.col("m")) - 1e-6
-    star = e.where("node <> low").groupBy(F.col("node").alias("a"), F.col("low").alias("b"), "n").agg(F.count("*").alias("c"))
+    may = (F.col("c") + beyond >= similarity / (1 + similarity) * (F.col("n") + F.col("m")) - 1e-6) & (F.least("n", "m") >= similarity * F.greatest("n", "m") - 1e-6)
+    star = e.where("node <> low").groupBy(F.col("node").alias("a"), F.col("low").alias("b"), "n").agg(F.sum("w").alias("c"))
     star = cut(star.join(nodes.select(F.col("node").alias("b"), F.col("n").alias("m")), "b").where(may).select("a", "b").distinct())
     near = cut(_verified(d, star, width, similarity))
     comp = components(near)
-    placed = e.join(comp, "node", "left").select("t", "node", "n", F.coalesce("root", "node").alias("root"))
+    placed = e.join(comp, "node", "left").select("t", "w", "node", "n", F.coalesce("root", "node").alias("root"))
     mixed = placed.groupBy("t").agg(F.min("root").alias("r1"), F.max("root").alias("r2")).where("r1 <> r2").select("t")
     placed = cut(placed.join(mixed, "t", "left_semi"))
     other = placed.select("t", F.col("node").alias("b"), F.col("n").alias("m"), F.col("root").alias("root2"))
-    rest = placed.withColumnRenamed("node", "a").join(other, "t").where("root < root2").groupBy("a", "b", "n", "m").agg(F.count("*").alias("c")).where(may)
+    rest = placed.withColumnRenamed("node", "a").join(other, "t").where("root < root2").groupBy("a", "b", "n", "m").agg(F.sum("w").alias("c")).where(may)
     rest = cut(rest.select("a", "b").distinct())
     comp = components(near.union(_verified(d, rest, width, similarity)))
     named = nodes.join(comp, "node", "left").select("digest", F.coalesce("root", "node").alias("component_id"))
