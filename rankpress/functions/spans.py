@@ -41,24 +41,24 @@ class SpanHasher:
     a span to the origin. A finaliser mixes in the length.
     """
 
-    _powers = (np.ones(1, np.uint64), np.ones(1, np.uint64))  # of the base and its inverse, as far as any buffer asked for
+    _kept = np.ones((2, 1), np.uint64)  # powers of the base and of its inverse, for buffers up to KEEP bytes
+    KEEP = (1 << 21) - 1
 
     def __init__(self, data: np.ndarray):
         n = len(data)
-        if len(self._powers[0]) <= n:
-            size = 1 << (n + 1).bit_length()
-            powers = np.full((2, size), 1, np.uint64)
+        powers = self._kept
+        if powers.shape[1] <= n:
+            powers = np.ones((2, n + 1 if n > self.KEEP else min(self.KEEP, 2 * n) + 1), np.uint64)
             powers[0, 1:], powers[1, 1:] = _BASE, _INV
             np.cumprod(powers, axis=1, out=powers)
-            SpanHasher._powers = (powers[0], powers[1])
-        self.inv = self._powers[1][: n + 1]
+            if n <= self.KEEP:  # a very long text leaves no table behind
+                SpanHasher._kept = powers
+        self.inv = powers[1, : n + 1]
         self.s = np.zeros(n + 1, np.uint64)
         x = data.astype(np.uint64)
         x += np.uint64(1)
-        x *= self._powers[0][:n]
+        x *= powers[0, :n]
         np.cumsum(x, out=self.s[1:])
-        if n > 1 << 24:  # a very long text leaves no table behind
-            SpanHasher._powers = (np.ones(1, np.uint64), np.ones(1, np.uint64))
 
     def __call__(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
         h = (self.s[b] - self.s[a]) * self.inv[a]
