@@ -29,7 +29,7 @@ from .common import table
 
 MODEL_PATH = "/opt/tokenizers/piece_bpe_32k.model"
 SPACE = "▁"
-_REMEMBER = 1_000_000
+_REMEMBER = 500_000
 _NEVER = -1e300
 
 
@@ -115,7 +115,9 @@ class Pieces:
                     score[k + 1] = self._low
         for end, (i, size) in self._auto.iter(word):  # along the output links, the longest piece first
             before = last[end + 1 - size]
-            if before == -2 or (self.bpe and before >= 0 and not self._stands(before, i)):
+            if before == -2 or (self.bpe and last[end + 1] != -2):  # in a bpe model one lawful path leads here, and none can better it
+                continue
+            if self.bpe and before >= 0 and not self._stands(before, i):
                 continue
             if (s := score[end + 1 - size] + self.scores[i]) > score[end + 1]:
                 score[end + 1], last[end + 1] = s, i
