@@ -39,6 +39,7 @@ def grams(texts: list):
     x = np.concatenate([data, np.full(ORDERS, 32, np.uint8)]).astype(np.uint32)
     code, out = np.zeros(n, np.uint32), []
     counts = letter | np.concatenate([letter[1:], [False]])
+    counts[starts[1:] - 1] = False  # what follows there is another text
     for k in range(ORDERS):
         code = code << np.uint32(8) | x[k : k + n]
         out.append(((code * _MUL[k] + np.uint32(k)) >> np.uint32(16), letter if k == 0 else counts))
