@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame, functions as F
 
-from ..functions.spans import WORD_RE, SpanHasher, as_bytes, chunks, lower_ascii, mix, word_spans  # noqa: F401
+from ..functions.spans import WORD_RE, SpanHasher, as_bytes, chunks, lower_ascii, mix, spared, word_spans  # noqa: F401
 from ..sources.tables import cut, shared_folder, table  # noqa: F401
 
 def fold(key: str, mod: int) -> Column:

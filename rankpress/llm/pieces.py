@@ -25,7 +25,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from .common import table
+from .common import spared, table
 
 MODEL_PATH = "/opt/tokenizers/piece_bpe_32k.model"
 SPACE = "▁"
@@ -177,7 +177,7 @@ def encoded(docs: DataFrame, model: Pieces, keep: list[str] | None = None) -> Da
 
     def run(batches):
         m = held.value
-        for b in batches:
+        for b in spared(batches):
             for i in range(0, b.num_rows, 256):
                 part = b.slice(i, 256)
                 texts = part.column(part.num_columns - 1).to_pylist()

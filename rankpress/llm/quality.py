@@ -15,14 +15,14 @@ one; other columns are ignored.
 from __future__ import annotations
 
 from collections import Counter
+from collections.abc import Iterator
 from operator import eq
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from .common import fold, held_out, lowest_by_hash, table
+from .common import fold, held_out, lowest_by_hash, spared, table
 
 #: The statistics in their order.
 NAMES = ("word_length", "upper", "digits", "exclaim", "bars", "marks", "stops", "breaks", "neighbours", "distinct", "commonest", "lines_again", "runs_again", "trust")
@@ -101,7 +101,7 @@ def _vectors(df: DataFrame, schema: str, of) -> DataFrame:
     """Arrow pass over (key, text): `of` maps the matrix of statistics to an Arrow array."""
 
     def run(batches):
-        for b in batches:
+        for b in spared(batches):
             x = np.array([statistics(t) for t in b.column(1).to_pylist()], float).reshape(-1, len(NAMES))
             yield pa.RecordBatch.from_arrays([b.column(0), of(x)], names=schema.replace(",", "").split(" ")[0::2])
 
@@ -128,8 +128,12 @@ def score(docs: DataFrame, model: Discriminant) -> DataFrame:
 def kept(docs: DataFrame, model: Discriminant, limit: float = 0.3) -> DataFrame:
     """The rows of docs, all columns, that score at least the limit."""
     held = docs.sparkSession.sparkContext.broadcast(model)
-    vectors = lambda t: np.array([statistics(x) for x in t], float).reshape(-1, len(NAMES))
-    return docs.where(F.pandas_udf(lambda t: pd.Series(held.value.scores(vectors(t))), "double")(F.coalesce("text", F.lit(""))) >= limit)
+
+    def scores(parts: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        for t in spared(parts):
+            yield pa.array(held.value.scores(np.array([statistics(x.as_py()) for x in t], float).reshape(-1, len(NAMES))))
+
+    return docs.where(F.arrow_udf(scores, "double")(F.coalesce("text", F.lit(""))) >= limit)
 
 
 def op5(spark, sf_dir):

@@ -24,7 +24,7 @@ import xxhash
 from pyspark.sql import DataFrame, functions as F
 
 from ..operators.components import components
-from .common import cut, table
+from .common import cut, spared, table
 
 SEED = 42
 
@@ -52,7 +52,7 @@ def fingerprints(docs: DataFrame, width: int = 3, key: str = "doc_id", text: str
     """(doc_id, fp long): the fingerprint's bits as a signed long."""
 
     def run(batches):
-        for b in batches:
+        for b in spared(batches):
             fps = [fingerprint(t, width) for t in b.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(np.array(fps, np.uint64).view(np.int64))], names=["doc_id", "fp"])
 

@@ -16,16 +16,18 @@ toxic example, or without any text, everything scores 0; repeated rows are score
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from .common import SpanHasher, as_bytes, chunks, cut, fold, held_out, lowest_by_hash, mix, table, word_spans
+from .common import SpanHasher, as_bytes, chunks, cut, fold, held_out, lowest_by_hash, mix, spared, table, word_spans
 
 DIM = 1 << 18
 SCALE = 1 << 20  # weights are summed as whole parts of this, so that sums do not depend on their order
 PREFIXES = (4, 5, 6)
+AT_ONCE = 256  # texts whose features are in memory together
 _LETTER = np.zeros(256, bool)
 _LETTER[97:123] = True
 _LETTER[128:] = True
@@ -38,7 +40,7 @@ def features(texts: list) -> tuple[np.ndarray, np.ndarray]:
     a hundredth of the text's words or more: a rare chance hit in a long text then differs from a habit.
     """
     rows, cols = [], []
-    for i, j in chunks(texts):
+    for i, j in chunks(texts, 1 << 19):
         data, starts = as_bytes([(t or "").lower() for t in texts[i:j]], b" ")
         data = np.where(_LETTER[data], data, 32).astype(np.uint8)
         a, b = word_spans(data)
@@ -99,12 +101,15 @@ class PuModel:
     def __init__(self, weights: np.ndarray, bias: float | None):
         self.weights, self.bias = weights, bias
 
-    def scores(self, texts: list) -> np.ndarray:
+    def scores(self, texts: list | pa.Array) -> np.ndarray:
         if self.bias is None:
             return np.zeros(len(texts))
         z = np.full(len(texts), self.bias)
-        rows, cols = features(texts)
-        z += np.bincount(rows, self.weights[cols], len(texts))
+        for i in range(0, len(texts), AT_ONCE):
+            part = texts[i : i + AT_ONCE]
+            part = part.to_pylist() if isinstance(part, pa.Array) else part
+            rows, cols = features(part)
+            z[i : i + AT_ONCE] += np.bincount(rows, self.weights[cols], len(part))
         return 0.5 * (1 + np.tanh(0.5 * z))
 
 
@@ -142,9 +147,9 @@ def _having(df: DataFrame) -> tuple[np.ndarray, int]:
 
     def run(batches):
         n, size = np.zeros(DIM, np.int64), 0
-        for b in batches:
-            for i in range(0, b.num_rows, 4096):
-                n += np.bincount(features(b.column(0).slice(i, 4096).to_pylist())[1], minlength=DIM)
+        for b in spared(batches):
+            for i in range(0, b.num_rows, AT_ONCE):
+                n += np.bincount(features(b.column(0).slice(i, AT_ONCE).to_pylist())[1], minlength=DIM)
             size += b.num_rows
         at = np.flatnonzero(n)
         yield pa.RecordBatch.from_arrays([pa.array(np.append(at, -1)), pa.array(np.append(n[at], size))], names=["c", "n"])
@@ -174,9 +179,9 @@ def learn(docs: DataFrame, labels: DataFrame, n_p: int = 2000, chunk: int = 4096
     chosen = sc.broadcast(np.isin(np.arange(DIM), keep))
 
     def reduce(batches):
-        for b in batches:
-            for i in range(0, b.num_rows, 4096):
-                f = _lists(b.column(0).slice(i, 4096).to_pylist())
+        for b in spared(batches):
+            for i in range(0, b.num_rows, AT_ONCE):
+                f = _lists(b.column(0).slice(i, AT_ONCE).to_pylist())
                 cols = f.flatten().to_numpy()
                 m = chosen.value[cols]
                 offsets = np.concatenate([[0], np.cumsum(m)])[f.offsets.to_numpy()].astype(np.int32)
@@ -206,8 +211,8 @@ def score(docs: DataFrame, model: PuModel) -> DataFrame:
     held = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches):
-        for b in batches:
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(held.value.scores(b.column(1).to_pylist()))], names=["doc_id", "score"])
+        for b in spared(batches):
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(held.value.scores(b.column(1)))], names=["doc_id", "score"])
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, score double")
 
@@ -215,7 +220,12 @@ def score(docs: DataFrame, model: PuModel) -> DataFrame:
 def kept(docs: DataFrame, model: PuModel, limit: float = 0.5) -> DataFrame:
     """The rows of docs, all columns, that score below the limit."""
     held = docs.sparkSession.sparkContext.broadcast(model)
-    return docs.where(F.pandas_udf(lambda t: pd.Series(held.value.scores(t.tolist())), "double")(F.coalesce("text", F.lit(""))) < limit)
+
+    def scores(parts: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        for t in spared(parts):
+            yield pa.array(held.value.scores(t))
+
+    return docs.where(F.arrow_udf(scores, "double")(F.coalesce("text", F.lit(""))) < limit)
 
 
 def op8(spark, sf_dir):
