@@ -1,4 +1,4 @@
-"""Shared pieces: table access, fold rules, lineage cuts, bounded samples; and the byte spans of the engine."""
+"""Shared pieces: table access, fold rules, lineage cuts, samples by thresholds; and the byte spans of the engine."""
 
 from __future__ import annotations
 
@@ -16,11 +16,6 @@ def held_out(key: str, mod: int) -> Column:
     return fold(key, mod) == 0
 
 
-def lowest_by_hash(df: DataFrame, key: str, n: int) -> DataFrame:
-    """The n rows with the smallest hash of the key: a bounded sample that no partitioning changes."""
-    return df.orderBy(F.xxhash64(F.col(key)), F.col(key)).limit(n)
-
-
 def near_bound(df: DataFrame, key: str, by: str, n: int) -> DataFrame:
     """About n rows of each value of `by`, all where there are fewer: those whose hash of the key lies below a threshold that
     the value's number of rows sets. No sort, no window, and no row's place depends on another row."""

@@ -5,7 +5,8 @@ words, neighbours, lines and five-word runs). Each class has a mean and a covari
 and towards its own diagonal; a score is the posterior from the difference of the two Gaussian log-densities, whose Mahalanobis
 terms use Cholesky factors that are computed once.
 
-The training sample is bounded by a parameter (labelled rows with the lowest hashes). Scoring reads whole texts.
+All labelled rows outside the held-out fold are learned from: means and covariances come from sums, which are made in the tasks in whole
+numbers, so that no order of rows matters, and of which the driver sees a few hundred. Learning and scoring read whole texts.
 
 Null and empty texts have the statistics of an empty text and are scored like any other; a doc_id with labels 0 and 1 counts
 as 0; if a class has no example, everything scores the share of label 1 (0.5 without labels); repeated rows are scored one by
@@ -22,7 +23,10 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from .common import fold, held_out, lowest_by_hash, spared, table
+from .common import fold, held_out, spared, table
+
+UNIT = 1 << 18  # sums are of whole parts of this
+SENT = 1 << 19  # labels up to so many are sent to all tasks; more meet the texts in a shuffle
 
 #: The statistics in their order.
 NAMES = ("word_length", "upper", "digits", "exclaim", "bars", "marks", "stops", "breaks", "neighbours", "distinct", "commonest", "lines_again", "runs_again", "trust")
@@ -75,14 +79,35 @@ class Discriminant:
         self.centre, self.scale = x[:, :-1].mean(0), np.maximum(x[:, :-1].std(0), 1e-3)
         z = self._standard(x)
         groups = [z[y == c] for c in (0, 1)]
-        covs = [np.cov(g, rowvar=False, bias=True) if len(g) > 1 else np.eye(z.shape[1]) for g in groups]
-        pooled = sum(len(g) * c for g, c in zip(groups, covs)) / len(z)
+        return self._shrunk([(len(g), g.mean(0), np.cov(g, rowvar=False, bias=True) if len(g) > 1 else np.eye(z.shape[1])) for g in groups])
+
+    def fit_sums(self, sums: dict[int, np.ndarray]) -> Discriminant:
+        """As fit(), from sums() of the rows of each class."""
+        total = sum(sums.values(), np.zeros(_SUMS))
+        if total[0]:
+            self.prior = float(sums.get(1, np.zeros(1))[0] / total[0])
+        if len(sums) < 2:
+            return self
+        k = len(NAMES)
+        self.centre = total[1:k] / total[0]
+        self.scale = np.maximum(np.sqrt(np.maximum(total[k : 2 * k - 1] / total[0] - self.centre**2, 0)), 1e-3)
+        own = []
+        for c in (0, 1):
+            n, first, second = sums[c][0], sums[c][2 * k - 1 : 3 * k - 1], sums[c][3 * k - 1 :].reshape(k, k)
+            to_z = np.hstack([np.diag(1 / self.scale), (-self.centre / self.scale)[:, None]])  # damped statistics and the trust to z
+            mean = to_z @ first / n
+            own.append((n, mean, to_z @ second @ to_z.T / n - np.outer(mean, mean) if n > 1 else np.eye(k - 1)))
+        return self._shrunk(own)
+
+    def _shrunk(self, own: list[tuple]) -> Discriminant:
+        """From the number of rows, mean and covariance of each class."""
+        pooled = sum(n * c for n, _, c in own) / sum(n for n, _, _ in own)
         self.parts = []
-        for g, c in zip(groups, covs):
+        for _, mean, c in own:
             c = (1 - self.shrink) * c + self.shrink * pooled
             c = (1 - self.to_diagonal) * c + self.to_diagonal * np.diag(np.diag(c)) + self.floor * np.eye(len(c))
             low = np.linalg.cholesky(c)
-            self.parts.append((g.mean(0), np.linalg.inv(low), 2 * np.log(np.diag(low)).sum()))
+            self.parts.append((mean, np.linalg.inv(low), 2 * np.log(np.diag(low)).sum()))
         return self
 
     def _standard(self, x: np.ndarray) -> np.ndarray:
@@ -108,14 +133,38 @@ def _vectors(df: DataFrame, schema: str, of) -> DataFrame:
     return df.mapInArrow(run, schema)
 
 
-def learn(docs: DataFrame, labels: DataFrame, n: int = 12_000) -> Discriminant:
-    """Fit on at most n labelled rows outside fold 0 of 5; their statistics are computed on the executors."""
+_SUMS = 2 * len(NAMES) - 1 + len(NAMES) + len(NAMES) ** 2
+
+
+def sums(x: np.ndarray) -> np.ndarray:
+    """Of rows of statistics, in whole parts of UNIT or of its square: their number, sums and squares of each, sums of the damped ones with
+    the trust, and the products of these."""
+    v = x[:, :-1]
+    whole, damped = (np.rint(y * UNIT).astype(np.int64) for y in (v, np.c_[v * x[:, -1:], x[:, -1:]]))
+    return np.concatenate([[len(x)], whole.sum(0), (whole * whole).sum(0), damped.sum(0), (damped.T @ damped).ravel()])
+
+
+_SCALE = np.concatenate([[1], np.full(len(NAMES) - 1, UNIT), np.full(len(NAMES) - 1, UNIT**2), np.full(len(NAMES), UNIT), np.full(len(NAMES) ** 2, UNIT**2)]).astype(float)
+
+
+def learn(docs: DataFrame, labels: DataFrame) -> Discriminant:
+    """Fit on all labelled rows outside fold 0 of 5; their statistics and the sums of these are made on the executors."""
     known = labels.where("quality is not null and doc_id is not null").where(fold("doc_id", 5) != 0).groupBy("doc_id").agg(F.min("quality").alias("y"))
-    picked = lowest_by_hash(known, "doc_id", n)
-    rows = docs.select("doc_id", "text").join(F.broadcast(picked), "doc_id").select("y", "text")
-    got = _vectors(rows, "y int, x array<double>", lambda x: pa.array(x.tolist(), pa.list_(pa.float64()))).collect()
-    got.sort(key=lambda r: (r.y, r.x))
-    return Discriminant().fit(np.array([r.x for r in got]).reshape(-1, len(NAMES)), np.array([r.y for r in got]))
+    known = F.broadcast(known) if known.count() <= SENT else known
+
+    def run(batches):
+        for b in spared(batches):
+            y, texts = b.column(0).to_numpy(zero_copy_only=False), b.column(1).to_pylist()
+            x = np.array([statistics(t) for t in texts], float).reshape(-1, len(NAMES))
+            for c in np.unique(y):
+                got = sums(x[y == c])
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(got), c, np.int32)), pa.array(np.arange(len(got), dtype=np.int32)), pa.array(got)], names=["y", "i", "s"])
+
+    rows = docs.select("doc_id", "text").join(known, "doc_id").select(F.col("y").cast("int"), "text").mapInArrow(run, "y int, i int, s long")
+    found: dict[int, np.ndarray] = {}
+    for r in rows.groupBy("y", "i").agg(F.sum(F.col("s").cast("decimal(38,0)")).cast("double").alias("s")).collect():
+        found.setdefault(r.y, np.zeros(_SUMS))[r.i] = r.s
+    return Discriminant().fit_sums({c: v / _SCALE for c, v in found.items()})
 
 
 def score(docs: DataFrame, model: Discriminant) -> DataFrame:

@@ -6,9 +6,10 @@ word beginnings minimises the corrected risk  prior*R_P(+) + max(0, R_U(-) - pri
 which is the sign of overfitting on U, the step ascends it instead. Features that P does not hold clearly more often, or
 less often, than U are left out first, so that long clean texts gather no noise.
 
-P is a bounded sample of labelled rows (a parameter: the rows with the lowest hashes). U is everything: the texts are dealt to chunks
-of equal size, each chunk minimises the risk with P against its own share of U, and the weights are averaged over the chunks by
-their numbers of texts, so the work grows with the corpus and stays in the tasks. Learning and scoring read whole texts.
+P is every toxic text of the training folds, and U is everything: the texts of U are dealt to chunks of equal size and those of P to
+groups of a few thousand by their ids. Each chunk minimises the risk with one group of P against its own share of U, the groups taking turns, and
+the weights are averaged over the chunks by their numbers of texts, so the work grows with the corpus and stays in the tasks. Learning and
+scoring read whole texts.
 
 Null and empty texts have no features and get the score of the bias; a doc_id with labels 0 and 1 counts as toxic; without a
 toxic example, or without any text, everything scores 0; repeated rows are scored one by one; other columns are ignored.
@@ -22,11 +23,12 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from .common import SpanHasher, as_bytes, chunks, cut, fold, held_out, lowest_by_hash, mix, spared, table, word_spans
+from .common import SpanHasher, as_bytes, chunks, cut, fold, held_out, mix, spared, table, word_spans
 
 DIM = 1 << 18
 SCALE = 1 << 20  # weights are summed as whole parts of this, so that sums do not depend on their order
 PREFIXES = (4, 5, 6)
+SENT = 1 << 19  # ids of toxic texts up to so many are sent to all tasks; more meet the texts in a shuffle
 AT_ONCE = 256  # texts whose features are in memory together
 _LETTER = np.zeros(256, bool)
 _LETTER[97:123] = True
@@ -162,17 +164,18 @@ def _having(df: DataFrame) -> tuple[np.ndarray, int]:
 
 
 def learn(docs: DataFrame, labels: DataFrame, n_p: int = 2000, chunk: int = 4096, most: int = 1024) -> PuModel:
-    """Fit on rows outside fold 0 of 5: at most n_p toxic texts, and all texts in chunks of about `chunk`, each whole however long."""
+    """Fit on rows outside fold 0 of 5: all toxic texts in groups of n_p to twice as many (one, if there are fewer), and all texts in chunks of
+    about `chunk`, each whole however long."""
     nothing = PuModel(np.zeros(DIM, np.float32), None)
     known = labels.where("toxic is not null and doc_id is not null").where(fold("doc_id", 5) != 0).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     total, toxic = known.agg(F.count("*"), F.sum(F.when(F.col("toxic") == 1, 1).otherwise(0))).first()
     if not toxic:
         return nothing
     sc = docs.sparkSession.sparkContext
-    ids = lowest_by_hash(known.where("toxic = 1").select("doc_id"), "doc_id", n_p)
-    p = cut(docs.select("doc_id", "text").join(F.broadcast(ids), "doc_id").dropDuplicates(["doc_id"]).select("text"))
+    ids = known.where("toxic = 1").select("doc_id")
+    p = cut(docs.select("doc_id", "text").join(F.broadcast(ids) if toxic <= SENT else ids, "doc_id").dropDuplicates(["doc_id"]))
     u = docs.where("doc_id is not null").where(fold("doc_id", 5) != 0).select("text")
-    (with_p, size_p), (with_u, size_u) = _having(p), _having(u)
+    (with_p, size_p), (with_u, size_u) = _having(p.select("text")), _having(u)
     if not size_p or not size_u:
         return nothing
     keep = strongest(with_p, with_u, size_p, size_u, most)
@@ -181,25 +184,29 @@ def learn(docs: DataFrame, labels: DataFrame, n_p: int = 2000, chunk: int = 4096
     def reduce(batches):
         for b in spared(batches):
             for i in range(0, b.num_rows, AT_ONCE):
-                f = _lists(b.column(0).slice(i, AT_ONCE).to_pylist())
+                part = b.slice(i, AT_ONCE)
+                f = _lists(part.column(0).to_pylist())
                 cols = f.flatten().to_numpy()
                 m = chosen.value[cols]
                 offsets = np.concatenate([[0], np.cumsum(m)])[f.offsets.to_numpy()].astype(np.int32)
-                yield pa.RecordBatch.from_arrays([pa.ListArray.from_arrays(pa.array(offsets), pa.array(cols[m]))], names=["f"])
+                yield pa.RecordBatch.from_arrays([pa.ListArray.from_arrays(pa.array(offsets), pa.array(cols[m])), part.column(1)], names=["f", "k"])
 
-    rows = sorted(r.f for r in p.mapInArrow(reduce, "f array<int>").collect())
-    x_p = sc.broadcast(dense(pa.array(rows, pa.list_(pa.int32())), keep))
     prior = min(max(toxic / total, 1e-4), 0.9)
     chunks_ = max(1, round(size_u / chunk))
+    groups = max(1, min(chunks_, size_p // n_p))
 
-    def share(t: pa.Table) -> pa.Table:
+    def share(t: pa.Table, toxic_: pa.Table) -> pa.Table:
+        if not t.num_rows or not toxic_.num_rows:
+            return pa.table({"i": np.zeros(0, np.int64), "w": np.zeros(0, np.int64), "n": np.zeros(0, np.int64)})
         x = dense(t.column("f").combine_chunks(), keep)
         x = x[np.lexsort(x.T[::-1][:32])]  # the same sums whatever order the rows come in
-        w, bias, _ = train(x_p.value, x, prior)
+        w, bias, _ = train(dense(pa.array(sorted(toxic_.column("f").to_pylist()), pa.list_(pa.int32())), keep), x, prior)
         return pa.table({"i": np.arange(len(w) + 1), "w": np.rint(np.append(w, bias).astype(float) * SCALE).astype(np.int64) * len(x), "n": np.full(len(w) + 1, len(x))})
 
-    dealt = u.mapInArrow(reduce, "f array<int>").select(F.pmod(F.xxhash64(F.monotonically_increasing_id()), F.lit(chunks_)).alias("k"), "f")
-    got = dealt.groupBy("k").applyInArrow(share, "i long, w long, n long").groupBy("i").agg(F.sum(F.col("w").cast("decimal(38,0)")).cast("double").alias("w"), F.sum("n").alias("n")).orderBy("i").toArrow()
+    dealt = u.select("text", F.pmod(F.xxhash64(F.monotonically_increasing_id()), F.lit(chunks_)).alias("k")).mapInArrow(reduce, "f array<int>, k long")
+    grouped = p.select("text", F.pmod(F.xxhash64("doc_id"), F.lit(groups)).alias("k")).mapInArrow(reduce, "f array<int>, k long")
+    grouped = grouped.select("f", F.explode(F.sequence("k", F.lit(chunks_ - 1).cast("long"), F.lit(groups).cast("long"))).alias("k"))
+    got = dealt.groupBy("k").cogroup(grouped.groupBy("k")).applyInArrow(share, "i long, w long, n long").groupBy("i").agg(F.sum(F.col("w").cast("decimal(38,0)")).cast("double").alias("w"), F.sum("n").alias("n")).orderBy("i").toArrow()
     mean = got.column("w").to_numpy() / got.column("n").to_numpy() / SCALE
     weights = np.zeros(DIM, np.float32)
     weights[keep] = mean[:-1]
